@@ -16,15 +16,16 @@ from ownerdp.llm.common import BoundedCache, map_batches, materialise, per_worke
 
 WINDOW = 35
 #: Words of the documents that one map task hashes together; a chunk names the reference shard of the passages that it holds first.
-CHUNK_WORDS = 1 << 20
+CHUNK_WORDS = 1 << 19
 #: Words of documents that are streamed through one copy of a shard's automaton; with more, further tasks build it again.
 STREAM_WORDS = 1 << 22
 #: Spans of documents up to this many bytes are broadcast to the documents; beyond it both are shuffled by document.
 BROADCAST_BYTES = 32 << 20
 #: The most reference text that ``remove_reference_spans`` broadcasts as automata.
 REFERENCE_WORDS = 2_000_000
+#: Documents whose words a task holds at once.
+SLICE = 512
 _BASE = 0x9E3779B97F4A7C15
-_AGAIN = np.int64(1 << 31)
 
 
 def words_of(text: str) -> list[bytes]:
@@ -32,7 +33,7 @@ def words_of(text: str) -> list[bytes]:
 
 
 def _codes(words: list[bytes]) -> np.ndarray:
-    cache: BoundedCache = per_worker("word-codes", lambda: BoundedCache(600_000))
+    cache: BoundedCache = per_worker("word-codes", lambda: BoundedCache(150_000))
     young, old = cache.young, cache.old
     try:
         return np.array(list(map(young.__getitem__, words)), np.uint64)
@@ -74,58 +75,72 @@ def _row(shard: int, chunk: int, kind: int, a: np.ndarray, b: np.ndarray, c: np.
     return pa.RecordBatch.from_arrays([pa.array([shard]), pa.array([chunk]), pa.array([kind], pa.int32()), *values], names=_NAMES)
 
 
+def _planes(places: np.ndarray) -> np.ndarray:
+    """Ascending places as byte planes of their differences; the high planes are zeros, which Spark compresses away."""
+    return np.diff(places, prepend=0).astype("<u4").view(np.uint8).reshape(-1, 4).T.copy()
+
+
+def _from_planes(raw: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(raw, np.uint8).reshape(4, -1).T.copy().view("<u4").ravel()).astype(np.int32)
+
+
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for i in range(0, batch.num_rows, SLICE):
+            yield batch.slice(i, SLICE)
+
+
 def _hash_chunks(window: int, shards: int):
-    """For each chunk and shard the hashes of its windows, each once, and where they start (kind 0); for each chunk its documents (kind 1)."""
+    """For each chunk and shard the hashes of its windows, each once, where they start, and whether they do so again (kind 0);
+    for each chunk its documents (kind 1)."""
 
-    def chunk_rows(chunk: int, keys: list[tuple[int, int]], sizes: list[int], words: list[bytes]) -> Iterator[pa.RecordBatch]:
-        codes, size = _codes(words), np.array(sizes, np.int64)
+    def chunk_rows(chunk: int, keys: list[tuple[int, int]], each: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        size = np.array([len(c) for c in each], np.int64)
         begin = np.cumsum(size) - size
-        h = window_hashes(codes, window)
-        inside = np.zeros(len(h), bool)
-        for b, n in zip(begin.tolist(), sizes, strict=True):
-            inside[b : b + max(0, n - window + 1)] = True
-        at = np.flatnonzero(inside)
-        h = h[at]
+        hashes = [window_hashes(c, window) for c in each]
+        at = np.concatenate([np.arange(b, b + len(h), dtype=np.int64) for b, h in zip(begin.tolist(), hashes, strict=True)])
+        h = np.concatenate(hashes)
+        del hashes
         order = np.argsort(h, kind="stable")
         h, at = h[order], at[order]
-        first = np.r_[True, h[1:] != h[:-1]] if len(h) else np.zeros(0, bool)
+        first = np.r_[True, h[1:] != h[:-1]]
         starts = np.flatnonzero(first)
         again = np.diff(np.r_[starts, len(h)]) > 1
         later = np.flatnonzero(~first)
-        twins = np.stack([at[later], at[starts[np.cumsum(first)[later] - 1]]]).astype(np.int32) if len(later) else np.zeros((2, 0), np.int32)
+        twins = np.stack([at[later], at[starts[np.cumsum(first)[later] - 1]]]).astype(np.int32)
         yield _row(chunk % shards, chunk, 1, np.array(keys, np.int64).reshape(-1, 2), np.stack([begin, size]), twins)
-        h, place = h[starts], at[starts] | np.where(again, _AGAIN, 0)
-        edges = np.searchsorted(h, [(s << 64) // shards for s in range(1, shards)]) if shards > 1 and len(h) else np.zeros(shards - 1, np.int64)
+        h, place = h[starts], at[starts]
+        edges = np.searchsorted(h, np.array([(s << 64) // shards for s in range(1, shards)], np.uint64)).tolist()
         for s, (a, b) in enumerate(zip([0, *edges], [*edges, len(h)], strict=True)):
             if a < b:
-                by_place = np.argsort(place[a:b] & (_AGAIN - 1))
-                yield _row(s, chunk, 0, h[a:b][by_place], place[a:b][by_place].astype(np.uint32))
+                by_place = np.argsort(place[a:b]) + a
+                yield _row(s, chunk, 0, h[by_place], _planes(place[by_place]), np.packbits(again[by_place]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, number = TaskContext.get().partitionId(), 0
-        keys, sizes, words = [], [], []
-        for batch in batches:
+        part, number, held = TaskContext.get().partitionId(), 0, 0
+        keys, each = [], []
+        for batch in _slices(batches):
             for key, t in zip(zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True), texts_of(batch), strict=True):
                 its = words_of(t)
                 if len(its) < window:
                     continue
                 keys.append(key)
-                sizes.append(len(its))
-                words += its
-                if len(words) >= CHUNK_WORDS:
-                    yield from chunk_rows((part << 32) + number, keys, sizes, words)
-                    number, keys, sizes, words = number + 1, [], [], []
+                each.append(_codes(its))
+                held += len(its)
+                if held >= CHUNK_WORDS:
+                    yield from chunk_rows((part << 32) + number, keys, each)
+                    number, held, keys, each = number + 1, 0, [], []
         if keys:
-            yield from chunk_rows((part << 32) + number, keys, sizes, words)
+            yield from chunk_rows((part << 32) + number, keys, each)
 
     return run
 
 
 def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Finds the hashes that two chunks have, or one has twice. Each chunk hears where it has them (a) and which chunk has them first (b)."""
-    chunks, hashes, places = [], [], []
+    chunks, hashes, places, again = [], [], [], []
     for batch in batches:
         for i, kind in enumerate(batch.column(2).to_pylist()):
             if kind == 1:
@@ -133,31 +148,32 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             else:
                 chunks.append(batch.column(1)[i].as_py())
                 hashes.append(np.frombuffer(batch.column(3)[i].as_py(), np.uint64))
-                places.append(np.frombuffer(batch.column(4)[i].as_py(), np.uint32))
+                places.append(_from_planes(batch.column(4)[i].as_py()))
+                again.append(np.unpackbits(np.frombuffer(batch.column(5)[i].as_py(), np.uint8), count=len(hashes[-1])).astype(bool))
     if not chunks:
         return
     order = sorted(range(len(chunks)), key=lambda i: chunks[i])
-    chunks = [chunks[i] for i in order]
-    h, place = np.concatenate([hashes[i] for i in order]), np.concatenate([places[i] for i in order])
+    chunk_ids = np.array(chunks, np.int64)[order]
     source = np.repeat(np.arange(len(chunks), dtype=np.int32), [len(hashes[i]) for i in order])
-    del hashes, places
-    by_hash = np.argsort(h, kind="stable")  # stable: of equal hashes the first chunk comes first
+    h, place, twice = (np.concatenate([x[i] for i in order]) for x in (hashes, places, again))
+    del hashes, places, again
+    by_hash = np.argsort(h, kind="stable").astype(np.int32)  # stable: of equal hashes the first chunk comes first
     h = h[by_hash]
     first = np.r_[True, h[1:] != h[:-1]]
-    starts = np.flatnonzero(first)
-    group = np.cumsum(first) - 1
-    repeated = (np.diff(np.r_[starts, len(h)]) > 1) | (place[by_hash[starts]] >> np.uint32(31)).astype(bool)
-    keep = repeated[group]
-    mine, owner = by_hash[keep], source[by_hash[starts[group[keep]]]]
+    del h
+    starts = np.flatnonzero(first).astype(np.int32)
+    size = np.diff(np.r_[starts, len(by_hash)])
+    repeated = (size > 1) | twice[by_hash[starts]]
+    keep = np.repeat(repeated, size)
+    mine, owner = by_hash[keep], np.repeat(source[by_hash[starts[repeated]]], size[repeated])
     of = source[mine]
-    order = np.argsort(of, kind="stable")
+    order = np.lexsort((mine, of))
     mine, owner, of = mine[order], owner[order], of[order]
-    chunk_ids = np.array(chunks, np.int64)
-    cuts = np.searchsorted(of, np.arange(len(chunks) + 1))
-    for i, chunk in enumerate(chunks):
+    cuts = np.searchsorted(of, np.arange(len(chunk_ids) + 1))
+    for i, chunk in enumerate(chunk_ids.tolist()):
         a, b = cuts[i], cuts[i + 1]
         if a < b:
-            yield _row(0, chunk, 0, (place[mine[a:b]] & np.uint32(0x7FFFFFFF)).astype(np.int32), chunk_ids[owner[a:b]])
+            yield _row(0, chunk, 0, _planes(place[mine[a:b]]), chunk_ids[owner[a:b]])
 
 
 def _runs(window: int):
@@ -169,7 +185,7 @@ def _runs(window: int):
         twins = np.frombuffer(about[2], np.int32).reshape(2, -1)
         owner = np.full(int(begin[-1] + size[-1]) + 1, -1, np.int64)
         for a, b in heard:
-            owner[np.frombuffer(a, np.int32)] = np.frombuffer(b, np.int64)
+            owner[_from_planes(a)] = np.frombuffer(b, np.int64)
         owner[twins[0]] = owner[twins[1]]
         doc = np.repeat(np.arange(len(size)), size)
         at = np.flatnonzero(owner[:-1] >= 0)
@@ -212,7 +228,7 @@ def repeated_runs(keyed: DataFrame, window: int, shards: int) -> DataFrame:
 
 def _cut_passages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each run's words, joined by blanks, for its shard."""
-    for batch in batches:
+    for batch in _slices(batches):
         rows = {n: [] for n in ("key", "text_hash", "shard", "start", "own", "words")}
         for key, h, runs, t in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), texts_of(batch), strict=True):
             words = words_of(t)
@@ -280,7 +296,7 @@ def _cut(spans: list[tuple[int, int]], words: list[bytes]) -> tuple[list[bytes],
 
 def _shorten(id_kind: str, with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             n, gone, digest, texts = [], [], [], []
             for t, spans in zip(texts_of(batch), batch.column(1).to_pylist(), strict=True):
                 words = words_of(t)
@@ -304,7 +320,7 @@ def remove_repeated_passages(docs: DataFrame, window: int = WINDOW, text: str =
     both id and text repeat each other's passages.
     """
     spark = docs.sparkSession
-    shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    shards = 2 * max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))  # a shard is held in memory, 24 bytes for each of its windows
     rows = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
     id_kind = rows.schema["doc_id"].dataType.simpleString()
     # a document's key is its id and the hash of its text; rows equal in both get the same spans
