@@ -48,6 +48,16 @@ def materialise(df: DataFrame, label: str, partition_by: list[str] | None = None
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of ids and hashes, below 100 bytes each, that are broadcast at most.
+MOST_BROADCAST_ROWS = 400_000
+
+
+def small_side(df: DataFrame, label: str) -> DataFrame:
+    """The rows, written out and counted: marked for a broadcast if they are few enough, else left to a shuffled join."""
+    out = materialise(df, label)
+    return F.broadcast(out) if out.count() <= MOST_BROADCAST_ROWS else out
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

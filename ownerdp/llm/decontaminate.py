@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ownerdp.llm.common import small_side
+
 WINDOW = 13
 SUBSTITUTIONS = 2
 #: Token positions that a seed reads; the others are ignored. Any window of 13 tokens with at most two substitutions
@@ -87,5 +89,5 @@ def contamination_report(docs: DataFrame, benchmark: DataFrame, **names: str) ->
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", **names: str) -> DataFrame:
     """``docs`` without the documents that hold a passage of an item, all columns kept."""
-    bad = contaminations(docs, benchmark, doc_id=doc_id, **names).select(F.col("doc_id").alias("__bad_id")).distinct()
+    bad = small_side(contaminations(docs, benchmark, doc_id=doc_id, **names).select(F.col("doc_id").alias("__bad_id")).distinct(), "contaminated")
     return docs.join(bad, F.col(doc_id).eqNullSafe(F.col("__bad_id")), "left_anti")

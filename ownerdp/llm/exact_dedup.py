@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ownerdp.llm.bloom import broadcast_bits, contains, possibly_repeated
-from ownerdp.llm.common import map_batches, materialise
+from ownerdp.llm.common import map_batches, materialise, small_side
 
 #: Groups of more than this share of the suspected rows are joined by broadcast: at most HOT_GROUPS rows.
 HOT_GROUPS = 1000
@@ -68,17 +68,15 @@ def exact_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id"
 
 def drop_exact_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """``docs`` without the dropped rows, all columns kept. Rows that repeat a doc_id and a text stay once."""
-    fate = exact_duplicates(docs, text, doc_id)
-    dropped = fate.filter(~F.col("kept")).select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha")).distinct()
-    kept_too = fate.filter("kept and group_size > 1").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
-    same = ["__id", "__sha"]
-    gone = dropped.join(kept_too, [dropped["__id"].eqNullSafe(kept_too["__id"]), dropped["__sha"] == kept_too["__sha"]], "left_anti").select(*same)
+    same = exact_duplicates(docs, text, doc_id).filter("group_size > 1").groupBy(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__same"))
+    pairs = materialise(same.agg(F.max("kept").alias("stays"), F.count(F.lit(1)).alias("n")), "exact-pairs")
+    gone = small_side(pairs.filter("not stays").select("__id", "__same"), "exact-gone")
     keyed = docs.withColumn("__sha", F.sha2(F.coalesce(F.col(text), F.lit("")), 256))
-    out = keyed.join(gone, (keyed[doc_id].eqNullSafe(gone["__id"])) & (keyed["__sha"] == gone["__sha"]), "left_anti")
-    # rows that repeat both the doc_id and the text of a row that stays: one of them is left
-    twins = dropped.join(kept_too, [dropped["__id"].eqNullSafe(kept_too["__id"]), dropped["__sha"] == kept_too["__sha"]], "left_semi").select(*same)
+    out = keyed.join(gone, keyed[doc_id].eqNullSafe(gone["__id"]) & (keyed["__sha"] == gone["__same"]), "left_anti")
+    twins = pairs.filter("stays and n > 1").select("__id", "__same")
     if twins.isEmpty():
         return out.drop("__sha")
-    is_twin = out.join(twins, (out[doc_id].eqNullSafe(twins["__id"])) & (out["__sha"] == twins["__sha"]), "left_semi")
-    rest = out.join(twins, (out[doc_id].eqNullSafe(twins["__id"])) & (out["__sha"] == twins["__sha"]), "left_anti")
-    return rest.unionByName(is_twin.dropDuplicates([doc_id, "__sha"])).drop("__sha")
+    # rows that repeat both the doc_id and the text of one that stays: a single one of them is left
+    twins = small_side(twins, "exact-twins")
+    on = out[doc_id].eqNullSafe(twins["__id"]) & (out["__sha"] == twins["__same"])
+    return out.join(twins, on, "left_anti").unionByName(out.join(twins, on, "left_semi").dropDuplicates([doc_id, "__sha"])).drop("__sha")

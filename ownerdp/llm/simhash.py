@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ownerdp.llm.common import map_batches, materialise, texts_of
+from ownerdp.llm.common import map_batches, materialise, small_side, texts_of
 from ownerdp.llm.components import connected_components
 
 SEED = 42
@@ -125,8 +125,8 @@ def components_of(nodes: DataFrame, links: DataFrame) -> DataFrame:
 BANDS, BAND_ROWS = 15, 4
 #: Pairs of similarity 0.8 differ in 10 of 64 bits on average; more than this many, once in 5,000 pairs.
 SIMILAR_BITS, SIMILAR_SEGMENTS = 20, 8
-#: Buckets of more texts are linked to their first text, round by round, instead of pairwise.
-PAIRWISE = 48
+#: Buckets of more texts are compared with their first text alone, and what is not similar to it goes on in finer buckets.
+PAIRWISE = 16
 
 
 def _permutations() -> np.ndarray:
@@ -143,14 +143,21 @@ def _sketches(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         permutations = _permutations()
         for batch in batches:
-            fps, bands, sets = [], [], []
+            fps, bands = [], []
             for t in texts_of(batch):
                 h = shingle_hashes(words_of(t), shingle)
-                distinct = np.unique(h)
                 fps.append(fingerprint(h))
-                bands.append(_band_keys(distinct, permutations) if len(distinct) else [])
-                sets.append(distinct.tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sets, pa.binary())], names=["row", "fp", "bands", "shingles"])
+                bands.append(_band_keys(np.unique(h), permutations) if len(h) else [])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], names=["row", "fp", "bands"])
+
+    return run
+
+
+def _sets(shingle: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [np.unique(shingle_hashes(words_of(t), shingle)).tobytes() for t in texts_of(batch)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], names=["row", "shingles"])
 
     return run
 
@@ -183,17 +190,22 @@ def _similar(at_least: float):
     return run
 
 
-def similar_links(sketches: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """Links (a, b) between rows of (row, fp, bands, shingles) whose sets of shingles have the given Jaccard similarity.
+#: Ids of candidates that are broadcast at most, 8 bytes each, to find their texts.
+MOST_CANDIDATES = 2_000_000
+
+
+def similar_links(texts: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """Links (a, b) between rows of (row, text) whose sets of shingles have the given Jaccard similarity.
 
     Rows that share a band are candidates. Buckets of up to PAIRWISE rows give all their pairs. Of a larger bucket every
-    row is paired with the first one; rows that prove similar to it leave the bucket with it, and the rest form the bucket
-    of the next round, so a group of thousands of copies costs as many pairs as it has rows. Before the sets are compared,
-    chains of fingerprint segments and the full distance prune the pairs.
+    row is paired with the first one, so a group of thousands of copies costs as many pairs as it has rows. Rows that do not
+    prove similar to the first one go on in finer buckets, of those that share one more band: there texts that have only a
+    passage in common part, and similar ones, which share 6 of 15 bands, stay together. Chains of fingerprint segments and the
+    full distance prune the pairs; only for what is left are the sets built and compared.
     """
+    sketches = materialise(map_batches(texts, _sketches(shingle), "row long, fp long, bands array<bigint>"), "near-sketches")
     bits = sketches.select("row", "fp")
-    sets = sketches.select("row", "shingles")
-    left = sketches.select("row", F.explode("bands").alias("key"))
+    left = sketches.select("row", F.explode("bands").alias("key")).withColumn("used", F.array("key"))
     found: DataFrame | None = None
     while True:
         sizes = left.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("head")).filter("n > 1")
@@ -204,17 +216,25 @@ def similar_links(sketches: DataFrame, similarity: float = 0.8) -> DataFrame:
         star = many.select(F.least("head", "row").alias("a"), F.greatest("head", "row").alias("b"))
         candidates = pairs.unionByName(star).distinct()
         near = F.bit_count(F.col("x").bitwiseXOR(F.col("y"))) <= SIMILAR_BITS
-        pruned = (
-            candidates.join(bits.select(F.col("row").alias("a"), F.col("fp").alias("x")), "a").join(bits.select(F.col("row").alias("b"), F.col("fp").alias("y")), "b")
-            .filter(viable(F.col("x"), F.col("y"), SIMILAR_BITS, SIMILAR_SEGMENTS)).filter(near)
-        )
-        full = pruned.select("a", "b").join(sets.select(F.col("row").alias("a"), F.col("shingles").alias("one")), "a").join(sets.select(F.col("row").alias("b"), F.col("shingles").alias("two")), "b")
-        links = materialise(map_batches(full.select("a", "b", "one", "two"), _similar(similarity), "a long, b long"), "near-links")
+        with_bits = candidates.join(bits.select(F.col("row").alias("a"), F.col("fp").alias("x")), "a").join(bits.select(F.col("row").alias("b"), F.col("fp").alias("y")), "b")
+        pruned = materialise(with_bits.filter(viable(F.col("x"), F.col("y"), SIMILAR_BITS, SIMILAR_SEGMENTS)).filter(near).select("a", "b"), "near-pruned")
+        links = materialise(_verified(texts, pruned, shingle, similarity), "near-links")
         found = links if found is None else found.unionByName(links)
-        rest = many.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_anti").select("row", "key")
-        left = materialise(rest, "near-rest")
-        if left.isEmpty():
+        rest = many.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_anti").select("row", "used")
+        if (rest := materialise(rest, "near-rest")).isEmpty():
             return found.distinct()
+        finer = rest.join(sketches.select("row", F.explode("bands").alias("band")), "row").filter(~F.array_contains("used", F.col("band")))
+        more = finer.select("row", F.sort_array(F.concat("used", F.array("band"))).alias("used")).distinct()
+        left = materialise(more.select("row", F.xxhash64("used").alias("key"), "used"), "near-finer")
+
+
+def _verified(texts: DataFrame, pairs: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """The pairs whose sets are similar enough. Only texts of the pairs are read into sets and shuffled."""
+    ids = materialise(pairs.select(F.col("a").alias("row")).unionByName(pairs.select(F.col("b").alias("row"))).distinct(), "near-ids")
+    wanted = texts.join(F.broadcast(ids) if ids.count() <= MOST_CANDIDATES else ids, "row", "left_semi")
+    sets = materialise(map_batches(wanted.select("row", "text"), _sets(shingle), "row long, shingles binary"), "near-sets")
+    one, two = (sets.select(F.col("row").alias(n), F.col("shingles").alias(s)) for n, s in (("a", "one"), ("b", "two")))
+    return map_batches(pairs.join(one, "a").join(two, "b").select("a", "b", "one", "two"), _similar(similarity), "a long, b long")
 
 
 def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -224,9 +244,7 @@ def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, t
     than a shingle are one shingle; null and empty texts have no near copies.
     """
     rows = docs.select(F.xxhash64(F.col(doc_id), F.col(text)).alias("row"), F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
-    distinct = rows.select("row", "text")
-    sketches = materialise(map_batches(distinct, _sketches(shingle), "row long, fp long, bands array<bigint>, shingles binary"), "near-sketches")
-    of = connected_components(similar_links(sketches, similarity))
+    of = connected_components(similar_links(rows.select("row", "text"), shingle, similarity))
     named = materialise(rows.select("row", "doc_id").join(of.withColumnRenamed("node", "row"), "row"), "near-named")
     stays = named.groupBy("component").agg(F.min(F.struct("doc_id", "row")).alias("stays"))
     return named.join(stays, "component").select("doc_id", "row", (F.col("row") == F.col("stays.row")).alias("keep"))
@@ -234,5 +252,5 @@ def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, t
 
 def drop_near_duplicates(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """``docs`` with one document of each group of near copies, all columns kept."""
-    gone = similar_groups(docs, shingle, similarity, text, doc_id).filter(~F.col("keep")).select(F.col("row").alias("__row")).distinct()
+    gone = small_side(similar_groups(docs, shingle, similarity, text, doc_id).filter(~F.col("keep")).select(F.col("row").alias("__row")).distinct(), "near-gone")
     return docs.withColumn("__own", F.xxhash64(F.col(doc_id), F.col(text))).join(gone, F.col("__own") == F.col("__row"), "left_anti").drop("__own")
