@@ -1,4 +1,10 @@
-"""A small causal self-attention model over subword ids in numpy: one layer, class-factored output, training and scoring."""
+"""A small causal self-attention model over subword ids in numpy: one layer, trained by hand-written gradients, and its scorer.
+
+A token either starts a word (its bytes begin with a blank, or it is the end) or continues one. The layer's output decides
+between the two and, for a start, the class of the token; what counts over the corpus fix enters as given terms: how
+likely a word ends after its tokens so far (the prior log odds that the layer corrects), the continuation of a word by its
+tokens so far, and the token within its class.
+"""
 
 from __future__ import annotations
 
@@ -6,48 +12,47 @@ from dataclasses import dataclass
 
 import numpy as np
 
-DIM, HIDDEN = 16, 24
+DIM, HIDDEN = 16, 32
 #: Inputs that a window holds, and targets that it scores: windows overlap by WINDOW - STRIDE inputs.
 WINDOW, STRIDE = 32, 24
-#: Frequent tokens that are a class of their own, and clusters of the others.
-SINGLE, CLUSTERS = 40, 40
+#: Starting tokens that are a class of their own, the most frequent ones, and clusters of the others.
+SINGLE, CLUSTERS = 64, 64
+CLASSES = SINGLE + CLUSTERS
 FAR = np.float32(-1e9)
 
 
 @dataclass
 class Vocabulary:
-    """Fixed parts, from counts over all training tokens: an embedding, a class and log P(token | class) for each id."""
+    """Fixed parts, from counts over all training tokens: an embedding of each id; of starting tokens the class and log P(token | class)."""
 
     embedding: np.ndarray
+    starts: np.ndarray
     of_class: np.ndarray
     log_within: np.ndarray
     log_class: np.ndarray
 
 
-def describe(counts: np.ndarray, before: np.ndarray, after: np.ndarray, seed: int = 7) -> Vocabulary:
+def describe(counts: np.ndarray, before: np.ndarray, after: np.ndarray, starts: np.ndarray, seed: int = 7) -> Vocabulary:
     """counts: of each id; before, after: counts of each id by the hash bucket of the token ahead of it and behind it."""
     rng = np.random.default_rng(seed)
     n = len(counts)
-    share = lambda m: np.log((m + 0.1) / (m.sum(axis=1, keepdims=True) + 0.1 * m.shape[1]) / ((m.sum(axis=0) + 0.1) / (m.sum() + 0.1 * m.shape[1])))
-    left, right, mass = share(before.astype(float)), share(after.astype(float)), np.log1p(counts)[:, None]
-    features = np.concatenate([np.clip(left, -4, 4), np.clip(right, -4, 4), mass / 4], axis=1)
-    seen = counts > 0
-    weight = np.sqrt(counts[seen]) + 1e-9 if seen.any() else np.ones(0)
-    if seen.sum() > DIM:
+    share = lambda m: np.log((m + 0.5) / (m.sum(axis=1, keepdims=True) + 0.5 * m.shape[1]) / ((m.sum(axis=0) + 0.5) / (m.sum() + 0.5 * m.shape[1])))
+    features = np.concatenate([np.clip(share(before.astype(float)), -4, 4), np.clip(share(after.astype(float)), -4, 4), np.log1p(counts)[:, None] / 4], axis=1)
+    seen = np.flatnonzero(counts > 0)
+    embedding = rng.normal(size=(n, DIM))
+    if len(seen) > DIM:
+        weight = np.sqrt(counts[seen])
         centre = np.average(features[seen], axis=0, weights=weight)
-        spread = np.cov((features[seen]).T, aweights=weight) + 1e-6 * np.eye(features.shape[1])
-        values, axes = np.linalg.eigh(spread)
+        values, axes = np.linalg.eigh(np.cov(features[seen].T, aweights=weight) + 1e-6 * np.eye(features.shape[1]))
         top = np.argsort(values)[::-1][:DIM]
-        embedding = (features - centre) @ axes[:, top] / np.sqrt(values[top])
-        embedding = np.clip(embedding, -3, 3)
-    else:
-        embedding = rng.normal(size=(n, DIM))
-    order = np.argsort(-counts, kind="stable")
+        embedding = np.clip((features - centre) @ axes[:, top] / np.sqrt(values[top]), -3, 3)
+    first = np.flatnonzero(starts)
+    first = first[np.argsort(-counts[first], kind="stable")]
     of_class = np.full(n, -1, np.int32)
-    of_class[order[:SINGLE]] = np.arange(min(SINGLE, n))
-    rest = np.flatnonzero(of_class < 0)
-    known = rest[counts[rest] > 0]
+    of_class[first[:SINGLE]] = np.arange(min(SINGLE, len(first)))
+    rest = first[SINGLE:]
     of_class[rest] = SINGLE + rest % CLUSTERS  # unseen ids are spread evenly
+    known = rest[counts[rest] > 0]
     if len(known) > CLUSTERS:
         x, w = features[known], np.sqrt(counts[known])
         middle = x[rng.choice(len(known), CLUSTERS, replace=False, p=w / w.sum())]
@@ -57,21 +62,20 @@ def describe(counts: np.ndarray, before: np.ndarray, after: np.ndarray, seed: in
             moved = np.stack([np.bincount(near, w * x[:, j], CLUSTERS) for j in range(x.shape[1])], axis=1)
             middle = np.where(total[:, None] > 0, moved / np.maximum(total, 1e-9)[:, None], middle)
         of_class[known] = SINGLE + near
-    n_classes = SINGLE + CLUSTERS
-    size, its = np.bincount(of_class, minlength=n_classes), np.bincount(of_class, counts, n_classes)
-    log_within = np.log((counts + 0.1) / (its + 0.1 * size)[of_class])
-    log_class = np.log((its + 1) / (its.sum() + n_classes))
-    return Vocabulary(embedding.astype(np.float32), of_class, log_within, log_class)
+    log_within = np.zeros(n)
+    size, its = np.bincount(of_class[first], minlength=CLASSES), np.bincount(of_class[first], counts[first], CLASSES)
+    log_within[first] = np.log((counts[first] + 0.1) / (its + 0.1 * size)[of_class[first]])
+    log_class = np.log((its + 1) / (its.sum() + CLASSES))
+    return Vocabulary(embedding.astype(np.float32), starts.astype(bool), of_class, log_within, log_class)
 
 
 def initial(vocabulary: Vocabulary, seed: int = 11) -> dict[str, np.ndarray]:
     rng = np.random.default_rng(seed)
     draw = lambda a, b: (rng.normal(size=(a, b)) / np.sqrt(a)).astype(np.float32)
-    n_classes = len(vocabulary.log_class)
     return {
-        "query": 0.5 * draw(DIM, DIM), "key": 0.5 * draw(DIM, DIM), "value": draw(DIM, DIM), "distance": np.zeros(WINDOW, np.float32),
-        "own": draw(DIM, HIDDEN), "mixed": draw(DIM, HIDDEN), "hidden_bias": np.zeros(HIDDEN, np.float32),
-        "out": 0.1 * draw(HIDDEN, n_classes), "out_bias": vocabulary.log_class.astype(np.float32),
+        "query": 0.3 * draw(DIM, DIM), "key": 0.3 * draw(DIM, DIM), "value": draw(DIM, DIM), "distance": np.zeros(WINDOW, np.float32),
+        "own": draw(DIM, HIDDEN), "mixed": 1.5 * draw(DIM, HIDDEN), "hidden_bias": np.zeros(HIDDEN, np.float32),
+        "out": 0.1 * draw(HIDDEN, CLASSES + 1), "out_bias": np.append(vocabulary.log_class, 0).astype(np.float32),
     }
 
 
@@ -83,21 +87,32 @@ def _softmax(x: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=-1, keepdims=True)
 
 
-def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, target: np.ndarray, real: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
-    """Mean cross entropy of the classes. x: (windows, WINDOW, DIM); target: (windows, WINDOW); real: which targets count."""
-    m, scale = max(1, int(real.sum())), np.float32(1 / np.sqrt(DIM))
+def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, odds: np.ndarray, goal: np.ndarray, real: np.ndarray, chosen: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
+    """Mean loss in nats and its gradient. x: (windows, WINDOW, DIM) embeddings; odds: prior log odds that a word ends there.
+
+    goal: the class of the next token, below 0 if it continues a word; real: which targets count; chosen: where the
+    choice between the two is open.
+    """
+    m, scale = np.float32(max(1, int(real.sum()))), np.float32(1 / np.sqrt(DIM))
     q, k, v = x @ w["query"], x @ w["key"], x @ w["value"]
     scores = q @ k.transpose(0, 2, 1) * scale + np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)])
     p = _softmax(scores)
     a = p @ v
     u = x @ w["own"] + a @ w["mixed"] + w["hidden_bias"]
     h = np.maximum(u, 0)
-    prob = _softmax(h @ w["out"] + w["out_bias"])
-    hit = np.take_along_axis(prob, target[..., None], axis=-1)[..., 0]
-    loss = float(-(np.log(hit + 1e-30) * real).sum() / m)
-    dz = prob
-    np.put_along_axis(dz, target[..., None], (hit - 1)[..., None], axis=-1)
-    dz = dz * (real / np.float32(m))[..., None]
+    z = h @ w["out"] + w["out_bias"]
+    ends = 1 / (1 + np.exp(-np.clip(z[..., -1] + odds, -30, 30)))
+    started = (goal >= 0) & real
+    prob = _softmax(z[..., :-1])
+    at = np.maximum(goal, 0)[..., None]
+    hit = np.take_along_axis(prob, at, axis=-1)
+    binary = np.where(goal >= 0, ends, 1 - ends)
+    loss = float(-(np.log(hit[..., 0] + 1e-30) * started).sum() - (np.log(binary + 1e-30) * (chosen & real)).sum()) / float(m)
+    dz = np.empty_like(z)
+    np.put_along_axis(prob, at, hit - 1, axis=-1)
+    dz[..., :-1] = prob * started[..., None]
+    dz[..., -1] = (ends - (goal >= 0)) * (chosen & real)
+    dz /= m
     flat = lambda t: t.reshape(-1, t.shape[-1])
     g = {"out": flat(h).T @ flat(dz), "out_bias": flat(dz).sum(0)}
     du = (dz @ w["out"].T) * (u > 0)
@@ -106,23 +121,24 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, target: np.ndarra
     dp, dv = da @ v.transpose(0, 2, 1), p.transpose(0, 2, 1) @ da
     ds = p * (dp - (dp * p).sum(-1, keepdims=True))
     by_pair = ds.sum(0)
-    g["distance"] = np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(np.float32)
+    g["distance"] = np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(x.dtype)
     g["query"] = flat(x).T @ flat(ds @ k) * scale
     g["key"] = flat(x).T @ flat(ds.transpose(0, 2, 1) @ q) * scale
     g["value"] = flat(x).T @ flat(dv)
     return loss, g
 
 
-def train(w: dict[str, np.ndarray], vocabulary: Vocabulary, inputs: np.ndarray, targets: np.ndarray, rate: float, batch: int = 48, seed: int = 3) -> dict[str, np.ndarray]:
-    """One pass of Adam steps over the windows; targets below 0 do not count."""
+def train(w: dict[str, np.ndarray], vocabulary: Vocabulary, ids: np.ndarray, odds: np.ndarray, rate: float, batch: int = 32, seed: int = 3) -> dict[str, np.ndarray]:
+    """One pass of Adam steps over windows of WINDOW + 1 ids, -1 where there are none, and the prior odds after each."""
     w = {k: v.astype(np.float32).copy() for k, v in w.items()}
     first, second = ({k: np.zeros_like(v) for k, v in w.items()} for _ in range(2))
-    order = np.random.default_rng(seed).permutation(len(inputs))
-    for step, at in enumerate(range(0, len(order), batch), 1):
-        rows = order[at : at + batch]
-        real = targets[rows] >= 0
-        target = vocabulary.of_class[np.maximum(targets[rows], 0)]
-        _, g = loss_and_gradient(w, vocabulary.embedding[inputs[rows]], target, real)
+    order = np.random.default_rng(seed).permutation(len(ids))
+    end = len(vocabulary.embedding) - 1
+    for step, i in enumerate(range(0, len(order), batch), 1):
+        rows = ids[order[i : i + batch]]
+        inputs, targets = np.maximum(rows[:, :-1], 0), np.maximum(rows[:, 1:], 0)
+        goal = np.where(vocabulary.starts[targets], vocabulary.of_class[targets], -1)
+        _, g = loss_and_gradient(w, vocabulary.embedding[inputs], odds[order[i : i + batch], :-1], goal, rows[:, 1:] >= 0, inputs != end)
         for k, d in g.items():
             first[k] += 0.1 * (d - first[k])
             second[k] += 0.01 * (d * d - second[k])
@@ -139,18 +155,21 @@ class Scorer:
         self.query, self.key = e @ w["query"] * np.float32(1 / np.sqrt(DIM)), e @ w["key"]
         self.value = np.concatenate([e @ w["value"] @ w["mixed"], np.ones((n, 1), np.float32)], axis=1)  # the last column sums the weights
         self.own = e @ w["own"] + w["hidden_bias"]
-        self.out, self.out_bias = w["out"], w["out_bias"]
-        self.of_class, self.log_within = vocabulary.of_class, vocabulary.log_within
+        self.out, self.out_bias = np.ascontiguousarray(w["out"][:, :-1]), w["out_bias"][:-1]
+        self.ends, self.ends_bias = np.ascontiguousarray(w["out"][:, -1]), w["out_bias"][-1]
+        self.starts, self.of_class, self.log_within = vocabulary.starts, vocabulary.of_class, vocabulary.log_within
         back = np.arange(STRIDE)[:, None] + (WINDOW - STRIDE) - np.arange(WINDOW)[None, :]
         self.bias = np.where(back < 0, FAR, w["distance"][np.clip(back, 0, WINDOW - 1)]).astype(np.float32)
 
-    def log10(self, documents: list[np.ndarray], end: int, chunk: int = 512) -> np.ndarray:
-        """The log10 probability of each document's ids followed by ``end``; ``end`` also stands ahead of the first id."""
-        lengths = np.array([len(d) + 1 for d in documents], np.int64)
+    def log10(self, documents: list[tuple[np.ndarray, np.ndarray, np.ndarray]], end: int, chunk: int = 512) -> np.ndarray:
+        """The log10 probability of each document (ids, log P of each as continuation, prior odds of an end after each) and its end."""
+        lengths = np.array([len(d[0]) + 1 for d in documents], np.int64)
         if not len(lengths):
             return np.zeros(0)
-        stop = np.array([end], np.int64)
-        flat = np.concatenate([y for d in documents for y in (stop, d)] + [stop]).astype(np.int64)  # the targets are one place further
+        none = np.zeros(1, np.float32)
+        joined = lambda i, edge: np.concatenate([y for d in documents for y in (edge, d[i])] + [edge])
+        flat = joined(0, np.array([end], np.uint16)).astype(np.int64)  # the end stands ahead of each document; targets are one place further
+        within, odds = joined(1, none), joined(2, none)
         begin = np.cumsum(lengths) - lengths
         windows = -(-lengths // STRIDE)
         owner = np.repeat(np.arange(len(lengths)), windows)
@@ -172,14 +191,24 @@ class Scorer:
             hidden = mixed[..., :-1] / mixed[..., -1:]
             hidden += self.own[asked]
             np.maximum(hidden, 0, out=hidden)
-            logits = hidden.reshape(-1, HIDDEN) @ self.out
+            hidden = hidden.reshape(-1, HIDDEN)
+            here = at[:, WINDOW - STRIDE :].ravel()
+            real = here < np.repeat(limit[part], STRIDE)
+            here = here[real]
+            hidden, target, source = hidden[real], flat[here + 1], flat[here]
+            whole = np.repeat(owner[part], STRIDE)[real]
+            x = np.clip(hidden @ self.ends + self.ends_bias + odds[here], -30, 30)
+            start = self.starts[target]
+            log_p = -np.log1p(np.exp(np.where(start, -x, x)))
+            log_p[source == end] = 0  # a word starts there, whatever the model says
+            log_p = log_p.astype(np.float64)
+            log_p[~start] += within[here[~start] + 1]
+            logits = hidden[start] @ self.out
             logits += self.out_bias
             np.clip(logits, -60, 60, out=logits)
-            here = at[:, WINDOW - STRIDE :]
-            target = flat[np.minimum(here + 1, len(flat) - 1)].ravel()
-            picked = logits[np.arange(len(target)), self.of_class[target]]
+            its = target[start]
+            picked = logits[np.arange(len(its)), self.of_class[its]]
             np.exp(logits, out=logits)
-            log_p = picked - np.log(logits.sum(axis=1)) + self.log_within[target]
-            log_p = np.where((here < limit[part, None]).ravel(), log_p, 0).reshape(-1, STRIDE).sum(axis=1)
-            total += np.bincount(owner[part], log_p, len(lengths))
+            log_p[start] += picked - np.log(logits.sum(axis=1)) + self.log_within[its]
+            total += np.bincount(whole, log_p, len(lengths))
         return total / np.log(10)

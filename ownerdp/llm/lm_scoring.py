@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -12,8 +13,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ownerdp.llm import attention
-from ownerdp.llm.common import BoundedCache, map_batches, materialise, texts_of
+from ownerdp.llm.common import BoundedCache, map_batches, materialise, per_worker, texts_of
 from ownerdp.llm.packing import _fast_encoder
+from ownerdp.llm.word_tree import WordTree
 
 #: Hash buckets of the neighbouring token, for what a token tends to follow and to precede.
 BUCKETS = 8
@@ -23,10 +25,17 @@ FLUSH = 1_000_000
 MOST_HEAD_WORDS = 1 << 19
 #: Every document gives one training window in each run of so many words.
 WORDS_A_WINDOW = 512
-ROUNDS = 2
+#: Learning rates of the rounds over all training windows.
+RATES = (0.015, 0.005)
+#: Windows that a task trains on in a round, about.
+WINDOWS_A_TASK = 16_000
+#: A batch with fewer windows is gone through several times, up to about so many.
+LEAST_WINDOWS = 2500
 #: Keys of the count table: a word is its bytes, the end the empty string; a blank, which no word holds, marks token cells.
 _CELL = b" "
 _WORDS_CACHED = 400_000
+#: What is kept of each subword: its id, its log probability as a continuation, the prior log odds of an end after it.
+_SUBWORD = np.dtype([("id", "<u2"), ("within", "<f4"), ("odds", "<f4")])
 
 
 def held_out(doc_id) -> bool:
@@ -35,31 +44,49 @@ def held_out(doc_id) -> bool:
 
 
 class SubwordCodec:
-    """Ids of whole words by their bytes, each encoded behind a blank; a cache of bounded size keeps them."""
+    """The subwords of whole words by their bytes, each encoded behind a blank; a cache of bounded size keeps them."""
 
-    def __init__(self, vocabulary: list[bytes], pattern: str):
-        self.encode, self.cache = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED)
+    def __init__(self, vocabulary: list[bytes], pattern: str, tree: WordTree | None = None):
+        self.encode, self.cache, self.tree = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED), tree
 
-    def ids(self, words: list[bytes]) -> np.ndarray:
+    def encoded(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        each = [self.encode(" " + w.decode()) for w in words]
+        lengths = np.fromiter(map(len, each), np.int64, len(each))
+        return np.fromiter((i for ids in each for i in ids), np.uint16, int(lengths.sum())), lengths
+
+    def subwords(self, words: list[bytes]) -> np.ndarray:
         cache = self.cache
         young, old = cache.young, cache.old
         try:
-            packed = b"".join(map(young.__getitem__, words))
+            return np.frombuffer(b"".join(map(young.__getitem__, words)), _SUBWORD)
         except KeyError:
-            for w in set(words).difference(young):
-                if (ids := old.get(w)) is None:
-                    ids = np.array(self.encode(" " + w.decode()), "<u2").tobytes()
-                young[w] = ids
-            packed = b"".join(map(young.__getitem__, words))
-            cache.make_room()
-        return np.frombuffer(packed, "<u2")
-
-
-def _codec(sent) -> SubwordCodec:
-    from ownerdp.llm.common import per_worker
-
+            pass
+        missing = []
+        for w in set(words).difference(young):
+            if (known := old.get(w)) is None:
+                missing.append(w)
+            else:
+                young[w] = known
+        if missing:
+            ids, lengths = self.encoded(missing)
+            rows = np.zeros(len(ids), _SUBWORD)
+            rows["id"] = ids
+            if self.tree is not None:
+                rows["within"], rows["odds"] = self.tree.describe(ids.astype(np.int64), lengths)
+            packed, at = rows.tobytes(), 0
+            for w, n in zip(missing, (lengths * _SUBWORD.itemsize).tolist(), strict=True):
+                young[w] = packed[at : at + n]
+                at += n
+        out = np.frombuffer(b"".join(map(young.__getitem__, words)), _SUBWORD)
+        cache.make_room()
+        return out
+
+
+def _codec(sent, tree=None) -> SubwordCodec:
+    """tree: a broadcast of (name, tree); the name keeps the caches of two runs apart."""
     vocabulary, pattern = sent.value
-    return per_worker(f"subwords:{len(vocabulary)}:{hash(vocabulary[-1])}", lambda: SubwordCodec(vocabulary, pattern))
+    name, its = tree.value if tree is not None else ("", None)
+    return per_worker(f"subwords:{len(vocabulary)}:{hash(vocabulary[-1])}:{name}", lambda: SubwordCodec(vocabulary, pattern, its))
 
 
 def words_of(text: str) -> list[bytes]:
@@ -89,7 +116,7 @@ def count_table(docs: DataFrame, sent, n_ids: int) -> DataFrame:
                 its = words_of(t)
                 words.update(its)
                 words[b""] += 1
-                sequence += [codec.ids(its), end]
+                sequence += [codec.subwords(its)["id"], end]
                 if len(words) >= FLUSH:
                     yield from rows(list(words), list(words.values()))
                     words.clear()
@@ -107,24 +134,28 @@ def count_table(docs: DataFrame, sent, n_ids: int) -> DataFrame:
     return materialise(counted.select("key", "n", F.col("key").substr(1, 1).eqNullSafe(F.lit(_CELL)).alias("cell")), "lm-counts")
 
 
-def describe_tokens(counts: DataFrame, n_ids: int) -> attention.Vocabulary:
-    """At most n_ids * 2 * BUCKETS counts reach the driver, whatever the corpus holds."""
+def describe_tokens(counts: DataFrame, vocabulary: list[bytes]) -> tuple[attention.Vocabulary, np.ndarray]:
+    """The fixed parts of the model and the counts of the ids. At most n_ids * 2 * BUCKETS counts reach the driver, whatever the corpus holds."""
+    n_ids = len(vocabulary) + 1
     cells = counts.filter("cell").select(F.col("key").cast("string").substr(2, 12).cast("long").alias("at"), "n").toArrow()
     table = np.zeros(n_ids * BUCKETS * 2)
     if cells.num_rows:
         table[cells["at"].to_numpy()] = cells["n"].to_numpy()
     both = table.reshape(n_ids, BUCKETS, 2)
-    return attention.describe(both[:, :, 0].sum(axis=1), both[:, :, 0], both[:, :, 1])
+    starts = np.array([t.startswith(b" ") for t in vocabulary] + [True])
+    of_id = both[:, :, 1].sum(axis=1)
+    of_id[-1] = both[-1, :, 0].sum()
+    return attention.describe(of_id, both[:, :, 0], both[:, :, 1], starts), of_id * ~starts
 
 
-def training_windows(docs: DataFrame, sent, n_ids: int) -> DataFrame:
-    """(ids): one window of each training document in each run of WORDS_A_WINDOW words, at a place taken from a hash of the id."""
+def training_windows(docs: DataFrame, sent, tree, n_ids: int) -> DataFrame:
+    """(ids, odds): one window of each training document in each run of WORDS_A_WINDOW words, at a place taken from a hash of the id."""
     size = attention.WINDOW + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = _codec(sent)
+        codec = _codec(sent, tree)
         for batch in batches:
-            out = []
+            out, priors = [], []
             for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True):
                 if held_out(d):
                     continue
@@ -133,17 +164,23 @@ def training_windows(docs: DataFrame, sent, n_ids: int) -> DataFrame:
                     room = max(1, min(WORDS_A_WINDOW, len(words) - block) - size // 2)
                     at = block + zlib.crc32(f"{d}:{block}".encode()) % room
                     at = 0 if block == 0 and zlib.crc32(f"{block}:{d}".encode()) % 8 == 0 else at
-                    ids = codec.ids(words[at : at + size])
-                    row = np.full(size, -1, np.int32)
-                    ids = np.concatenate([[n_ids - 1] if at == 0 else [], ids, [n_ids - 1] if at + size >= len(words) else []])[:size]
-                    row[: len(ids)] = ids
+                    its = codec.subwords(words[at : at + size])
+                    row, odds = np.full(size, -1, np.int32), np.zeros(size, np.float32)
+                    lead = int(at == 0)
+                    if lead:
+                        row[0] = n_ids - 1
+                    n = min(len(its), size - lead)
+                    row[lead : lead + n], odds[lead : lead + n] = its["id"][:n], its["odds"][:n]
+                    if n == len(its) and lead + n < size and at + size >= len(words):
+                        row[lead + n] = n_ids - 1
                     out.append(row.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["ids"])
+                    priors.append(odds.tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary()), pa.array(priors, pa.binary())], names=["ids", "odds"])
 
-    return materialise(map_batches(docs, run, "ids binary"), "lm-windows")
+    return materialise(map_batches(docs, run, "ids binary, odds binary"), "lm-windows")
 
 
-def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = ROUNDS) -> dict[str, np.ndarray]:
+def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = len(RATES)) -> dict[str, np.ndarray]:
     """Every round, each task trains on all its windows from the same weights; the results are averaged by windows.
 
     The averages are summed in two levels, so the driver gets one set of weights from each of about the root of the tasks.
@@ -152,9 +189,10 @@ def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = RO
     w = attention.initial(vocabulary)
     names, shapes = list(w), [v.shape for v in w.values()]
     sizes = np.cumsum([0, *(v.size for v in w.values())])
-    tasks = max(1, windows.rdd.getNumPartitions())
+    tasks = max(1, -(-windows.count() // WINDOWS_A_TASK))  # grows with the corpus; fewer windows than that make a poor average
+    windows = windows.repartition(tasks)
     levels = max(1, int(tasks**0.5))
-    width = 4 * (attention.WINDOW + 1)
+    width = attention.WINDOW + 1
 
     def unpack(flat: np.ndarray) -> dict[str, np.ndarray]:
         return {k: flat[a:b].reshape(s).astype(np.float32) for k, s, a, b in zip(names, shapes, sizes[:-1], sizes[1:], strict=True)}
@@ -169,8 +207,9 @@ def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = RO
             seen, now = 0, start
             for batch in batches:
                 if batch.num_rows:
-                    rows = np.frombuffer(b"".join(batch.column(0).to_pylist()), np.int32).reshape(-1, width // 4)
-                    now = attention.train(now, words, np.maximum(rows[:, :-1], 0), rows[:, 1:], 0.012 if r == 0 else 0.004, seed=r)
+                    rows, odds = (np.frombuffer(b"".join(batch.column(c).to_pylist()), kind).reshape(-1, width) for c, kind in ((0, np.int32), (1, np.float32)))
+                    for again in range(max(1, -(-LEAST_WINDOWS // len(rows)))):
+                        now = attention.train(now, words, rows, odds, RATES[r], seed=100 * r + again)
                     seen += len(rows)
             part = TaskContext.get().partitionId()
             flat = np.concatenate([now[k].ravel() for k in names]).astype(np.float64) * seen
@@ -218,15 +257,18 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
     counts = count_table(rows, sent, n_ids)
     words = counts.filter("not cell")
     total, distinct = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    described = describe_tokens(counts, n_ids)
-    weights = train(training_windows(rows, sent, n_ids), described)
+    described, continuations = describe_tokens(counts, vocabulary)
     head_words, least = _head(counts)
     head = head_words.select("key", "n").toArrow()
+    named = [(k, n) for k, n in zip(head["key"].to_pylist(), head["n"].to_pylist(), strict=True) if k]
+    ids, lengths = SubwordCodec(vocabulary, pattern).encoded([k for k, _ in named])
+    tree = spark.sparkContext.broadcast((uuid.uuid4().hex, WordTree(ids.astype(np.int64), lengths, np.array([n for _, n in named], float), continuations)))
+    weights = train(training_windows(rows, sent, tree, n_ids), described)
     model = spark.sparkContext.broadcast((weights, described, head, total, distinct))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w, description, table, n_all, v_all = model.value
-        codec, scorer = _codec(sent), attention.Scorer(w, description)
+        codec, scorer = _codec(sent, tree), attention.Scorer(w, description)
         terms = {k: (np.log10((c + 0.5) / (n_all + 0.5 * (v_all + 1)))) for k, c in zip(table["key"].to_pylist(), table["n"].to_pylist(), strict=True)}
         end_term = terms.get(b"")
         for batch in batches:
@@ -234,7 +276,8 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
             outs, tokens, known, base, tails, texts = [], [], [], [], [], []
             for t in texts_of(batch):
                 its = words_of(t)
-                texts.append(codec.ids(its))
+                subwords = codec.subwords(its)
+                texts.append((subwords["id"], subwords["within"], subwords["odds"]))
                 tokens.append(len(its) + 1)
                 found = list(map(terms.get, its))
                 found.append(end_term)
@@ -252,7 +295,7 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column(0), pa.array([held_out(d) for d in ids], pa.bool_()), pa.array(tokens, pa.int64()), pa.array(known, pa.int64()), pa.array(base, pa.float64()),
-                    pa.array(np.concatenate(outs) if outs else np.zeros(0), pa.float64()), pa.array([len(x) for x in texts], pa.int64()), pa.array(tails, entry),
+                    pa.array(np.concatenate(outs) if outs else np.zeros(0), pa.float64()), pa.array([len(x[0]) for x in texts], pa.int64()), pa.array(tails, entry),
                 ],
                 names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "n_subwords", "tail"],
             )

@@ -1,0 +1,116 @@
+"""How words go on, from the counts of whole words: the next subword by the word's subwords so far, backing off to the last one."""
+
+from __future__ import annotations
+
+import numpy as np
+
+_EMPTY = np.uint64(0)
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+#: What every seen way to go on gives to the unseen ones.
+DISCOUNT = 0.75
+
+
+def mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """A hash of two 64-bit values, never zero."""
+    with np.errstate(over="ignore"):
+        x = (a.astype(np.uint64) ^ (b.astype(np.uint64) + _MIX)) * np.uint64(0xD6E8FEB86659FD93)
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+        return (x ^ (x >> np.uint64(29))) | np.uint64(1)
+
+
+class HashIndex:
+    """From distinct 64-bit keys to their places 0, 1, ...; open addressing in numpy. Absent keys give the place n."""
+
+    def __init__(self, keys: np.ndarray):
+        self.n = len(keys)
+        bits = max(4, int(np.ceil(np.log2(max(1, self.n) * 2.5))))
+        self.shift, self.mask = np.uint64(64 - bits), np.int64((1 << bits) - 1)
+        self.keys = np.zeros(1 << bits, np.uint64)
+        self.place = np.full(1 << bits, self.n, np.int32)
+        at, left, self.probes = self._home(keys), np.arange(self.n), 0
+        while len(left):
+            self.probes += 1
+            free = self.keys[at] == _EMPTY
+            where, winner = np.unique(at[free], return_index=True)
+            chosen = left[free][winner]
+            self.keys[where], self.place[where] = keys[chosen], chosen
+            stays = self.keys[at] != keys[left]
+            left, at = left[stays], (at[stays] + 1) & self.mask
+
+    def _home(self, keys: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            return ((keys * _MIX) >> self.shift).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        out, at, left = np.full(len(keys), self.n, np.int64), self._home(keys), np.arange(len(keys))
+        for _ in range(self.probes):
+            held = self.keys[at]
+            hit = held == keys[left]
+            out[left[hit]] = self.place[at[hit]]
+            go = ~hit & (held != _EMPTY)
+            if not go.any():
+                break
+            left, at = left[go], (at[go] + 1) & self.mask
+        return out
+
+
+def _sums(keys: np.ndarray, *weights: np.ndarray) -> tuple[np.ndarray, ...]:
+    distinct, of = np.unique(keys, return_inverse=True)
+    return distinct, *(np.append(np.bincount(of, w, len(distinct)), 0.0) for w in weights)
+
+
+def contexts(ids: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For the subwords of words laid end to end: the place in the word, and a hash of the word up to and with each subword."""
+    begin = np.repeat(np.cumsum(lengths) - lengths, lengths)
+    place = np.arange(len(ids)) - begin
+    so_far = np.zeros(len(ids), np.uint64)
+    order = np.argsort(place, kind="stable")
+    edges = np.searchsorted(place[order], np.arange(int(place.max()) + 2 if len(place) else 1))
+    for p, (a, b) in enumerate(zip(edges, edges[1:], strict=False)):
+        at = order[a:b]
+        so_far[at] = mix(so_far[at - 1] if p else np.zeros(len(at), np.uint64), ids[at])
+    return place, so_far
+
+
+class WordTree:
+    """Counts of the most frequent words, so its size is bounded by their number; continuation_counts holds all tokens."""
+
+    def __init__(self, ids: np.ndarray, lengths: np.ndarray, counts: np.ndarray, continuation_counts: np.ndarray):
+        place, so_far = contexts(ids, lengths)
+        n = np.repeat(counts.astype(float), lengths)
+        self.share = np.log((continuation_counts + 0.05) / (continuation_counts.sum() + 0.05 * len(continuation_counts)))
+        last = np.zeros(len(ids), bool)
+        last[np.cumsum(lengths) - 1] = True
+        goes_on, follows = ~last, np.flatnonzero(place > 0)
+        # contexts of two orders: the whole word so far, and the last subword; each with the weight that goes on and that ends
+        self.tree, self.pair = {}, {}
+        for table, key in ((self.tree, so_far), (self.pair, mix(np.full(len(ids), 7, np.uint64), ids))):
+            context, total, on = _sums(key, n, n * goes_on)
+            branch, weight = _sums(mix(key[follows - 1], ids[follows]), n[follows])
+            parent = np.zeros(len(branch), np.uint64)
+            parent[np.searchsorted(branch, mix(key[follows - 1], ids[follows]))] = key[follows - 1]
+            _, kinds = _sums(np.concatenate([context, parent]), np.concatenate([np.zeros(len(context)), np.ones(len(branch))]))
+            table |= {"context": HashIndex(context), "total": total, "on": on, "kinds": kinds, "branch": HashIndex(branch), "weight": weight}
+        self.ends_share = float((counts.sum() + 1) / (n.sum() + 2)) if len(ids) else 0.5
+
+    def describe(self, ids: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For the subwords of words laid end to end: the log probability of each as the continuation of its word (0 for the
+        first), and the prior log odds that the word ends after each."""
+        place, so_far = contexts(ids, lengths)
+        pair_key = mix(np.full(len(ids), 7, np.uint64), ids)
+        follows = np.flatnonzero(place > 0)
+        p = np.exp(self.share[ids[follows]])
+        ends = np.full(len(ids), self.ends_share)
+        for table, key in ((self.pair, pair_key), (self.tree, so_far)):
+            ahead, its = key[follows - 1], ids[follows]
+            at = table["context"].find(ahead)
+            weight = table["weight"][table["branch"].find(mix(ahead, its))]
+            p = (np.maximum(weight - DISCOUNT, 0) + (DISCOUNT * table["kinds"][at] + 0.5) * p) / (table["on"][at] + 0.5)
+            at = table["context"].find(key)
+            ended = np.maximum(table["total"][at] - table["on"][at], 0)
+            ways = table["kinds"][at] + (ended > 0)
+            ends = (np.maximum(ended - DISCOUNT, 0) + (DISCOUNT * ways + 0.5) * ends) / (table["total"][at] + 0.5)
+        log_p = np.zeros(len(ids), np.float32)
+        log_p[follows] = np.log(np.maximum(p, 1e-12))
+        ends = np.clip(ends, 1e-6, 1 - 1e-6)
+        return log_p, (np.log(ends) - np.log1p(-ends)).astype(np.float32)
