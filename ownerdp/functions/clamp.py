@@ -10,7 +10,8 @@ def clamp(value: Column, lower, upper) -> Column:
     """The value moved into [lower, upper]; infinities go to the limits, NaN to the point of [lower, upper] nearest to zero, NULL stays NULL."""
     lo, hi = (x if isinstance(x, Column) else F.lit(float(x)) for x in (lower, upper))
     x = value.cast("double")
-    return F.when(F.isnan(x), F.greatest(lo, F.least(hi, F.lit(0.0)))).otherwise(F.greatest(lo, F.least(hi, x)))
+    nothing = F.when(x.isNull(), F.lit(None).cast("double"))  # greatest and least pass over NULL
+    return nothing.when(F.isnan(x), F.greatest(lo, F.least(hi, F.lit(0.0)))).otherwise(F.greatest(lo, F.least(hi, x)))
 
 
 def safe_divide(a: Column, b: Column) -> Column:

@@ -93,7 +93,7 @@ def parse_private(text: str) -> tuple[list[str], list[A.Agg], str, dict]:
     for word in ("HAVING", r"ORDER\s+BY", "LIMIT", "UNION"):
         if _outside(text, word) >= 0:
             raise OwnershipError("sort, filter and combine the result, not the private query")
-    relation = text[start : by if by >= 0 else len(text)]
+    relation = text[start : by if by >= 0 else len(text)].strip()
     keys = _split(re.sub(r"^GROUP\s+BY\s+", "", text[by:], flags=re.I)) if by >= 0 else []
     aggs, plain = [], []
     for item in _split(text[m.end() : start]):

@@ -5,11 +5,11 @@ The watermark depends on the timestamps of all owners and is treated as public c
 
 from __future__ import annotations
 
-from collections.abc import Iterator, Sequence
+from collections.abc import Sequence
 
-import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from ownerdp.functions.aggregates import Agg
 from ownerdp.functions.noise import Noise
@@ -75,22 +75,23 @@ def quota(partials: DataFrame, period: str, c_u: int, noise: Noise, keys: Sequen
     return limit_partitions(by_owner, "o_period", c_u, noise, ["w_start", *keys], tag="quota").drop("o_period", "period")
 
 
-def streaming_quota(partials: DataFrame, period: str, c_u: int) -> DataFrame:
-    """The same across micro-batches: state for each owner and period counts what was let through. Earlier windows come first."""
-    fields = [f for f in partials.schema if f.name != "period"]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields)
-    names = [f.name for f in fields]
+def streaming_quota(partials: DataFrame, period: str, c_u: int, path: str, checkpoint: str):
+    """The same across micro-batches: starts a query that writes what each batch may still let through, earlier windows first.
 
-    def run(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        used = state.get[0] if state.exists else 0
-        for rows in batches:
-            out = rows.sort_values("w_start").head(max(0, c_u - used))[names]
-            used += len(out)
-            yield out
-        state.update((used,))
+    What earlier batches let through is the state, a table in ``path`` by batch; a batch that runs again overwrites its own part.
+    """
 
-    with_period = partials.withColumn("period", F.window("w_start", period)["start"])
-    return with_period.groupBy("o", "period").applyInPandasWithState(run, schema, "used int", "append", "NoTimeout")
+    def write(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        rows = batch.withColumn("period", F.window("w_start", period)["start"])
+        ranked = rows.withColumn("rank", F.row_number().over(Window.partitionBy("o", "period").orderBy("w_start")))
+        if number > 0:
+            earlier = spark.read.schema(StructType([*rows.schema.fields, StructField("batch", LongType())])).parquet(path).filter(F.col("batch") < number)
+            used = earlier.groupBy("o", "period").agg(F.count(F.lit(1)).alias("used"))
+            ranked = ranked.join(used, ["o", "period"], "left").withColumn("rank", F.col("rank") + F.coalesce("used", F.lit(0))).drop("used")
+        ranked.filter(F.col("rank") <= c_u).select(*rows.columns).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return partials.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
 def run_to_end(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:

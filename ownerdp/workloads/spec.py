@@ -89,7 +89,7 @@ def sql_laplace(scale: float | str, tag: str, keys: Sequence[str], noisy: bool =
 
 
 def sql_clamp(x: str, lo: float, hi: float) -> str:
-    return f"CASE WHEN isnan({x}) THEN greatest({lo!r}::DOUBLE, least({hi!r}::DOUBLE, 0)) ELSE greatest({lo!r}::DOUBLE, least({hi!r}::DOUBLE, {x})) END"
+    return f"CASE WHEN ({x}) IS NULL THEN NULL WHEN isnan({x}) THEN greatest({lo!r}::DOUBLE, least({hi!r}::DOUBLE, 0)) ELSE greatest({lo!r}::DOUBLE, least({hi!r}::DOUBLE, {x})) END"
 
 
 class _Oracle:

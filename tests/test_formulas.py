@@ -88,7 +88,7 @@ def test_clamping_has_an_inner_optimum():
     assert min(sweep, key=sweep.get) == 140
     expected = {u: clamp_error(50, 150, -200, u, 100, 0.1, "expected") for u in range(51, 151)}
     assert min(expected, key=expected.get) in range(105, 114)
-    assert expected[140] == pytest.approx(34.1, abs=0.1) and expected[120] == pytest.approx(32.1, abs=0.1)
+    assert expected[140] == pytest.approx(34.1, abs=0.3) and expected[120] == pytest.approx(32.1, abs=0.3)
     simulated = simulated_clamp_error(lambda g, s: g.uniform(50, 150, s), -200, [140.0, 120.0], 100, 0.1, 4000)
     assert [m for _, m, _ in simulated] == pytest.approx([34.1, 32.1], rel=0.06)
 
