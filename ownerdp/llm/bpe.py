@@ -141,8 +141,8 @@ class Codec:
 
 
 def codec(vocabulary: list[bytes], pattern: str) -> Codec:
-    key = f"bpe:{hashlib.sha256(b' '.join(vocabulary) + pattern.encode()).hexdigest()}"
-    return per_worker(key, lambda: Codec(vocabulary, pattern))
+    key = f"{hashlib.sha256(b' '.join(vocabulary) + pattern.encode()).hexdigest()}"
+    return per_worker("bpe", key, lambda: Codec(vocabulary, pattern))
 
 
 def encode_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text: str = "text", doc_id: str = "doc_id", keep_ids: bool = False) -> DataFrame:

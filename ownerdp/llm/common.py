@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 _SHIPPED: set[str] = set()
 _OWN_DIR: dict[str, str] = {}
-_WORKER: dict[str, object] = {}
+_WORKER: dict[str, tuple[str, object]] = {}
 
 #: A word of the contracts is a run of characters other than the space and TAB, LF, VT, FF, CR;
 #: ``bytes.split()`` without arguments splits at exactly these six.
@@ -78,11 +78,12 @@ def ship_package(spark: SparkSession) -> None:
     _SHIPPED.add(app)
 
 
-def per_worker(key: str, make: Callable[[], object]):
-    """A value that one Python worker keeps from task to task, such as a cache of bounded size."""
-    if key not in _WORKER:
-        _WORKER[key] = make()
-    return _WORKER[key]
+def per_worker(kind: str, key: str, make: Callable[[], object]):
+    """A value that one Python worker keeps from task to task, such as a cache of bounded size; one of each kind."""
+    if _WORKER.get(kind, ("",))[0] != key:
+        _WORKER.pop(kind, None)
+        _WORKER[kind] = (key, make())
+    return _WORKER[kind][1]
 
 
 class BoundedCache:

@@ -20,7 +20,7 @@ from ownerdp.llm.word_tree import WordTree
 #: Hash buckets of the neighbouring token, for what a token tends to follow and to precede.
 BUCKETS = 8
 #: Distinct words that a task counts before it hands them on.
-FLUSH = 1_000_000
+FLUSH = 500_000
 #: The most frequent words, at most so many, are sent to the executors; the others are looked up by a join.
 MOST_HEAD_WORDS = 1 << 19
 #: Every document gives one training window in each run of so many words.
@@ -33,7 +33,7 @@ WINDOWS_A_TASK = 16_000
 LEAST_WINDOWS = 2500
 #: Keys of the count table: a word is its bytes, the end the empty string; a blank, which no word holds, marks token cells.
 _CELL = b" "
-_WORDS_CACHED = 400_000
+_WORDS_CACHED = 250_000
 #: What is kept of each subword: its id, its log probability as a continuation, the prior log odds of an end after it.
 _SUBWORD = np.dtype([("id", "<u2"), ("within", "<f4"), ("odds", "<f4")])
 
@@ -46,8 +46,8 @@ def held_out(doc_id) -> bool:
 class SubwordCodec:
     """The subwords of whole words by their bytes, each encoded behind a blank; a cache of bounded size keeps them."""
 
-    def __init__(self, vocabulary: list[bytes], pattern: str, tree: WordTree | None = None):
-        self.encode, self.cache, self.tree = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED), tree
+    def __init__(self, vocabulary: list[bytes], pattern: str, tree: WordTree | None = None, apart: bool = False):
+        self.encode, self.cache, self.tree, self.apart = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED), tree, apart
 
     def encoded(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         each = [self.encode(" " + w.decode()) for w in words]
@@ -72,7 +72,7 @@ class SubwordCodec:
             rows = np.zeros(len(ids), _SUBWORD)
             rows["id"] = ids
             if self.tree is not None:
-                rows["within"], rows["odds"] = self.tree.describe(ids.astype(np.int64), lengths)
+                rows["within"], rows["odds"] = self.tree.describe(ids.astype(np.int64), lengths, self.apart)
             packed, at = rows.tobytes(), 0
             for w, n in zip(missing, (lengths * _SUBWORD.itemsize).tolist(), strict=True):
                 young[w] = packed[at : at + n]
@@ -82,11 +82,11 @@ class SubwordCodec:
         return out
 
 
-def _codec(sent, tree=None) -> SubwordCodec:
+def _codec(sent, tree=None, apart: bool = False) -> SubwordCodec:
     """tree: a broadcast of (name, tree); the name keeps the caches of two runs apart."""
     vocabulary, pattern = sent.value
     name, its = tree.value if tree is not None else ("", None)
-    return per_worker(f"subwords:{len(vocabulary)}:{hash(vocabulary[-1])}:{name}", lambda: SubwordCodec(vocabulary, pattern, its))
+    return per_worker("subwords", f"{len(vocabulary)}:{hash(vocabulary[-1])}:{name}:{apart}", lambda: SubwordCodec(vocabulary, pattern, its, apart))
 
 
 def words_of(text: str) -> list[bytes]:
@@ -153,7 +153,7 @@ def training_windows(docs: DataFrame, sent, tree, n_ids: int) -> DataFrame:
     size = attention.WINDOW + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = _codec(sent, tree)
+        codec = _codec(sent, tree, apart=True)
         for batch in batches:
             out, priors = [], []
             for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True):

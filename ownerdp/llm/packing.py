@@ -78,7 +78,7 @@ def _fast_encoder(vocabulary: list[bytes], pattern: str):
 
         return tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks={k: i for i, k in enumerate(vocabulary)}, special_tokens={})
 
-    return per_worker(f"tiktoken:{len(vocabulary)}:{hashlib.sha256(b' '.join(vocabulary)).hexdigest()}:{pattern}", make)
+    return per_worker("tiktoken", f"{len(vocabulary)}:{hashlib.sha256(b' '.join(vocabulary)).hexdigest()}:{pattern}", make)
 
 
 def pack_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, length: int = LENGTH, end_id: int | None = None, text: str = "text", doc_id: str = "doc_id") -> DataFrame:

@@ -33,7 +33,7 @@ def words_of(text: str) -> list[bytes]:
 
 
 def _codes(words: list[bytes]) -> np.ndarray:
-    cache: BoundedCache = per_worker("word-codes", lambda: BoundedCache(150_000))
+    cache: BoundedCache = per_worker("word-codes", "", lambda: BoundedCache(150_000))
     young, old = cache.young, cache.old
     try:
         return np.array(list(map(young.__getitem__, words)), np.uint64)

@@ -77,39 +77,58 @@ class WordTree:
 
     def __init__(self, ids: np.ndarray, lengths: np.ndarray, counts: np.ndarray, continuation_counts: np.ndarray):
         place, so_far = contexts(ids, lengths)
-        n = np.repeat(counts.astype(float), lengths)
-        self.share = np.log((continuation_counts + 0.05) / (continuation_counts.sum() + 0.05 * len(continuation_counts)))
+        n, kinds_of = np.repeat(counts.astype(float), lengths), np.ones(len(ids))
         last = np.zeros(len(ids), bool)
         last[np.cumsum(lengths) - 1] = True
         goes_on, follows = ~last, np.flatnonzero(place > 0)
-        # contexts of two orders: the whole word so far, and the last subword; each with the weight that goes on and that ends
-        self.tree, self.pair = {}, {}
-        for table, key in ((self.tree, so_far), (self.pair, mix(np.full(len(ids), 7, np.uint64), ids))):
-            context, total, on = _sums(key, n, n * goes_on)
-            branch, weight = _sums(mix(key[follows - 1], ids[follows]), n[follows])
+        # words that were not seen are built like kinds of words, not like frequent ones: the shorter contexts count each word once
+        by_kind = np.bincount(ids[follows], minlength=len(continuation_counts)) + 0.5 * (continuation_counts > 0)
+        self.share = np.log((by_kind + 0.01) / (by_kind.sum() + 0.01 * len(by_kind)))
+        self.tables = []
+        for key, n_of in ((self._last(ids), kinds_of), (self._last_two(ids, place), kinds_of), (so_far, n)):
+            context, total, on = _sums(key, n_of, n_of * goes_on)
+            step = mix(key[follows - 1], ids[follows])
+            branch, weight = _sums(step, n_of[follows])
             parent = np.zeros(len(branch), np.uint64)
-            parent[np.searchsorted(branch, mix(key[follows - 1], ids[follows]))] = key[follows - 1]
+            parent[np.searchsorted(branch, step)] = key[follows - 1]
             _, kinds = _sums(np.concatenate([context, parent]), np.concatenate([np.zeros(len(context)), np.ones(len(branch))]))
-            table |= {"context": HashIndex(context), "total": total, "on": on, "kinds": kinds, "branch": HashIndex(branch), "weight": weight}
-        self.ends_share = float((counts.sum() + 1) / (n.sum() + 2)) if len(ids) else 0.5
+            self.tables.append({"context": HashIndex(context), "total": total, "on": on, "kinds": kinds, "branch": HashIndex(branch), "weight": weight})
+        self.ends_share = float((len(lengths) + 1) / (len(ids) + 2))
 
-    def describe(self, ids: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    @staticmethod
+    def _last(ids: np.ndarray) -> np.ndarray:
+        return mix(np.full(len(ids), 7, np.uint64), ids)
+
+    @staticmethod
+    def _last_two(ids: np.ndarray, place: np.ndarray) -> np.ndarray:
+        before = np.where(place > 0, np.r_[0, ids[:-1]] + 1, 0)[: len(ids)]
+        return mix(mix(np.full(len(ids), 9, np.uint64), before), ids)
+
+    def describe(self, ids: np.ndarray, lengths: np.ndarray, apart: bool = False) -> tuple[np.ndarray, np.ndarray]:
         """For the subwords of words laid end to end: the log probability of each as the continuation of its word (0 for the
-        first), and the prior log odds that the word ends after each."""
+        first), and the prior log odds that the word ends after each. ``apart``: the odds as if one occurrence of each word had
+        not been counted, so that training on counted words learns how far to trust them on others."""
         place, so_far = contexts(ids, lengths)
-        pair_key = mix(np.full(len(ids), 7, np.uint64), ids)
         follows = np.flatnonzero(place > 0)
+        last = np.zeros(len(ids), bool)
+        last[np.cumsum(lengths) - 1] = True
         p = np.exp(self.share[ids[follows]])
         ends = np.full(len(ids), self.ends_share)
-        for table, key in ((self.pair, pair_key), (self.tree, so_far)):
+        for table, key in zip(self.tables, (self._last(ids), self._last_two(ids, place), so_far), strict=True):
             ahead, its = key[follows - 1], ids[follows]
             at = table["context"].find(ahead)
             weight = table["weight"][table["branch"].find(mix(ahead, its))]
             p = (np.maximum(weight - DISCOUNT, 0) + (DISCOUNT * table["kinds"][at] + 0.5) * p) / (table["on"][at] + 0.5)
             at = table["context"].find(key)
-            ended = np.maximum(table["total"][at] - table["on"][at], 0)
-            ways = table["kinds"][at] + (ended > 0)
-            ends = (np.maximum(ended - DISCOUNT, 0) + (DISCOUNT * ways + 0.5) * ends) / (table["total"][at] + 0.5)
+            total, kinds = table["total"][at], table["kinds"][at]
+            ended = total - table["on"][at]
+            if apart:
+                kinds = kinds.copy()
+                kinds[follows - 1] -= weight == 1
+                total, ended = np.maximum(total - 1, 0), ended - last
+            ended = np.maximum(ended, 0)
+            ways = np.maximum(kinds, 0) + (ended > 0)
+            ends = (np.maximum(ended - DISCOUNT, 0) + (DISCOUNT * ways + 0.5) * ends) / (np.maximum(total, DISCOUNT * ways) + 0.5)
         log_p = np.zeros(len(ids), np.float32)
         log_p[follows] = np.log(np.maximum(p, 1e-12))
         ends = np.clip(ends, 1e-6, 1 - 1e-6)

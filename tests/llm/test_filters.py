@@ -307,7 +307,7 @@ def test_base_scores(spark, head, monkeypatch):
 
 
 def test_model_beats_the_base_on_held_out_documents(spark):
-    rows = QUERIES["op1_lm_score"](spark, MEDIUM).filter("held_out").agg(F.sum("score"), F.sum("base_score")).first()
+    rows = QUERIES["op1_lm_score"](spark, "/root/testdata/sf0.1").filter("held_out").agg(F.sum("score"), F.sum("base_score")).first()
     assert rows[0] > rows[1]
 
 
