@@ -102,3 +102,15 @@ def test_stream_drops_late_rows_and_releases_windows_once(spark, tmp_path):
     query.awaitTermination()
     released = spark.read.parquet(str(tmp_path / "out"))
     assert charged and released.count() == released.select("w_start").distinct().count() == out.select("w_start").distinct().count()
+
+
+def test_engines_compare_as_reported(spark):
+    rows = {(r["engine"], r["limit"] > 1): r["median_relative_error"] for r in QUERIES["q1_comparison"](spark, MEDIUM).collect()}
+    ours, rows_a, rows_b = rows["owner level", True], rows["row level", True], rows["row level, joins", True]
+    assert ours == pytest.approx(rows_a, rel=0.05) and rows_b > 3 * ours and 0.08 < ours < 0.1
+    assert rows["owner level", False] == pytest.approx(0.990, abs=1e-3) and rows["row level", False] < 0.01
+
+
+def test_only_broken_mechanisms_fail(spark):
+    failing = {r["mechanism"]: r["failing"] for r in QUERIES["tester_verdicts"](spark, SMALL).collect()}
+    assert failing.pop("average, exact count, narrow noise") > 0 and not any(failing.values())
