@@ -190,6 +190,10 @@ def _similar(at_least: float):
     return run
 
 
+#: Bands that a bucket shares in the rounds one after the other; texts that share many are nearly always similar.
+LEVELS = (1, 2, 4, 8, BANDS)
+#: Texts of a large bucket that all others in it are compared with: the most central one, and the first in a random order.
+HEADS = 2
 #: Ids of candidates that are broadcast at most, 8 bytes each, to find their texts.
 MOST_CANDIDATES = 2_000_000
 
@@ -197,35 +201,56 @@ MOST_CANDIDATES = 2_000_000
 def similar_links(texts: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """Links (a, b) between rows of (row, text) whose sets of shingles have the given Jaccard similarity.
 
-    Rows that share a band are candidates. Buckets of up to PAIRWISE rows give all their pairs. Of a larger bucket every
-    row is paired with the first one, so a group of thousands of copies costs as many pairs as it has rows. Rows that do not
-    prove similar to the first one go on in finer buckets, of those that share one more band: there texts that have only a
-    passage in common part, and similar ones, which share 6 of 15 bands, stay together. Chains of fingerprint segments and the
-    full distance prune the pairs; only for what is left are the sets built and compared.
+    Rows that share a band are candidates. Buckets of up to PAIRWISE rows give all their pairs. Of a larger bucket all rows are
+    paired with a few heads, first of all the row whose bands have the largest buckets, the centre of a group of mutated
+    copies; so a group of thousands costs a few pairs for each of its rows. Rows that prove similar to none go on in finer
+    buckets, of those that share more bands: there texts that have only a passage in common part, and similar ones, which share
+    6 of 15 bands, stay together. Chains of fingerprint segments and the full distance prune the pairs; only for what is left
+    are the sets built and compared.
     """
     sketches = materialise(map_batches(texts, _sketches(shingle), "row long, fp long, bands array<bigint>"), "near-sketches")
     bits = sketches.select("row", "fp")
     left = sketches.select("row", F.explode("bands").alias("key")).withColumn("used", F.array("key"))
     found: DataFrame | None = None
-    while True:
-        sizes = left.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("head")).filter("n > 1")
-        members = materialise(left.join(sizes, "key"), "near-members")
-        many = members.filter((F.col("n") > PAIRWISE) & (F.col("row") != F.col("head")))
+    central: DataFrame | None = None
+    for at, level in enumerate(LEVELS):
+        if central is None:
+            sizes = materialise(left.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "near-sizes")
+            central = materialise(left.join(sizes, "key").groupBy("row").agg(F.sum("n").alias("central")), "near-central")
+        scored = left.join(central, "row")
+        random = [F.min_by("row", F.xxhash64("row", F.lit(i))) for i in range(1, HEADS)]
+        groups = scored.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.array_distinct(F.array(F.max_by("row", F.struct("central", "row")), *random)).alias("heads")).filter("n > 1")
+        members = materialise(left.join(groups, "key"), "near-members")
+        many = members.filter((F.col("n") > PAIRWISE) & ~F.array_contains("heads", F.col("row")))
+        star = many.select("row", "key", F.explode("heads").alias("head"))
         few = members.filter(F.col("n") <= PAIRWISE).groupBy("key").agg(F.sort_array(F.collect_set("row")).alias("rows"))
         pairs = few.select(F.explode("rows").alias("a"), "rows").select("a", F.explode("rows").alias("b")).filter("a < b")
-        star = many.select(F.least("head", "row").alias("a"), F.greatest("head", "row").alias("b"))
-        candidates = pairs.unionByName(star).distinct()
+        between = members.filter(F.col("n") > PAIRWISE).select("heads").distinct().select(F.explode("heads").alias("a"), "heads").select("a", F.explode("heads").alias("b")).filter("a < b")
+        candidates = pairs.unionByName(between).unionByName(star.select(F.least("head", "row").alias("a"), F.greatest("head", "row").alias("b"))).distinct()
         near = F.bit_count(F.col("x").bitwiseXOR(F.col("y"))) <= SIMILAR_BITS
         with_bits = candidates.join(bits.select(F.col("row").alias("a"), F.col("fp").alias("x")), "a").join(bits.select(F.col("row").alias("b"), F.col("fp").alias("y")), "b")
         pruned = materialise(with_bits.filter(viable(F.col("x"), F.col("y"), SIMILAR_BITS, SIMILAR_SEGMENTS)).filter(near).select("a", "b"), "near-pruned")
         links = materialise(_verified(texts, pruned, shingle, similarity), "near-links")
         found = links if found is None else found.unionByName(links)
-        rest = many.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_anti").select("row", "used")
-        if (rest := materialise(rest, "near-rest")).isEmpty():
-            return found.distinct()
-        finer = rest.join(sketches.select("row", F.explode("bands").alias("band")), "row").filter(~F.array_contains("used", F.col("band")))
-        more = finer.select("row", F.sort_array(F.concat("used", F.array("band"))).alias("used")).distinct()
-        left = materialise(more.select("row", F.xxhash64("used").alias("key"), "used"), "near-finer")
+        if at + 1 == len(LEVELS):
+            break
+        joined = star.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_semi").select("row", "key").distinct()
+        rest = materialise(many.join(joined, ["row", "key"], "left_anti").select("row", "used"), "near-rest")
+        if rest.isEmpty():
+            break
+        left = _finer(rest, sketches, LEVELS[at + 1] - level)
+    return found.distinct()
+
+
+def _finer(rest: DataFrame, sketches: DataFrame, more: int) -> DataFrame:
+    """(row, key, used) for every way to share ``more`` bands beyond those used."""
+    for _ in range(more):
+        wider = rest.join(sketches.select("row", F.explode("bands").alias("band")), "row").filter(~F.array_contains("used", F.col("band")))
+        rest = materialise(wider.select("row", F.sort_array(F.concat("used", F.array("band"))).alias("used")).distinct(), "near-finer")
+        # ways that no other row shares lead nowhere
+        shared = rest.groupBy(F.xxhash64("used").alias("key")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+        rest = rest.withColumn("key", F.xxhash64("used")).join(shared, "key", "left_semi").drop("key")
+    return materialise(rest.withColumn("key", F.xxhash64("used")), "near-finer")
 
 
 def _verified(texts: DataFrame, pairs: DataFrame, shingle: int, similarity: float) -> DataFrame:
