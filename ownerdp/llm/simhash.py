@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 
 import numpy as np
@@ -190,7 +191,7 @@ def _similar(at_least: float):
     return run
 
 
-#: Bands that a bucket shares in the rounds one after the other; texts that share many are nearly always similar.
+#: Bands that the rows of a bucket share in the rounds one after the other; rows that share many are nearly always similar.
 LEVELS = (1, 2, 4, 8, BANDS)
 #: Texts of a large bucket that all others in it are compared with: the most central one, and the first in a random order.
 HEADS = 2
@@ -203,26 +204,26 @@ def similar_links(texts: DataFrame, shingle: int = 5, similarity: float = 0.8) -
 
     Rows that share a band are candidates. Buckets of up to PAIRWISE rows give all their pairs. Of a larger bucket all rows are
     paired with a few heads, first of all the row whose bands have the largest buckets, the centre of a group of mutated
-    copies; so a group of thousands costs a few pairs for each of its rows. Rows that prove similar to none go on in finer
-    buckets, of those that share more bands: there texts that have only a passage in common part, and similar ones, which share
-    6 of 15 bands, stay together. Chains of fingerprint segments and the full distance prune the pairs; only for what is left
-    are the sets built and compared.
+    copies; so a group of thousands costs a few pairs for each of its rows. Rows that prove similar to no head of the bucket
+    go on in finer ones, of those that share more bands: there texts that have only a passage in common part, and similar
+    ones, which share 6 of 15 bands, stay together. Chains of fingerprint segments and the full distance prune the pairs;
+    only for what is left are the sets built and compared.
     """
     sketches = materialise(map_batches(texts, _sketches(shingle), "row long, fp long, bands array<bigint>"), "near-sketches")
     bits = sketches.select("row", "fp")
-    left = sketches.select("row", F.explode("bands").alias("key")).withColumn("used", F.array("key"))
+    each = sketches.select("row", F.posexplode("bands").alias("band", "key"))
+    sizes = materialise(each.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "near-sizes")
+    shared = each.join(sizes, "key").select("row", F.pow(F.lit(2), "band").cast("int").alias("mask"), "key", "n")
+    left = materialise(shared, "near-shared")  # a band that no other row has leads nowhere, in no round
+    of_row = materialise(left.groupBy("row").agg(F.sum("n").alias("central"), F.bit_or("mask").alias("shared")), "near-central")
     found: DataFrame | None = None
-    central: DataFrame | None = None
     for at, level in enumerate(LEVELS):
-        if central is None:
-            sizes = materialise(left.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "near-sizes")
-            central = materialise(left.join(sizes, "key").groupBy("row").agg(F.sum("n").alias("central")), "near-central")
-        scored = left.join(central, "row")
+        scored = left.select("row", "key").join(of_row.select("row", "central"), "row")
         random = [F.min_by("row", F.xxhash64("row", F.lit(i))) for i in range(1, HEADS)]
         groups = scored.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.array_distinct(F.array(F.max_by("row", F.struct("central", "row")), *random)).alias("heads")).filter("n > 1")
-        members = materialise(left.join(groups, "key"), "near-members")
+        members = materialise(left.select("row", "mask", "key").join(groups, "key"), "near-members")
         many = members.filter((F.col("n") > PAIRWISE) & ~F.array_contains("heads", F.col("row")))
-        star = many.select("row", "key", F.explode("heads").alias("head"))
+        star = many.select("row", "mask", F.explode("heads").alias("head"))
         few = members.filter(F.col("n") <= PAIRWISE).groupBy("key").agg(F.sort_array(F.collect_set("row")).alias("rows"))
         pairs = few.select(F.explode("rows").alias("a"), "rows").select("a", F.explode("rows").alias("b")).filter("a < b")
         between = members.filter(F.col("n") > PAIRWISE).select("heads").distinct().select(F.explode("heads").alias("a"), "heads").select("a", F.explode("heads").alias("b")).filter("a < b")
@@ -234,23 +235,30 @@ def similar_links(texts: DataFrame, shingle: int = 5, similarity: float = 0.8) -
         found = links if found is None else found.unionByName(links)
         if at + 1 == len(LEVELS):
             break
-        joined = star.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_semi").select("row", "key").distinct()
-        rest = materialise(many.join(joined, ["row", "key"], "left_anti").select("row", "used"), "near-rest")
+        joined = star.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_semi").select("row", "mask").distinct()
+        rest = materialise(many.select("row", "mask").join(joined, ["row", "mask"], "left_anti").groupBy("row").agg(F.collect_set("mask").alias("masks")), "near-rest")
         if rest.isEmpty():
             break
-        left = _finer(rest, sketches, LEVELS[at + 1] - level)
+        wider = rest.join(of_row.select("row", "shared"), "row").join(sketches.select("row", "bands"), "row").select("row", "masks", "shared", "bands")
+        left = materialise(map_batches(wider, _more_bands(LEVELS[at + 1] - level), "row long, mask int, key long"), "near-finer")
     return found.distinct()
 
 
-def _finer(rest: DataFrame, sketches: DataFrame, more: int) -> DataFrame:
-    """(row, key, used) for every way to share ``more`` bands beyond those used."""
-    for _ in range(more):
-        wider = rest.join(sketches.select("row", F.explode("bands").alias("band")), "row").filter(~F.array_contains("used", F.col("band")))
-        rest = materialise(wider.select("row", F.sort_array(F.concat("used", F.array("band"))).alias("used")).distinct(), "near-finer")
-        # ways that no other row shares lead nowhere
-        shared = rest.groupBy(F.xxhash64("used").alias("key")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-        rest = rest.withColumn("key", F.xxhash64("used")).join(shared, "key", "left_semi").drop("key")
-    return materialise(rest.withColumn("key", F.xxhash64("used")), "near-finer")
+def _more_bands(more: int):
+    """Every set of bands that has one of a row's sets and ``more`` further bands that some other row has too, each once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows, masks, keys = [], [], []
+            for row, held, shared, bands in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                wider = {m | sum(extra) for m in held for extra in itertools.combinations([1 << i for i in range(len(bands)) if shared & ~m & 1 << i], more)}
+                for m in wider:
+                    rows.append(row)
+                    masks.append(m)
+                    keys.append(xxhash.xxh64_intdigest(repr((m, [b for i, b in enumerate(bands) if m >> i & 1])).encode()) - (1 << 63))
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.int64()), pa.array(masks, pa.int32()), pa.array(keys, pa.int64())], names=["row", "mask", "key"])
+
+    return run
 
 
 def _verified(texts: DataFrame, pairs: DataFrame, shingle: int, similarity: float) -> DataFrame:
