@@ -12,11 +12,11 @@ from dataclasses import dataclass
 
 import numpy as np
 
-DIM, HIDDEN = 16, 32
+DIM, HIDDEN = 16, 24
 #: Inputs that a window holds, and targets that it scores: windows overlap by WINDOW - STRIDE inputs.
-WINDOW, STRIDE = 32, 24
+WINDOW, STRIDE = 24, 18
 #: Starting tokens that are a class of their own, the most frequent ones, and clusters of the others.
-SINGLE, CLUSTERS = 64, 64
+SINGLE, CLUSTERS = 48, 48
 CLASSES = SINGLE + CLUSTERS
 FAR = np.float32(-1e9)
 

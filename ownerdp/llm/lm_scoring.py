@@ -34,6 +34,8 @@ LEAST_WINDOWS = 2500
 #: Keys of the count table: a word is its bytes, the end the empty string; a blank, which no word holds, marks token cells.
 _CELL = b" "
 _WORDS_CACHED = 250_000
+#: Documents that a task encodes and scores together.
+SLICE = 256
 #: What is kept of each subword: its id, its log probability as a continuation, the prior log odds of an end after it.
 _SUBWORD = np.dtype([("id", "<u2"), ("within", "<f4"), ("odds", "<f4")])
 
@@ -54,15 +56,12 @@ class SubwordCodec:
         lengths = np.fromiter(map(len, each), np.int64, len(each))
         return np.fromiter((i for ids in each for i in ids), np.uint16, int(lengths.sum())), lengths
 
-    def subwords(self, words: list[bytes]) -> np.ndarray:
-        cache = self.cache
-        young, old = cache.young, cache.old
-        try:
-            return np.frombuffer(b"".join(map(young.__getitem__, words)), _SUBWORD)
-        except KeyError:
-            pass
+    def prepare(self, documents: list[list[bytes]]) -> None:
+        """Encodes what the documents hold and the cache does not, all at once."""
+        self.cache.make_room()
+        young, old = self.cache.young, self.cache.old
         missing = []
-        for w in set(words).difference(young):
+        for w in set().union(*documents).difference(young):
             if (known := old.get(w)) is None:
                 missing.append(w)
             else:
@@ -77,9 +76,10 @@ class SubwordCodec:
             for w, n in zip(missing, (lengths * _SUBWORD.itemsize).tolist(), strict=True):
                 young[w] = packed[at : at + n]
                 at += n
-        out = np.frombuffer(b"".join(map(young.__getitem__, words)), _SUBWORD)
-        cache.make_room()
-        return out
+
+    def subwords(self, words: list[bytes]) -> np.ndarray:
+        """The subwords of a document that was prepared."""
+        return np.frombuffer(b"".join(map(self.cache.young.__getitem__, words)), _SUBWORD)
 
 
 def _codec(sent, tree=None, apart: bool = False) -> SubwordCodec:
@@ -89,6 +89,12 @@ def _codec(sent, tree=None, apart: bool = False) -> SubwordCodec:
     return per_worker("subwords", f"{len(vocabulary)}:{hash(vocabulary[-1])}:{name}:{apart}", lambda: SubwordCodec(vocabulary, pattern, its, apart))
 
 
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for i in range(0, batch.num_rows, SLICE):
+            yield batch.slice(i, SLICE)
+
+
 def words_of(text: str) -> list[bytes]:
     return text.encode().lower().split()
 
@@ -108,12 +114,11 @@ def count_table(docs: DataFrame, sent, n_ids: int) -> DataFrame:
             for i in range(0, len(keys), 100_000):
                 yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + 100_000], pa.binary()), pa.array(n[i : i + 100_000], pa.int64())], names=["key", "n"])
 
-        for batch in batches:
+        for batch in _slices(batches):
             sequence = [end]
-            for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True):
-                if held_out(d):
-                    continue
-                its = words_of(t)
+            learnt = [words_of(t) for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True) if not held_out(d)]
+            codec.prepare(learnt)
+            for its in learnt:
                 words.update(its)
                 words[b""] += 1
                 sequence += [codec.subwords(its)["id"], end]
@@ -154,8 +159,8 @@ def training_windows(docs: DataFrame, sent, tree, n_ids: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(sent, tree, apart=True)
-        for batch in batches:
-            out, priors = [], []
+        for batch in _slices(batches):
+            out, priors, taken = [], [], []
             for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True):
                 if held_out(d):
                     continue
@@ -164,17 +169,20 @@ def training_windows(docs: DataFrame, sent, tree, n_ids: int) -> DataFrame:
                     room = max(1, min(WORDS_A_WINDOW, len(words) - block) - size // 2)
                     at = block + zlib.crc32(f"{d}:{block}".encode()) % room
                     at = 0 if block == 0 and zlib.crc32(f"{block}:{d}".encode()) % 8 == 0 else at
-                    its = codec.subwords(words[at : at + size])
-                    row, odds = np.full(size, -1, np.int32), np.zeros(size, np.float32)
-                    lead = int(at == 0)
-                    if lead:
-                        row[0] = n_ids - 1
-                    n = min(len(its), size - lead)
-                    row[lead : lead + n], odds[lead : lead + n] = its["id"][:n], its["odds"][:n]
-                    if n == len(its) and lead + n < size and at + size >= len(words):
-                        row[lead + n] = n_ids - 1
-                    out.append(row.tobytes())
-                    priors.append(odds.tobytes())
+                    taken.append((words[at : at + size], at == 0, at + size >= len(words)))
+            codec.prepare([w for w, _, _ in taken])
+            for words, first, last in taken:
+                its = codec.subwords(words)
+                row, odds = np.full(size, -1, np.int32), np.zeros(size, np.float32)
+                lead = int(first)
+                if lead:
+                    row[0] = n_ids - 1
+                n = min(len(its), size - lead)
+                row[lead : lead + n], odds[lead : lead + n] = its["id"][:n], its["odds"][:n]
+                if n == len(its) and lead + n < size and last:
+                    row[lead + n] = n_ids - 1
+                out.append(row.tobytes())
+                priors.append(odds.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary()), pa.array(priors, pa.binary())], names=["ids", "odds"])
 
     return materialise(map_batches(docs, run, "ids binary, odds binary"), "lm-windows")
@@ -271,11 +279,12 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
         codec, scorer = _codec(sent, tree), attention.Scorer(w, description)
         terms = {k: (np.log10((c + 0.5) / (n_all + 0.5 * (v_all + 1)))) for k, c in zip(table["key"].to_pylist(), table["n"].to_pylist(), strict=True)}
         end_term = terms.get(b"")
-        for batch in batches:
+        for batch in _slices(batches):
             ids = batch.column(0).to_pylist()
-            outs, tokens, known, base, tails, texts = [], [], [], [], [], []
-            for t in texts_of(batch):
-                its = words_of(t)
+            tokens, known, base, tails, texts = [], [], [], [], []
+            documents = [words_of(t) for t in texts_of(batch)]
+            codec.prepare(documents)
+            for its in documents:
                 subwords = codec.subwords(its)
                 texts.append((subwords["id"], subwords["within"], subwords["odds"]))
                 tokens.append(len(its) + 1)
@@ -289,13 +298,11 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
                 known.append(len(found))
                 base.append(float(np.sum(found)) if found else 0.0)
                 tails.append(list(tail.items()))
-            for i in range(0, len(texts), 256):
-                outs.append(scorer.log10(texts[i : i + 256], n_ids - 1))
             entry = pa.map_(pa.binary(), pa.int64())
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column(0), pa.array([held_out(d) for d in ids], pa.bool_()), pa.array(tokens, pa.int64()), pa.array(known, pa.int64()), pa.array(base, pa.float64()),
-                    pa.array(np.concatenate(outs) if outs else np.zeros(0), pa.float64()), pa.array([len(x[0]) for x in texts], pa.int64()), pa.array(tails, entry),
+                    pa.array(scorer.log10(texts, n_ids - 1), pa.float64()), pa.array([len(x[0]) for x in texts], pa.int64()), pa.array(tails, entry),
                 ],
                 names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "n_subwords", "tail"],
             )
