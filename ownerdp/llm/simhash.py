@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import itertools
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ownerdp.llm.common import map_batches, materialise, small_side, texts_of
+from ownerdp.llm.common import column_values, map_batches, materialise, small_side, texts_of
 from ownerdp.llm.components import connected_components
 
 SEED = 42
@@ -126,7 +126,7 @@ def components_of(nodes: DataFrame, links: DataFrame) -> DataFrame:
 BANDS, BAND_ROWS = 15, 4
 #: Pairs of similarity 0.8 differ in 10 of 64 bits on average; more than this many, once in 5,000 pairs.
 SIMILAR_BITS, SIMILAR_SEGMENTS = 20, 8
-#: Buckets of more texts are compared with their first text alone, and what is not similar to it goes on in finer buckets.
+#: Buckets of more texts are compared with a few heads first, and then between the components that are left, block by block.
 PAIRWISE = 16
 
 
@@ -144,12 +144,14 @@ def _sketches(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         permutations = _permutations()
         for batch in batches:
-            fps, bands = [], []
+            fps, sizes, bands = [], [], []
             for t in texts_of(batch):
                 h = shingle_hashes(words_of(t), shingle)
+                distinct = np.unique(h)
                 fps.append(fingerprint(h))
-                bands.append(_band_keys(np.unique(h), permutations) if len(h) else [])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], names=["row", "fp", "bands"])
+                sizes.append(len(distinct))
+                bands.append(_band_keys(distinct, permutations) if len(h) else [])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64()), pa.array(sizes, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], names=["row", "fp", "size", "bands"])
 
     return run
 
@@ -191,72 +193,141 @@ def _similar(at_least: float):
     return run
 
 
-#: Bands that the rows of a bucket share in the rounds one after the other; rows that share many are nearly always similar.
-LEVELS = (1, 2, 4, 8, BANDS)
-#: Texts of a large bucket that all others in it are compared with: the most central one, and the first in a random order.
+#: Texts of a large bucket that all others in it are compared with first: the most central one, and the first in a random order.
 HEADS = 2
+#: Rows of a large bucket that are compared with as many others at once, about.
+BLOCK = 256
+#: Rows that are dealt to pairs of blocks at once.
+SLICE = 1024
+#: Shingles that two blocks share are compared so many at once.
+_SHARED = 4096
 #: Ids of candidates that are broadcast at most, 8 bytes each, to find their texts.
 MOST_CANDIDATES = 2_000_000
 
 
 def similar_links(texts: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
-    """Links (a, b) between rows of (row, text) whose sets of shingles have the given Jaccard similarity.
+    """Links (a, b) between rows of (row, text) whose sets of shingles have the given Jaccard similarity; what they connect is whole.
 
     Rows that share a band are candidates. Buckets of up to PAIRWISE rows give all their pairs. Of a larger bucket all rows are
-    paired with a few heads, first of all the row whose bands have the largest buckets, the centre of a group of mutated
-    copies; so a group of thousands costs a few pairs for each of its rows. Rows that prove similar to no head of the bucket
-    go on in finer ones, of those that share more bands: there texts that have only a passage in common part, and similar
-    ones, which share 6 of 15 bands, stay together. Chains of fingerprint segments and the full distance prune the pairs;
-    only for what is left are the sets built and compared.
+    first paired with a few heads, first of all the row whose bands have the largest buckets, the centre of a group of mutated
+    copies; so a group of thousands is mostly one component after a few pairs for each of its rows. Chains of fingerprint
+    segments and the full distance prune these pairs; only for what is left are the sets built and compared. Pairs of a
+    larger bucket that no links connect by then are all compared, block by block.
     """
-    sketches = materialise(map_batches(texts, _sketches(shingle), "row long, fp long, bands array<bigint>"), "near-sketches")
+    sketches = materialise(map_batches(texts, _sketches(shingle), "row long, fp long, size long, bands array<bigint>"), "near-sketches")
     bits = sketches.select("row", "fp")
-    each = sketches.select("row", F.posexplode("bands").alias("band", "key"))
+    each = sketches.select("row", "size", F.explode("bands").alias("key")).distinct()
     sizes = materialise(each.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "near-sizes")
-    shared = each.join(sizes, "key").select("row", F.pow(F.lit(2), "band").cast("int").alias("mask"), "key", "n")
-    left = materialise(shared, "near-shared")  # a band that no other row has leads nowhere, in no round
-    of_row = materialise(left.groupBy("row").agg(F.sum("n").alias("central"), F.bit_or("mask").alias("shared")), "near-central")
-    found: DataFrame | None = None
-    for at, level in enumerate(LEVELS):
-        scored = left.select("row", "key").join(of_row.select("row", "central"), "row")
-        random = [F.min_by("row", F.xxhash64("row", F.lit(i))) for i in range(1, HEADS)]
-        groups = scored.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.array_distinct(F.array(F.max_by("row", F.struct("central", "row")), *random)).alias("heads")).filter("n > 1")
-        members = materialise(left.select("row", "mask", "key").join(groups, "key"), "near-members")
-        many = members.filter((F.col("n") > PAIRWISE) & ~F.array_contains("heads", F.col("row")))
-        star = many.select("row", "mask", F.explode("heads").alias("head"))
-        few = members.filter(F.col("n") <= PAIRWISE).groupBy("key").agg(F.sort_array(F.collect_set("row")).alias("rows"))
-        pairs = few.select(F.explode("rows").alias("a"), "rows").select("a", F.explode("rows").alias("b")).filter("a < b")
-        between = members.filter(F.col("n") > PAIRWISE).select("heads").distinct().select(F.explode("heads").alias("a"), "heads").select("a", F.explode("heads").alias("b")).filter("a < b")
-        candidates = pairs.unionByName(between).unionByName(star.select(F.least("head", "row").alias("a"), F.greatest("head", "row").alias("b"))).distinct()
-        near = F.bit_count(F.col("x").bitwiseXOR(F.col("y"))) <= SIMILAR_BITS
-        with_bits = candidates.join(bits.select(F.col("row").alias("a"), F.col("fp").alias("x")), "a").join(bits.select(F.col("row").alias("b"), F.col("fp").alias("y")), "b")
-        pruned = materialise(with_bits.filter(viable(F.col("x"), F.col("y"), SIMILAR_BITS, SIMILAR_SEGMENTS)).filter(near).select("a", "b"), "near-pruned")
-        links = materialise(_verified(texts, pruned, shingle, similarity), "near-links")
-        found = links if found is None else found.unionByName(links)
-        if at + 1 == len(LEVELS):
-            break
-        joined = star.join(links, (F.least("head", "row") == F.col("a")) & (F.greatest("head", "row") == F.col("b")), "left_semi").select("row", "mask").distinct()
-        rest = materialise(many.select("row", "mask").join(joined, ["row", "mask"], "left_anti").groupBy("row").agg(F.collect_set("mask").alias("masks")), "near-rest")
-        if rest.isEmpty():
-            break
-        wider = rest.join(of_row.select("row", "shared"), "row").join(sketches.select("row", "bands"), "row").select("row", "masks", "shared", "bands")
-        left = materialise(map_batches(wider, _more_bands(LEVELS[at + 1] - level), "row long, mask int, key long"), "near-finer")
-    return found.distinct()
-
-
-def _more_bands(more: int):
-    """Every set of bands that has one of a row's sets and ``more`` further bands that some other row has too, each once."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows, masks, keys = [], [], []
-            for row, held, shared, bands in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                wider = {m | sum(extra) for m in held for extra in itertools.combinations([1 << i for i in range(len(bands)) if shared & ~m & 1 << i], more)}
-                for m in wider:
-                    rows.append(row)
-                    masks.append(m)
-                    keys.append(xxhash.xxh64_intdigest(repr((m, [b for i, b in enumerate(bands) if m >> i & 1])).encode()) - (1 << 63))
-            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.int64()), pa.array(masks, pa.int32()), pa.array(keys, pa.int64())], names=["row", "mask", "key"])
+    left = materialise(each.join(sizes, "key").select("row", "size", "key", "n"), "near-shared")  # a band that no other row has leads nowhere
+    central = materialise(left.groupBy("row").agg(F.sum("n").alias("central")), "near-central")
+    large = materialise(left.filter(F.col("n") > PAIRWISE).drop("n"), "near-large")
+    random = [F.min_by("row", F.xxhash64("row", F.lit(i))) for i in range(1, HEADS)]
+    heads = large.join(central, "row").groupBy("key").agg(F.array_distinct(F.array(F.max_by("row", F.struct("central", "row")), *random)).alias("heads"))
+    star = large.join(heads, "key").select("row", F.explode("heads").alias("head")).filter("row <> head")
+    few = left.filter(F.col("n") <= PAIRWISE).groupBy("key").agg(F.sort_array(F.collect_set("row")).alias("rows"))
+    pairs = few.select(F.explode("rows").alias("a"), "rows").select("a", F.explode("rows").alias("b")).filter("a < b")
+    candidates = pairs.unionByName(star.select(F.least("head", "row").alias("a"), F.greatest("head", "row").alias("b"))).distinct()
+    near = F.bit_count(F.col("x").bitwiseXOR(F.col("y"))) <= SIMILAR_BITS
+    with_bits = candidates.join(bits.select(F.col("row").alias("a"), F.col("fp").alias("x")), "a").join(bits.select(F.col("row").alias("b"), F.col("fp").alias("y")), "b")
+    pruned = materialise(with_bits.filter(viable(F.col("x"), F.col("y"), SIMILAR_BITS, SIMILAR_SEGMENTS)).filter(near).select("a", "b"), "near-pruned")
+    links = materialise(_verified(texts, pruned, shingle, similarity), "near-links")
+    if large.isEmpty():
+        return links
+    return links.unionByName(_between_components(texts, large, links, shingle, similarity)).distinct()
+
+
+def _between_components(texts: DataFrame, large: DataFrame, links: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """Links between rows (row, size, key) of one bucket that ``links`` do not connect, enough of them to connect all that are similar.
+
+    A bucket falls into blocks by size class, apart for its most frequent component, which needs no comparison with itself.
+    Sizes of similar sets are in one class or in two that follow each other. Every pair of blocks is a group of its own, so
+    that a large bucket spreads over many tasks.
+    """
+    of = connected_components(links).withColumnRenamed("node", "row")
+    size_class = F.floor(F.log("size") / F.lit(-math.log(similarity)) + 1e-9).cast("int")
+    named = large.join(of, "row", "left").select("row", "key", F.coalesce("component", "row").alias("component"), size_class.alias("kind"))
+    named = materialise(named, "near-components")
+    per = materialise(named.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n")), "near-parts")
+    mixed = materialise(per.groupBy("key").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.count(F.lit(1)).alias("parts")).filter("parts > 1").select("key", "main"), "near-mixed")
+    open_rows = materialise(named.join(mixed, "key").select("row", "key", "component", "kind", (F.col("component") == F.col("main")).alias("inner")), "near-open")
+    blocks = open_rows.groupBy("key", "kind", "inner").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    plan = materialise(blocks.groupBy("key").agg(F.collect_list(F.struct("kind", "inner", "blocks")).alias("plan")), "near-plan")
+    its_own = F.expr("element_at(filter(plan, p -> p.kind = kind AND p.inner = inner).blocks, 1)").alias("own")
+    partners = F.expr("filter(plan, p -> abs(p.kind - kind) <= 1 AND NOT (p.inner AND inner))").alias("plan")
+    dealt = map_batches(open_rows.join(plan, "key").select("key", "row", "component", "kind", "inner", its_own, partners), _deal, "pair long, side int, row long, component long")
+    ids = materialise(open_rows.select("row").distinct(), "near-open-ids")
+    wanted = texts.join(F.broadcast(ids) if ids.count() <= MOST_CANDIDATES else ids, "row", "left_semi")
+    sets = materialise(map_batches(wanted.select("row", "text").dropDuplicates(["row"]), _sets(shingle), "row long, shingles binary"), "near-open-sets")
+    grouped = materialise(dealt, "near-dealt").join(sets, "row").select("pair", "side", "row", "component", "shingles").groupBy("pair")
+    return materialise(grouped.applyInArrow(_compare_blocks(similarity), "a long, b long"), "near-completed")
+
+
+def _deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row goes to every pair that its block makes with a block of its bucket whose sizes may fit: side 0, 1, or 2 for a block with itself."""
+    kinds = {"pair": pa.int64(), "side": pa.int32(), "row": pa.int64(), "component": pa.int64()}
+    for whole in batches:
+        for begin in range(0, whole.num_rows, SLICE):
+            batch, out = whole.slice(begin, SLICE), []
+            columns = (column_values(batch, n) for n in ("key", "row", "component", "kind", "inner", "own", "plan"))
+            for key, row, component, kind, inner, number, plan in zip(*columns, strict=True):
+                own = (kind, inner, xxhash.xxh64_intdigest(b"%d" % row, SEED) % number)
+                for other in ((p["kind"], p["inner"], i) for p in plan for i in range(p["blocks"])):
+                    pair = xxhash.xxh64_intdigest(repr((key, min(own, other), max(own, other))).encode()) - (1 << 63)
+                    out.append((pair, 2 if own == other else int(own > other), row, component))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(x, kind) for x, kind in zip(zip(*out, strict=True), kinds.values(), strict=True)], names=list(kinds))
+
+
+def _shared_counts(one: list[np.ndarray], two: list[np.ndarray]) -> np.ndarray:
+    """The number of shingles that each set of the one list shares with each of the other."""
+    flat = [np.concatenate(x) for x in (one, two)]
+    rows = [np.repeat(np.arange(len(x)), [len(s) for s in x]) for x in (one, two)]
+    common = np.intersect1d(*flat)
+    total = np.zeros((len(one), len(two)), np.float32)
+    if not len(common):
+        return total
+    at = [np.minimum(np.searchsorted(common, f), len(common) - 1) for f in flat]
+    held = [common[p] == f for p, f in zip(at, flat, strict=True)]
+    at, rows = [p[h] for p, h in zip(at, held, strict=True)], [r[h] for r, h in zip(rows, held, strict=True)]
+    for begin in range(0, len(common), _SHARED):
+        width = min(_SHARED, len(common) - begin)
+        parts = []
+        for x, p, r in zip((one, two), at, rows, strict=True):
+            here = (p >= begin) & (p < begin + width)
+            dense = np.zeros((len(x), width), np.float32)
+            dense[r[here], p[here] - begin] = 1
+            parts.append(dense)
+        total += parts[0] @ parts[1].T
+    return total
+
+
+def _compare_blocks(at_least: float):
+    def run(table: pa.Table) -> pa.Table:
+        side, row, component = (table.column(n).to_numpy() for n in ("side", "row", "component"))
+        sets = [np.frombuffer(s, np.uint64) for s in table.column("shingles").to_pylist()]
+        ones, twos = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
+        if not len(ones) or not len(twos):
+            return pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
+        shared = _shared_counts([sets[i] for i in ones], [sets[i] for i in twos])
+        size = np.array([len(s) for s in sets], np.float64)
+        similar = shared >= at_least * (size[ones][:, None] + size[twos][None, :] - shared)
+        x, y = np.nonzero(similar & (component[ones][:, None] != component[twos][None, :]))
+        a, b = [], []
+        parent: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while (up := parent.get(c, c)) != c:
+                parent[c] = parent.get(up, up)
+                c = up
+            return c
+
+        for i, j in zip(ones[x].tolist(), twos[y].tolist(), strict=True):  # a link for each pair of components that it joins, not for each pair of rows
+            c, d = root(int(component[i])), root(int(component[j]))
+            if c != d:
+                parent[c] = d
+                a.append(min(int(row[i]), int(row[j])))
+                b.append(max(int(row[i]), int(row[j])))
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return run
 

@@ -166,6 +166,37 @@ def test_similar_texts_against_all_pairs(spark):
             simhash.PAIRWISE = before
 
 
+def brute_components(rows):
+    """The smallest id of the group of each row, by comparing all pairs of sets."""
+    sets = [(i, set(simhash.shingle_hashes(simhash.words_of(t), 5).tolist())) for i, t in rows]
+    vocabulary = {h: n for n, h in enumerate(sorted(set().union(*(s for _, s in sets))))}
+    held = np.zeros((len(sets), len(vocabulary)), np.float32)
+    for n, (_, s) in enumerate(sets):
+        held[n, [vocabulary[h] for h in s]] = 1
+    shared, size = held @ held.T, held.sum(1)
+    a, b = np.nonzero(np.triu(shared >= 0.8 * (size[:, None] + size[None, :] - shared), 1))
+    return union_find([(sets[i][0], sets[j][0]) for i, j in zip(a.tolist(), b.tolist())])
+
+
+def test_a_large_group_is_joined_like_all_pairs(spark):
+    """Copies of one text that are similar to a sibling each but not to the centre: no head of the bucket links them."""
+    rng = random.Random(11)
+    base = [f"w{i}" for i in range(200)]
+    rows = [(0, " ".join(base))]
+    for pair in range(1000):
+        mutated = list(base)
+        for at in rng.sample(range(2, 198), 6):
+            mutated[at] = f"m{pair}x{at}"
+        sibling = list(mutated)
+        for at in rng.sample([i for i in range(2, 198) if mutated[i] == base[i]], 3):
+            sibling[at] = f"s{pair}x{at}"
+        rows += [(2 * pair + 1, " ".join(mutated)), (2 * pair + 2, " ".join(sibling))]
+    root = brute_components(rows)
+    want = {i for i, _ in rows} - {i for i in root if root[i] != i}
+    assert len(want) > 100
+    assert {r["doc_id"] for r in simhash.drop_near_duplicates(frame(spark, rows)).collect()} == want
+
+
 @settings(max_examples=200, deadline=None)
 @given(st.lists(st.lists(st.sampled_from("abc"), max_size=14), max_size=4), st.lists(st.sampled_from("abc"), max_size=25))
 def test_matching_statistics(passages, words):
