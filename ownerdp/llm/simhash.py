@@ -146,11 +146,10 @@ def _sketches(shingle: int):
         for batch in batches:
             fps, sizes, bands = [], [], []
             for t in texts_of(batch):
-                h = shingle_hashes(words_of(t), shingle)
-                distinct = np.unique(h)
-                fps.append(fingerprint(h))
-                sizes.append(len(distinct))
-                bands.append(_band_keys(distinct, permutations) if len(h) else [])
+                h = np.unique(shingle_hashes(words_of(t), shingle))
+                fps.append(fingerprint(h))  # of the set that decides, so that repeats cannot part similar sets
+                sizes.append(len(h))
+                bands.append(_band_keys(h, permutations) if len(h) else [])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64()), pa.array(sizes, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], names=["row", "fp", "size", "bands"])
 
     return run

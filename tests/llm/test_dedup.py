@@ -197,6 +197,17 @@ def test_a_large_group_is_joined_like_all_pairs(spark):
     assert {r["doc_id"] for r in simhash.drop_near_duplicates(frame(spark, rows)).collect()} == want
 
 
+def test_repeated_lines_do_not_part_similar_texts(spark):
+    rows = []
+    for pair in range(12):
+        words = [f"v{pair}x{i}" for i in range(204)]
+        line = [f"line{pair}y{i}" for i in range(10)]
+        rows += [(2 * pair, " ".join(words + line)), (2 * pair + 1, " ".join(words + line * 60))]
+    root = brute_components(rows)
+    assert len(root) == len(rows)
+    assert {r["doc_id"] for r in simhash.drop_near_duplicates(frame(spark, rows)).collect()} == {2 * pair for pair in range(12)}
+
+
 @settings(max_examples=200, deadline=None)
 @given(st.lists(st.lists(st.sampled_from("abc"), max_size=14), max_size=4), st.lists(st.sampled_from("abc"), max_size=25))
 def test_matching_statistics(passages, words):
