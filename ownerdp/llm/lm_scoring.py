@@ -23,8 +23,6 @@ BUCKETS = 8
 FLUSH = 500_000
 #: The most frequent words, at most so many, are sent to the executors; the others are looked up by a join.
 MOST_HEAD_WORDS = 1 << 19
-#: Every document gives one training window in each run of so many words.
-WORDS_A_WINDOW = 512
 #: Learning rates of the rounds over all training windows.
 RATES = (0.015, 0.005)
 #: Windows that a task trains on in a round, about.
@@ -154,35 +152,24 @@ def describe_tokens(counts: DataFrame, vocabulary: list[bytes]) -> tuple[attenti
 
 
 def training_windows(docs: DataFrame, sent, tree, n_ids: int) -> DataFrame:
-    """(ids, odds): one window of each training document in each run of WORDS_A_WINDOW words, at a place taken from a hash of the id."""
-    size = attention.WINDOW + 1
+    """(ids, odds): consecutive windows of each training document, the end ahead of it and behind it, so that every subword and the end are a target once."""
+    size, step = attention.WINDOW + 1, attention.WINDOW
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(sent, tree, apart=True)
         for batch in _slices(batches):
-            out, priors, taken = [], [], []
-            for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True):
-                if held_out(d):
-                    continue
-                words = words_of(t)
-                for block in range(0, max(1, len(words)), WORDS_A_WINDOW):
-                    room = max(1, min(WORDS_A_WINDOW, len(words) - block) - size // 2)
-                    at = block + zlib.crc32(f"{d}:{block}".encode()) % room
-                    at = 0 if block == 0 and zlib.crc32(f"{block}:{d}".encode()) % 8 == 0 else at
-                    taken.append((words[at : at + size], at == 0, at + size >= len(words)))
-            codec.prepare([w for w, _, _ in taken])
-            for words, first, last in taken:
+            learnt = [words_of(t) for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True) if not held_out(d)]
+            codec.prepare(learnt)
+            out, priors = [], []
+            for words in learnt:
                 its = codec.subwords(words)
-                row, odds = np.full(size, -1, np.int32), np.zeros(size, np.float32)
-                lead = int(first)
-                if lead:
-                    row[0] = n_ids - 1
-                n = min(len(its), size - lead)
-                row[lead : lead + n], odds[lead : lead + n] = its["id"][:n], its["odds"][:n]
-                if n == len(its) and lead + n < size and last:
-                    row[lead + n] = n_ids - 1
-                out.append(row.tobytes())
-                priors.append(odds.tobytes())
+                windows = -(-(len(its) + 1) // step)
+                flat, odds = np.full(windows * step + 1, -1, np.int32), np.zeros(windows * step + 1, np.float32)
+                flat[0] = flat[len(its) + 1] = n_ids - 1
+                flat[1 : len(its) + 1], odds[1 : len(its) + 1] = its["id"], its["odds"]
+                at = np.arange(windows)[:, None] * step + np.arange(size)
+                out += [x.tobytes() for x in flat[at]]
+                priors += [x.tobytes() for x in odds[at]]
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary()), pa.array(priors, pa.binary())], names=["ids", "odds"])
 
     return materialise(map_batches(docs, run, "ids binary, odds binary"), "lm-windows")
@@ -198,7 +185,7 @@ def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = le
     names, shapes = list(w), [v.shape for v in w.values()]
     sizes = np.cumsum([0, *(v.size for v in w.values())])
     tasks = max(1, -(-windows.count() // WINDOWS_A_TASK))  # grows with the corpus; fewer windows than that make a poor average
-    windows = windows.repartition(tasks)
+    windows = windows.coalesce(tasks)  # no shuffle: the windows are several times the corpus
     levels = max(1, int(tasks**0.5))
     width = attention.WINDOW + 1
 

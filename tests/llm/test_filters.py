@@ -252,6 +252,19 @@ def plain_score(w, v, ids, within, odds, end):
     return total / math.log(10)
 
 
+def test_training_windows_hold_each_subword_once(spark):
+    rng = random.Random(4)
+    rows = [(i, " ".join(f"word{rng.randrange(300)}" for _ in range(n))) for i, n in enumerate([0, 1, 7, 40, 700, 2000, 3, 90, 24, 23])] + [(None, None)]
+    sent, n_ids = spark.sparkContext.broadcast((byte_vocabulary(), split_pattern())), len(byte_vocabulary()) + 1
+    codec, want = lm_scoring.SubwordCodec(*sent.value), Counter()
+    for i, t in rows:
+        if not lm_scoring.held_out(i):
+            want.update([*codec.encoded(lm_scoring.words_of(t or ""))[0].tolist(), n_ids - 1])
+    windows = lm_scoring.training_windows(docs(spark, rows), sent, None, n_ids).collect()
+    got = Counter(x for w in windows for x in np.frombuffer(w["ids"], np.int32)[1:].tolist() if x >= 0)
+    assert got == want and sum(want.values()) > 1000
+
+
 def test_windows_score_each_token_once():
     rng, n = np.random.default_rng(2), 200
     starts = rng.random(n) < 0.5
