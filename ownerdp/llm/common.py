@@ -80,7 +80,7 @@ def ship_package(spark: SparkSession) -> None:
 
 def per_worker(kind: str, key: str, make: Callable[[], object]):
     """A value that one Python worker keeps from task to task, such as a cache of bounded size; one of each kind."""
-    if _WORKER.get(kind, ("",))[0] != key:
+    if kind not in _WORKER or _WORKER[kind][0] != key:
         _WORKER.pop(kind, None)
         _WORKER[kind] = (key, make())
     return _WORKER[kind][1]
