@@ -17,6 +17,8 @@ from ownerdp.llm.common import BoundedCache, map_batches, materialise, per_worke
 WINDOW = 35
 #: Words of the documents that one map task hashes together; a chunk names the reference shard of the passages that it holds first.
 CHUNK_WORDS = 1 << 19
+#: Windows of a range of hashes, about the most that a task holds at once, 40 bytes each.
+SHARD_WINDOWS = 1 << 21
 #: Words of documents that are streamed through one copy of a shard's automaton; with more, further tasks build it again.
 STREAM_WORDS = 1 << 22
 #: Spans of documents up to this many bytes are broadcast to the documents; beyond it both are shuffled by document.
@@ -110,11 +112,11 @@ def _hash_chunks(window: int, shards: int):
         twins = np.stack([at[later], at[starts[np.cumsum(first)[later] - 1]]]).astype(np.int32)
         yield _row(chunk % shards, chunk, 1, np.array(keys, np.int64).reshape(-1, 2), np.stack([begin, size]), twins)
         h, place = h[starts], at[starts]
-        edges = np.searchsorted(h, np.array([(s << 64) // shards for s in range(1, shards)], np.uint64)).tolist()
-        for s, (a, b) in enumerate(zip([0, *edges], [*edges, len(h)], strict=True)):
-            if a < b:
-                by_place = np.argsort(place[a:b]) + a
-                yield _row(s, chunk, 0, h[by_place], _planes(place[by_place]), np.packbits(again[by_place]))
+        of = (h >> np.uint64(32)) * np.uint64(shards) >> np.uint64(32)  # ascending, as the hashes are
+        cuts = np.flatnonzero(np.r_[True, of[1:] != of[:-1]])
+        for s, a, b in zip(of[cuts].tolist(), cuts.tolist(), [*cuts[1:].tolist(), len(h)], strict=True):
+            by_place = np.argsort(place[a:b]) + a
+            yield _row(s, chunk, 0, h[by_place], _planes(place[by_place]), np.packbits(again[by_place]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -139,29 +141,37 @@ def _hash_chunks(window: int, shards: int):
 
 
 def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Finds the hashes that two chunks have, or one has twice. Each chunk hears where it has them (a) and which chunk has them first (b)."""
-    chunks, hashes, places, again = [], [], [], []
+    """Rows sorted by shard, of which one is held at a time: finds the hashes that two chunks have, or one has twice.
+    Each chunk hears where it has them (a) and which chunk has them first (b)."""
+    now, held = None, []
     for batch in batches:
-        for i, kind in enumerate(batch.column(2).to_pylist()):
+        for i, (shard, kind) in enumerate(zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), strict=True)):
             if kind == 1:
                 yield batch.slice(i, 1)
-            else:
-                chunks.append(batch.column(1)[i].as_py())
-                hashes.append(np.frombuffer(batch.column(3)[i].as_py(), np.uint64))
-                places.append(_from_planes(batch.column(4)[i].as_py()))
-                again.append(np.unpackbits(np.frombuffer(batch.column(5)[i].as_py(), np.uint8), count=len(hashes[-1])).astype(bool))
-    if not chunks:
+                continue
+            if shard != now:
+                yield from _meet_in_shard(held)
+                now, held = shard, []
+            h = np.frombuffer(batch.column(3)[i].as_py(), np.uint64)
+            again = np.unpackbits(np.frombuffer(batch.column(5)[i].as_py(), np.uint8), count=len(h)).astype(bool)
+            held.append((batch.column(1)[i].as_py(), h, _from_planes(batch.column(4)[i].as_py()), again))
+    yield from _meet_in_shard(held)
+
+
+def _meet_in_shard(held: list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+    """held: of each chunk its id, its hashes of one shard, where they start, whether they do so again."""
+    if not held:
         return
-    order = sorted(range(len(chunks)), key=lambda i: chunks[i])
-    chunk_ids = np.array(chunks, np.int64)[order]
-    source = np.repeat(np.arange(len(chunks), dtype=np.int32), [len(hashes[i]) for i in order])
-    h, place, twice = (np.concatenate([x[i] for i in order]) for x in (hashes, places, again))
-    del hashes, places, again
-    by_hash = np.argsort(h, kind="stable").astype(np.int32)  # stable: of equal hashes the first chunk comes first
+    held.sort(key=lambda x: x[0])
+    chunk_ids = np.array([x[0] for x in held], np.int64)
+    source = np.repeat(np.arange(len(held), dtype=np.int32), [len(x[1]) for x in held])
+    h, place, twice = (np.concatenate([x[j] for x in held]) for j in (1, 2, 3))
+    held.clear()
+    by_hash = np.argsort(h, kind="stable")  # stable: of equal hashes the first chunk comes first
     h = h[by_hash]
     first = np.r_[True, h[1:] != h[:-1]]
     del h
-    starts = np.flatnonzero(first).astype(np.int32)
+    starts = np.flatnonzero(first)
     size = np.diff(np.r_[starts, len(by_hash)])
     repeated = (size > 1) | twice[by_hash[starts]]
     keep = np.repeat(repeated, size)
@@ -219,13 +229,27 @@ def _runs(window: int):
 
 
 def repeated_runs(keyed: DataFrame, window: int, shards: int) -> DataFrame:
-    """(key, text_hash, shard, start, end, chunk) for all windows of the documents that occur elsewhere too."""
+    """(key, text_hash, shard, start, end, chunk) for all windows of the documents that occur elsewhere too.
+
+    ``shards`` ranges of hashes; a task takes several, one after the other.
+    """
+    tasks = _tasks(keyed)
     hashed = map_batches(keyed, _hash_chunks(window, shards), _HASHED)
-    met = map_batches(hashed.repartition(shards, "shard"), _meet, _HASHED)
-    by_chunk = met.repartition(shards, "chunk").sortWithinPartitions("chunk")
+    met = map_batches(hashed.repartition(tasks, "shard").sortWithinPartitions("shard"), _meet, _HASHED)
+    by_chunk = met.repartition(tasks, "chunk").sortWithinPartitions("chunk")
     return map_batches(by_chunk, _runs(window), "key long, text_hash long, shard long, start long, end long, chunk long")
 
 
+def _tasks(df: DataFrame) -> int:
+    return 2 * max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+
+def _shards(keyed: DataFrame) -> int:
+    """As many ranges of hashes as leave SHARD_WINDOWS windows to each, however short the words are: one starts at every second character at most."""
+    characters = keyed.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
+    return max(_tasks(keyed), -(-characters // (2 * SHARD_WINDOWS)))
+
+
 def _cut_passages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each run's words, joined by blanks, for its shard."""
     for batch in _slices(batches):
@@ -261,7 +285,7 @@ def _stream_through(window: int):
     return run
 
 
-def confirmed_spans(keyed: DataFrame, runs: DataFrame, window: int, shards: int) -> DataFrame:
+def confirmed_spans(keyed: DataFrame, runs: DataFrame, window: int) -> DataFrame:
     """(key, text_hash, spans): what the automata of the reference shards cover of each document."""
     of_doc = runs.groupBy("key", "text_hash").agg(F.collect_list(F.struct("shard", "chunk", "start", "end")).alias("runs"))
     with_runs = _join_documents(keyed, of_doc, runs.count() * 48, "inner").select("text", "key", "text_hash", "runs")
@@ -272,7 +296,7 @@ def confirmed_spans(keyed: DataFrame, runs: DataFrame, window: int, shards: int)
     references = sized.filter("own").withColumn("n", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
     streamed = sized.withColumn("n", F.pmod(F.xxhash64("key", "text_hash", "start"), F.col("copies")).cast("int"))
     columns = lambda df, is_reference: df.select(copy_of(F.col("n")).alias("copy"), F.lit(is_reference).alias("reference"), "key", "text_hash", "start", "words")
-    dealt = columns(references, True).unionByName(columns(streamed, False)).repartition(shards, "copy").sortWithinPartitions("copy", F.desc("reference"))
+    dealt = columns(references, True).unionByName(columns(streamed, False)).repartition(_tasks(keyed), "copy").sortWithinPartitions("copy", F.desc("reference"))
     spans = map_batches(dealt, _stream_through(window), "key long, text_hash long, start long, end long")
     return spans.groupBy("key", "text_hash").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
 
@@ -319,14 +343,12 @@ def remove_repeated_passages(docs: DataFrame, window: int = WINDOW, text: str =
     another document; runs are judged on the input. Null, empty and shorter texts keep all their words. Rows that repeat
     both id and text repeat each other's passages.
     """
-    spark = docs.sparkSession
-    shards = 2 * max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))  # a shard is held in memory, 24 bytes for each of its windows
     rows = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
     id_kind = rows.schema["doc_id"].dataType.simpleString()
     # a document's key is its id and the hash of its text; rows equal in both get the same spans
     keyed = rows.select("text", F.xxhash64("doc_id").alias("key"), F.xxhash64("text").alias("text_hash"))
-    runs = materialise(repeated_runs(keyed, window, shards).distinct(), "substring-runs")
-    spans = materialise(confirmed_spans(keyed, runs, window, shards), "substring-spans")
+    runs = materialise(repeated_runs(keyed, window, _shards(keyed)).distinct(), "substring-runs")
+    spans = materialise(confirmed_spans(keyed, runs, window), "substring-spans")
     size = spans.agg(F.sum(F.size("spans") * 16 + 48)).first()[0] or 0
     function, schema = _shorten(id_kind, with_text)
     by_key = rows.withColumns({"key": F.xxhash64("doc_id"), "text_hash": F.xxhash64("text")})
