@@ -10,7 +10,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from ownerdp.functions.clamp import clamp
-from ownerdp.functions.noise import Noise, round_to_step
+from ownerdp.functions.noise import Noise, draw_tag, round_to_step, rounding_step
 
 PER_OWNER = ("mean", "median", "one")
 
@@ -35,6 +35,10 @@ class Context:
         out = value + self.laplace(scale, tag)
         return round_to_step(out, scale) if self.rounded and not self.noise.exact else out
 
+    def rounding(self, scale: float) -> float:
+        """How far rounding moves a noisy value at most."""
+        return rounding_step(scale) / 2 if self.rounded and not self.noise.exact and scale else 0.0
+
 
 @dataclass
 class Agg:
@@ -52,6 +56,8 @@ class Agg:
     bounds_kind = "float"
 
     def __post_init__(self):
+        if not self.name:
+            raise ValueError("an aggregate needs a name")
         if (self.lo is None) != (self.hi is None):
             raise ValueError("give both limits or none")
         if self.lo is not None and not self.lo <= self.hi:
@@ -85,6 +91,12 @@ class Agg:
     def scale(self, eps: float, lo: float, hi: float) -> float:
         raise NotImplementedError
 
+    def interval(self, c: Context, level: float, lo: float, hi: float) -> tuple[Column, Column]:
+        """Ends between which the result without noise lies with the given probability."""
+        width = self.half_width(level, c.eps, lo, hi) + c.rounding(self.scale(c.eps, lo, hi))
+        value = self.release(c, lo, hi)
+        return value - width, value + width
+
     def _one_value(self) -> Column:
         x = _column(self.col).cast("double")
         if self.per_owner == "median":
@@ -109,7 +121,7 @@ class CountOwners(Agg):
         return 1 / eps
 
     def release(self, c, lo, hi):
-        return c.noisy(F.col(self.p), self.scale(c.eps, lo, hi), self.name)
+        return c.noisy(F.col(self.p), self.scale(c.eps, lo, hi), draw_tag(self.name))
 
 
 class CountContributors(CountOwners):
@@ -135,7 +147,7 @@ class Sum(Agg):
         return max(abs(lo), abs(hi)) / eps
 
     def release(self, c, lo, hi):
-        return c.noisy(F.col(self.p), self.scale(c.eps, lo, hi), self.name)
+        return c.noisy(F.col(self.p), self.scale(c.eps, lo, hi), draw_tag(self.name))
 
 
 class CountRows(Sum):
@@ -167,19 +179,31 @@ class Avg(Agg):
     def scale(self, eps, lo, hi):
         return self._scales(eps, lo, hi)[0]
 
-    def _mean(self, c: Context, s: str, n: str, lo: float, hi: float, eps: float, tag: str) -> Column:
+    def _noisy_parts(self, c: Context, s: str, n: str, lo: float, hi: float, eps: float, part: str = "") -> tuple[Column, Column]:
+        """The noisy sum and the noisy count, which every later step reads and nothing else."""
         by_sum, by_count = self._scales(eps, lo, hi)
-        total = c.noisy(F.col(s), by_sum, f"{tag}_sum") if by_sum else F.col(s)
-        count = F.greatest(c.noisy(F.col(n), by_count, f"{tag}_count"), F.lit(1.0))
-        return clamp(F.lit((lo + hi) / 2) + total / count, lo, hi)
+        total = c.noisy(F.col(s), by_sum, draw_tag(self.name, f"{part}sum")) if by_sum else F.col(s)
+        return total, c.noisy(F.col(n), by_count, draw_tag(self.name, f"{part}count"))
+
+    def _mean(self, c: Context, s: str, n: str, lo: float, hi: float, eps: float, part: str = "") -> Column:
+        total, count = self._noisy_parts(c, s, n, lo, hi, eps, part)
+        return clamp(F.lit((lo + hi) / 2) + total / F.greatest(count, F.lit(1.0)), lo, hi)
 
     def release(self, c, lo, hi):
-        return self._mean(c, f"{self.p}_s", f"{self.p}_n", lo, hi, c.eps, self.name)
+        return self._mean(c, f"{self.p}_s", f"{self.p}_n", lo, hi, c.eps)
 
     def half_width(self, level, eps, lo, hi):
         """Both noises stay inside these with the given probability: each misses with half the rest."""
         return tuple(s * math.log(2 / (1 - level)) for s in self._scales(eps, lo, hi))
 
+    def interval(self, c: Context, level: float, lo: float, hi: float) -> tuple[Column, Column]:
+        """The widest that both noises and their rounding allow together, around the sum and the count that the result is made of."""
+        total, count = self._noisy_parts(c, f"{self.p}_s", f"{self.p}_n", lo, hi, c.eps)
+        by_sum, by_count = (w + c.rounding(s) for w, s in zip(self.half_width(level, c.eps, lo, hi), self._scales(c.eps, lo, hi), strict=True))
+        counts = F.greatest(count - by_count, F.lit(1.0)), F.greatest(count + by_count, F.lit(1.0))
+        ends = [F.lit((lo + hi) / 2) + (total + sign * by_sum) / n for sign in (-1, 1) for n in counts]
+        return F.greatest(F.lit(float(lo)), F.least(*ends)), F.least(F.lit(float(hi)), F.greatest(*ends))
+
 
 class Var(Avg):
     """The variance over owners of one value each: the mean of squares less the square of the mean, each with half the share."""
@@ -195,8 +219,8 @@ class Var(Avg):
 
     def _variance(self, c, lo, hi):
         lo2, hi2 = self.squared_limits(lo, hi)
-        first = self._mean(c, f"{self.p}_s", f"{self.p}_n", lo, hi, c.eps / 2, self.name)
-        second = self._mean(c, f"{self.p}_q", f"{self.p}_n", lo2, hi2, c.eps / 2, f"{self.name}_squares")
+        first = self._mean(c, f"{self.p}_s", f"{self.p}_n", lo, hi, c.eps / 2)
+        second = self._mean(c, f"{self.p}_q", f"{self.p}_n", lo2, hi2, c.eps / 2, "squares_")
         return F.greatest(F.lit(0.0), second - first * first)
 
     def release(self, c, lo, hi):
@@ -205,6 +229,9 @@ class Var(Avg):
     def half_width(self, level, eps, lo, hi):
         raise NotImplementedError("no interval for variances")
 
+    def interval(self, c, level, lo, hi):
+        raise NotImplementedError("no interval for variances")
+
 
 class StdDev(Var):
     """The square root of the variance."""
@@ -240,6 +267,9 @@ class Quantile(Agg):
     def half_width(self, level, eps, lo, hi):
         raise NotImplementedError("no interval for quantiles")
 
+    def interval(self, c, level, lo, hi):
+        raise NotImplementedError("no interval for quantiles")
+
 
 def priv_count_owners(name: str = "owners") -> Agg:
     return CountOwners(name)

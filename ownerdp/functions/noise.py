@@ -1,6 +1,6 @@
 """Laplace noise as columns.
 
-Noise is a keyed function of what is released: the tag of the aggregate and the encoded keys. A retried task, a second
+Noise is a keyed function of what is released: the secret of the release, the tag of the draw and the encoded keys. A retried task, a second
 action and a speculative copy all get the same noise, so nothing can be averaged out.
 """
 
@@ -25,11 +25,20 @@ def encode_keys(keys: Sequence[Column]) -> Column:
     return F.concat(*parts) if parts else F.lit("")
 
 
+def draw_tag(name: str, part: str = "value") -> str:
+    """What tells one draw of a release from all others: no two pairs of a name and a part give the same text, whatever the name holds."""
+    return f"{len(name)}:{name}/{part}"
+
+
 class Noise:
     """A source of noise. ``hex_digest`` gives a string of hex digits for a message."""
 
     exact = False
 
+    def for_release(self, label: str | None = None) -> Noise:
+        """The noise of one release, which no other release shares. ``label`` names a release that may have to be made again, as it was."""
+        return self
+
     def hex_digest(self, message: Column) -> Column:
         raise NotImplementedError
 
@@ -70,11 +79,15 @@ def _from_hex(digits: str, scale: float) -> float:
 
 
 class KeyedNoise(Noise):
-    """For releases: SHA-256 under a fresh secret of 256 bits. Redact the secret in logs (spark.redaction.string.regex)."""
+    """For releases: SHA-256 under a fresh secret of 256 bits, from which each release derives one of its own. Redact the secret in logs (spark.redaction.string.regex)."""
 
     def __init__(self, secret: str | None = None):
         self.secret = secret or secrets.token_hex(32)
 
+    def for_release(self, label: str | None = None) -> KeyedNoise:
+        own = f"labelled|{label}" if label is not None else f"fresh|{secrets.token_hex(32)}"
+        return KeyedNoise(hashlib.sha256(f"{self.secret}|release|{own}".encode()).hexdigest())
+
     def hex_digest(self, message: Column) -> Column:
         return F.sha2(F.concat(F.lit(self.secret + "|"), message), 256)
 
@@ -83,7 +96,7 @@ class KeyedNoise(Noise):
 
 
 class TestNoise(Noise):
-    """Reproducible noise from MD5 and a seed, which other engines can compute as well. Protects nothing."""
+    """Reproducible noise from MD5 and a seed, the same in every release, which other engines can compute as well. Protects nothing."""
 
     __test__ = False
 
@@ -120,6 +133,9 @@ class EntropyNoise(Noise):
     def __init__(self):
         self._order_secret = secrets.token_hex(32)
 
+    def for_release(self, label: str | None = None) -> EntropyNoise:
+        return EntropyNoise()
+
     def finish(self, df: DataFrame) -> DataFrame:
         return materialise(df.drop(self.NONCE), "release")
 

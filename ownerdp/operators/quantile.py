@@ -64,7 +64,7 @@ def search(cells: np.ndarray, counts: np.ndarray, q: float, depth: int, eps: flo
     return float(edges[i] + (edges[i + 1] - edges[i]) * ((0.5 - before) / mass[i] if mass[i] else 0.5))
 
 
-def bisect(bounded: DataFrame, keys: Sequence[str], col: str, name: str, qs: Sequence[float], lo: float, hi: float, depth: int, eps: float, noise: Noise, as_array: bool = False) -> DataFrame:
+def bisect(bounded: DataFrame, keys: Sequence[str], col: str, name: str, tag: str, qs: Sequence[float], lo: float, hi: float, depth: int, eps: float, noise: Noise, as_array: bool = False) -> DataFrame:
     """(keys, name): one search for each quantile, in the task that has the key's cells; eps is divided among them.
 
     A key needs at most min(its owners, 2^depth) cells in one task.
@@ -76,7 +76,7 @@ def bisect(bounded: DataFrame, keys: Sequence[str], col: str, name: str, qs: Seq
 
     def run(key: tuple, cells: pd.DataFrame) -> pd.DataFrame:
         lead = cells["__key"].iloc[0]
-        draw = lambda q: lambda scale, what: noise.draw(scale, f"{name}|{lead}|{q}|{what}") if scale else 0.0
+        draw = lambda q: lambda scale, what: noise.draw(scale, f"{tag}|{q}|{what}|{lead}") if scale else 0.0
         found = [lo + (hi - lo) * search(cells["cell"].to_numpy(), cells["n"].to_numpy(), q, depth, share, draw(q)) / (1 << depth) for q in qs]
         row = {k: [key[i]] for i, k in enumerate(keys)} | {name: [found if as_array else found[0]]}
         return pd.DataFrame(row)

@@ -8,13 +8,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ownerdp.functions.aggregates import Agg, Context, Quantile
-from ownerdp.functions.noise import Noise
+from ownerdp.functions.noise import Noise, draw_tag
+from ownerdp.ledger import PrivacyLedger
 from ownerdp.operators.bounds import approx_bounds
 from ownerdp.operators.quantile import bisect
 from ownerdp.operators.sampling import limit_partitions
 from ownerdp.operators.threshold import owner_threshold, suppress_rare_keys
 from ownerdp.params import PrivacyParams, Shares
-from ownerdp.plans.ownership import OwnedFrame
+from ownerdp.plans.ownership import OwnedFrame, OwnershipError, is_public, validate_ownership
 from ownerdp.result import PrivateResult
 from ownerdp.sources.tables import materialise
 
@@ -61,30 +62,49 @@ def cross_owner(bounded: DataFrame, keys: Sequence[str], aggs: Sequence[Agg], li
 
 
 def _limits(bounded: DataFrame, aggs: Sequence[Agg], shares: Shares, c_u: int, noise: Noise, p: float) -> tuple[dict[str, tuple], dict[str, Column]]:
-    """Limits of each automatic aggregate over all partitions together: at most a few numbers, read by the driver after noise."""
+    """Limits of each automatic aggregate over all partitions together: a few numbers, read by the driver after noise, in one job."""
+    automatic, rows = [a for a in aggs if a.automatic], None
+    for i, a in enumerate(automatic):
+        row = approx_bounds(bounded, [], a.p, shares.per_aggregate * c_u / 2, noise, p, a.bounds_kind, c_u, tag=draw_tag(a.name, "bounds")).withColumn("i", F.lit(i))
+        rows = row if rows is None else rows.unionByName(row)
+    by_number = {r["i"]: r for r in rows.collect()} if rows is not None else {}
     found, outside = {}, {}
-    for a in aggs:
-        if a.automatic:
-            row = approx_bounds(bounded, [], a.p, shares.per_aggregate * c_u / 2, noise, p, a.bounds_kind, c_u, tag=f"bounds_{a.name}").first()
-            found[a.name] = (None, None) if row is None or row["lower"] is None else (float(row["lower"]), float(row["upper"]))
-            outside[a.name] = F.lit(None).cast("double") if row is None else F.lit(row["outside"]).cast("double")
+    for i, a in enumerate(automatic):
+        row = by_number.get(i)
+        found[a.name] = (None, None) if row is None or row["lower"] is None else (float(row["lower"]), float(row["upper"]))
+        outside[a.name] = F.lit(None if row is None else row["outside"]).cast("double")
     return found, outside
 
 
+def checked_tables(owned: OwnedFrame, keys: Sequence[str | Column], aggs: Sequence[Agg]) -> set[str]:
+    """Raises OwnershipError unless the rows, the keys and what the aggregates read each come from one owner; the names of the private tables."""
+    columns, _ = _named(keys)
+    arguments = [F.col(a.col) if isinstance(a.col, str) else a.col for a in aggs if a.col is not None]
+    read = [c.alias(f"__read_{i}") for i, c in enumerate([*columns, *arguments])]
+    return validate_ownership(owned.unowned().select(F.col(f"`{owned.owner}`"), *read), owned.owner)
+
+
 def private_aggregate(
     owned: OwnedFrame, keys: Sequence[str | Column], aggs: Sequence[Agg], params: PrivacyParams, noise: Noise, key_domain: DataFrame | None = None,
     leftovers: bool = False, intervals: float | None = None, rounded: bool = False, strategy: str = "combine", sampler: str = "window", bounds_p: float = 1 - 1e-9,
-    show_owners: bool = False,
+    ledger: PrivacyLedger | None = None, query: str = "", label: str | None = None,
 ) -> PrivateResult:
     """A noisy row for each key that enough owners share.
 
     keys: columns of the grouping, none for one row over everything. key_domain: a public list of keys, each of which is
     released, absent ones as noise, and no other. leftovers: one more row for the owners of suppressed keys. intervals:
-    adds ``<name>_lo`` and ``<name>_hi``, which hold the result without noise with this probability.
+    adds ``<name>_lo`` and ``<name>_hi``, which hold the result without noise with this probability. ledger: charged before
+    anything runs, for each private table that is read. label: names a release that may be made again with the same noise; without
+    one, every call draws anew.
+
+    The analysed plan of all that is read is checked first: OwnershipError if any operator or subquery may mix owners.
     """
     _, names = _named(keys)
     if len({*names, *(a.name for a in aggs)}) < len(names) + len(aggs):
         raise ValueError("names of keys and aggregates must differ")
+    tables = checked_tables(owned, keys, aggs)
+    if key_domain is not None and not is_public(key_domain):
+        raise OwnershipError("the list of keys comes from private rows; list keys that are public, or a result that was written (fixed)")
     has_keys, suppress = bool(names), bool(names) and key_domain is None and params.suppress
     c_u = params.c_u if has_keys else 1
     shares = params.split(len(aggs), needs_count=suppress, has_keys=has_keys)
@@ -94,6 +114,10 @@ def private_aggregate(
         shares = Shares(each, each, each * (c_u + 1))
         if params.tau is None:
             params = params.with_(tau=owner_threshold(shares.count_of_query, params.delta, c_u + 1))
+    if ledger is not None:
+        for table in sorted(tables) or [""]:
+            ledger.charge(table, owned.owner, params.eps, params.delta if suppress else 0.0, query, PrivacyLedger.plan_hash(owned.unowned()))
+    noise = noise.for_release(label)
 
     df = partials(owned, keys, aggs, strategy)
     if key_domain is not None:  # before the limit, so that no partition outside the list uses it up
@@ -103,11 +127,11 @@ def private_aggregate(
     if any(a.automatic for a in aggs) or leftovers or any(isinstance(a, Quantile) for a in aggs):
         bounded = materialise(bounded, "bounded")  # read more than once, and every reader must see the same sample
     limits, outside = _limits(bounded, aggs, shares, c_u, noise, bounds_p)
-    released = _release(bounded, names, aggs, shares, params, noise, limits, outside, suppress, c_u, key_domain, intervals, rounded, show_owners)
+    released = _release(bounded, names, aggs, shares, params, noise, limits, outside, suppress, c_u, key_domain, intervals, rounded)
     if suppress and leftovers:
         rest = bounded.join(released.select(*names), [bounded[n].eqNullSafe(released[n]) for n in names], "left_anti")
         one_row = rest.groupBy("__owner").agg(*(_merged(a).alias(a.p) for a in aggs), F.lit(1).alias("__present"))
-        row = _release(one_row, [], aggs, shares, params, noise, limits, outside, True, 1, None, intervals, rounded, show_owners, tag="leftovers")
+        row = _release(one_row, [], aggs, shares, params, noise, limits, outside, True, 1, None, intervals, rounded, of=" of leftovers")
         kinds = {f.name: f.dataType for f in released.schema}
         released = released.withColumn("is_leftover", F.lit(False)).unionByName(row.select(*(F.lit(None).cast(kinds[n]).alias(n) for n in names), *row.columns).withColumn("is_leftover", F.lit(True)))
     return PrivateResult(released, names, list(aggs), params, noise)
@@ -118,7 +142,7 @@ def _merged(a: Agg) -> Column:
     return F.avg(a.p) if a.partial.__func__.__qualname__.startswith(("Avg", "Var", "Quantile")) else F.sum(a.p)
 
 
-def _release(bounded, names, aggs, shares, params, noise, limits, outside, suppress, c_u, key_domain, intervals, rounded, show_owners, tag="") -> DataFrame:
+def _release(bounded, names, aggs, shares, params, noise, limits, outside, suppress, c_u, key_domain, intervals, rounded, of="") -> DataFrame:
     usable = [a for a in aggs if limits.get(a.name, (0, 0))[0] is not None]
     totals = cross_owner(bounded, names, usable, limits)
     if key_domain is not None:
@@ -128,7 +152,6 @@ def _release(bounded, names, aggs, shares, params, noise, limits, outside, suppr
         totals = totals.fillna(0, subset=[c for c in totals.columns if c not in names])
     totals = noise.prepare(totals)
     key_columns = [F.col(n) for n in names]
-    context = Context(noise, key_columns, shares.per_aggregate, rounded)
     out: dict[str, Column] = {}
     for a in aggs:
         lo, hi = limits.get(a.name, (a.lo, a.hi))
@@ -137,32 +160,31 @@ def _release(bounded, names, aggs, shares, params, noise, limits, outside, suppr
             out[a.name] = F.lit(None).cast("double")
             continue
         if not isinstance(a, Quantile):
-            context.eps = eps
-            out[a.name] = a.release(Context(noise, key_columns, eps, rounded), lo, hi)
+            context = Context(noise, key_columns, eps, rounded)
+            out[a.name] = a.release(context, lo, hi)
             if intervals is not None:
-                out |= _interval(a, context, intervals, eps, lo, hi, out[a.name])
+                out |= _interval(a, context, intervals, lo, hi)
         if a.automatic:
             out[f"{a.name}_outside"] = outside[a.name]
     if suppress:
-        count = F.col(OWNERS) + noise.laplace(1 / shares.per_count, f"owners{tag}", key_columns)
+        count = F.col(OWNERS) + noise.laplace(1 / shares.per_count, draw_tag("", f"owners{of}"), key_columns)  # aggregates have names, so none shares this draw
         tau = params.tau if params.tau is not None else owner_threshold(shares.count_of_query, params.delta, c_u)
         totals = suppress_rare_keys(totals.withColumn(NOISY_OWNERS, count), NOISY_OWNERS, tau)
-    if show_owners:
-        out["priv_owners"] = F.col(NOISY_OWNERS) if suppress else F.col(OWNERS)
-    released = totals.select(*names, *(c.alias(n) for n, c in out.items()), *([noise.NONCE] if hasattr(noise, "NONCE") else []))
+    public_keys = [F.col(n).alias(n, metadata={"released": True}) for n in names]  # an owner among the keys is one no more
+    released = totals.select(*public_keys, *(c.alias(n) for n, c in out.items()), *([noise.NONCE] if hasattr(noise, "NONCE") else []))
     released = noise.finish(released)
     for a in aggs:
         if isinstance(a, Quantile) and a in usable:
             lo, hi = limits.get(a.name, (a.lo, a.hi))
             eps = shares.per_aggregate / 2 if a.automatic else shares.per_aggregate
-            found = bisect(bounded, names, a.p, a.name, a.q, lo, hi, a.depth, eps, noise, a.extra.get("array", False))
+            found = bisect(bounded, names, a.p, a.name, draw_tag(a.name, "search"), a.q, lo, hi, a.depth, eps, noise, a.extra.get("array", False))
             if not names:
                 released = _beside(released, found)
             else:
                 keyed = found.select(*(F.col(n).alias(f"__k_{n}") for n in names), a.name)
                 released = released.join(keyed, [released[n].eqNullSafe(keyed[f"__k_{n}"]) for n in names], "left").drop(*(f"__k_{n}" for n in names))
     order = [c for a in aggs for c in (a.name, f"{a.name}_lo", f"{a.name}_hi", f"{a.name}_outside")]
-    return released.select(*names, *(c for c in order if c in released.columns), *(["priv_owners"] if show_owners else []))
+    return released.select(*names, *(c for c in order if c in released.columns))
 
 
 def _beside(one: DataFrame, other: DataFrame) -> DataFrame:
@@ -170,17 +192,9 @@ def _beside(one: DataFrame, other: DataFrame) -> DataFrame:
     return one.withColumn("__one", F.lit(1)).join(other.withColumn("__one", F.lit(1)), "__one", "left").drop("__one")
 
 
-def _interval(a: Agg, c: Context, level: float, eps: float, lo: float, hi: float, value: Column) -> dict[str, Column]:
+def _interval(a: Agg, c: Context, level: float, lo: float, hi: float) -> dict[str, Column]:
     try:
-        width = a.half_width(level, eps, lo, hi)
+        low, high = a.interval(c, level, lo, hi)
     except NotImplementedError:
         return {}
-    if isinstance(width, tuple):  # a quotient: the widest that both noises allow together
-        by_sum, by_count = width
-        count = F.greatest(F.col(f"{a.p}_n") + c.noise.laplace(1 / (eps * a.count_share), f"{a.name}_count", c.keys), F.lit(1.0))
-        middle = (lo + hi) / 2
-        total = (value - middle) * count
-        low_n, high_n = F.greatest(count - by_count, F.lit(1.0)), count + by_count
-        ends = [(total + sign * by_sum) / n for sign in (-1, 1) for n in (low_n, high_n)]
-        return {f"{a.name}_lo": F.greatest(F.lit(float(lo)), F.least(*ends) + middle), f"{a.name}_hi": F.least(F.lit(float(hi)), F.greatest(*ends) + middle)}
-    return {f"{a.name}_lo": value - width, f"{a.name}_hi": value + width}
+    return {f"{a.name}_lo": low, f"{a.name}_hi": high}

@@ -5,9 +5,8 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
-from ownerdp.plans.ownership import OWNER_FLAG, OwnedFrame, OwnershipError
+from ownerdp.plans.ownership import OwnedFrame, OwnershipError, declare_owner
 from ownerdp.sources.tables import read_table
 
 #: Owners of the given tables; None: public. The customer view of lineitem is declared separately.
@@ -52,7 +51,7 @@ class OwnerCatalog:
         df, owner = self.lookup(name)
         if owner is None:
             raise OwnershipError(f"{name} is public")
-        return OwnedFrame.of(df, owner)
+        return OwnedFrame.of(df, owner, name)
 
     def public(self, name: str) -> DataFrame:
         df, owner = self.lookup(name)
@@ -63,8 +62,7 @@ class OwnerCatalog:
     def create_views(self, prefix: str = "") -> None:
         """Temporary views whose owner columns carry the flag by which plans are checked; rows without an owner are left out."""
         for name, (df, owner) in self.tables.items():
-            out = df if owner is None else df.filter(F.col(owner).isNotNull()).select(*(F.col(c).alias(c, metadata=OWNER_FLAG) if c == owner else F.col(c) for c in df.columns))
-            out.createOrReplaceTempView(prefix + name)
+            (df if owner is None else declare_owner(df, owner, name)).createOrReplaceTempView(prefix + name)
 
 
 def bucket_by_owner(df: DataFrame, table: str, owner: str, buckets: int) -> None:
@@ -76,4 +74,4 @@ def lineitem_by_customer(spark: SparkSession, folder: str) -> OwnedFrame:
     """The trusted view of lineitem whose owner is the customer of the order."""
     orders = read_table(spark, folder, "orders")
     lines = read_table(spark, folder, "lineitem")
-    return OwnedFrame.of(lines.join(orders, lines["l_orderkey"] == orders["o_orderkey"]), "o_custkey")
+    return OwnedFrame.of(lines.join(orders, lines["l_orderkey"] == orders["o_orderkey"]), "o_custkey", "lineitem")

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ownerdp.functions import aggregates as A
-from ownerdp.functions.noise import CODES, NoNoise, TestNoise
+from ownerdp.functions.noise import CODES, NoNoise, TestNoise, draw_tag
 from ownerdp.operators.threshold import owner_threshold
 from ownerdp.params import PrivacyParams
 from ownerdp.plans.ownership import OwnedFrame
@@ -130,26 +130,26 @@ class _Oracle:
             out.append(f"coalesce(sum({sql_clamp(f'({c} * {c})', lo, hi)} - {(lo + hi) / 2!r}), 0) AS q_{r.name}")
         return out
 
-    def _mean(self, r: Release, s: str, lo: float, hi: float, eps: float, tag: str, keys) -> str:
+    def _mean(self, r: Release, s: str, lo: float, hi: float, eps: float, part: str, keys) -> str:
         noisy = self.w.noisy
-        total = f"({s} + {sql_laplace((hi - lo) / 2 / (eps / 2), tag + '_sum', keys, noisy)})"
-        count = f"greatest(n_{r.name} + {sql_laplace(2 / eps, tag + '_count', keys, noisy)}, 1.0)"
+        total = f"({s} + {sql_laplace((hi - lo) / 2 / (eps / 2), draw_tag(r.name, part + 'sum'), keys, noisy)})"
+        count = f"greatest(n_{r.name} + {sql_laplace(2 / eps, draw_tag(r.name, part + 'count'), keys, noisy)}, 1.0)"
         return sql_clamp(f"({(lo + hi) / 2!r} + {total} / {count})", lo, hi)
 
     def released(self, r: Release, keys: Sequence[str]) -> list[str]:
         e, noisy, out = self.eps, self.w.noisy, []
         if r.kind in ("owners", "count", "sum"):
             scale = 1 / e if r.lo is None else max(abs(r.lo), abs(r.hi)) / e
-            value = f"s_{r.name} + {sql_laplace(scale, r.name, keys, noisy)}"
+            value = f"s_{r.name} + {sql_laplace(scale, draw_tag(r.name), keys, noisy)}"
             if self.w.intervals is not None:
                 width = r.agg().half_width(self.w.intervals, e, r.lo, r.hi)
                 out = [f"round({value} - {width!r}, {PLACES}) AS {r.name}_lo", f"round({value} + {width!r}, {PLACES}) AS {r.name}_hi"]
         elif r.kind == "avg":
-            value = self._mean(r, f"s_{r.name}", r.lo, r.hi, e, r.name, keys)
+            value = self._mean(r, f"s_{r.name}", r.lo, r.hi, e, '', keys)
         else:
             lo, hi = A.Var.squared_limits(r.lo, r.hi)
-            first = self._mean(r, f"s_{r.name}", r.lo, r.hi, e / 2, r.name, keys)
-            second = self._mean(r, f"q_{r.name}", lo, hi, e / 2, f"{r.name}_squares", keys)
+            first = self._mean(r, f"s_{r.name}", r.lo, r.hi, e / 2, '', keys)
+            second = self._mean(r, f"q_{r.name}", lo, hi, e / 2, 'squares_', keys)
             value = f"greatest(0, ({second}) - ({first}) * ({first}))"
             if r.kind == "stddev":
                 value = f"sqrt({value})"
@@ -174,7 +174,7 @@ class _Oracle:
             ctes.append(f"listed AS (SELECT {listed}{', '.join(f'coalesce({n}, 0) AS {n}' for n in names)} FROM (SELECT DISTINCT {', '.join(keys)} FROM ({w.domain})) LEFT JOIN tot USING ({', '.join(keys)}))")
             source = "listed"
         out = ", ".join(x for r in w.releases for x in self.released(r, keys))
-        where = f" WHERE owners + {sql_laplace(1 / self.eps, 'owners', keys, w.noisy)} >= {self.tau!r}" if self.suppress else ""
+        where = f" WHERE owners + {sql_laplace(1 / self.eps, draw_tag('', 'owners'), keys, w.noisy)} >= {self.tau!r}" if self.suppress else ""
         body = f"SELECT {listed}{out} FROM {source}{where}"
         if not (self.suppress and w.leftovers):
             return f"WITH {', '.join(ctes)} {body}"
@@ -184,5 +184,5 @@ class _Oracle:
         last = ", ".join(x for r in w.releases for x in self.released(r, []))
         return (
             f"WITH {', '.join(ctes)} SELECT *, false AS is_leftover FROM kept UNION ALL BY NAME SELECT {''.join(f'NULL AS {k}, ' for k in keys)}{last}, true AS is_leftover FROM rest_tot"
-            f" WHERE owners + {sql_laplace(1 / self.eps, 'ownersleftovers', [], w.noisy)} >= {self.tau!r}"
+            f" WHERE owners + {sql_laplace(1 / self.eps, draw_tag('', 'owners of leftovers'), [], w.noisy)} >= {self.tau!r}"
         )

@@ -9,7 +9,7 @@ from tests.conftest import MEDIUM, SMALL
 from ownerdp import measures
 from ownerdp.functions import aggregates as A
 from ownerdp.functions.clamp import clamp
-from ownerdp.functions.noise import EntropyNoise, KeyedNoise, NoNoise, TestNoise, encode_keys
+from ownerdp.functions.noise import EntropyNoise, KeyedNoise, NoNoise, TestNoise, draw_tag, encode_keys
 from ownerdp.ledger import BudgetExceeded, PrivacyLedger
 from ownerdp.operators import baselines, bounds
 from ownerdp.operators.sampling import REJECTED_SAMPLERS, limit_partitions
@@ -130,6 +130,36 @@ def test_noise_is_laplace_and_keyed(spark):
     assert noise.draw(2.0, "m|V1:5") == pytest.approx(spark.range(5, 6).select(noise.laplace(2.0, "m", [F.col("id").cast("string")])).first()[0])
 
 
+def test_no_two_draws_are_shared(spark):
+    """Names that look like parts of others, the hidden count and a second query with the same noise object: each has noise of its own."""
+    rows = [(o, "a", 1.0) for o in range(200)]
+    names = ["v", "v_sum", "v_count", "owners", "4:v", "v/sum"]
+    aggs = [A.priv_avg("v", "v", 0, 4), *(A.priv_sum(n, "v", 0, 4) for n in names[1:])]
+    for noise in (TestNoise(3), KeyedNoise(), EntropyNoise()):
+        (row,) = private_aggregate(owned(spark, rows), ["k"], aggs, PrivacyParams(7.0, 0.0, 1, suppress=False), noise).df.collect()
+        draws = [round(row[n] - 200, 6) for n in names[1:]]
+        assert len(set(draws)) == len(draws)
+    tags = {draw_tag(n, p) for n in ("", "a", "a/sum", "1:a") for p in ("value", "sum", "sum/value", "owners")}
+    assert len(tags) == 16
+    with pytest.raises(ValueError):
+        A.priv_sum("", "v", 0, 1)
+    noise = KeyedNoise("fixed")
+    free = PrivacyParams(1.0, 0.0, 1, suppress=False)
+    once, twice = (private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners()], free, noise).df.first()["owners"] for _ in range(2))
+    assert once != twice  # nothing cancels between two queries
+    again = [private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners()], free, noise, label="batch 7").df.first()["owners"] for _ in range(2)]
+    assert again[0] == again[1] != once
+    result = private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners()], free, noise)
+    assert result.df.collect() == result.df.collect()
+    # the hidden count is another draw than the released one: the key passes by the hidden one alone
+    released, hidden = set(), set()
+    for seed in range(14):
+        shown = private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners()], PrivacyParams(0.2, 0.0, 1, tau=200.0), TestNoise(seed)).df.collect()
+        free_run = private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners()], PrivacyParams(0.2, 0.0, 1, tau=-1e9), TestNoise(seed)).df.first()["owners"]
+        (released if free_run >= 200 else hidden).add(bool(shown))
+    assert released == hidden == {True, False}
+
+
 def test_key_encoding_tells_lists_apart(spark):
     rows = spark.createDataFrame([("a", "bc"), ("ab", "c"), (None, "NULL"), ("NULL", None), ("N", "N"), ("", "")], "x string, y string")
     assert rows.select(encode_keys([F.col("x"), F.col("y")]).alias("e")).distinct().count() == 6
@@ -145,6 +175,11 @@ def test_intervals_and_rounding(spark):
     result = private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners("n"), A.priv_avg("m", "v", 0, 2)], PrivacyParams(2.0, 0.0, 1, suppress=False), TestNoise(4), intervals=0.99, rounded=True)
     (row,) = result.df.collect()
     assert row["n_lo"] <= 100 <= row["n_hi"] and row["n"] % 1 == 0 and row["m_lo"] <= 1 <= row["m_hi"]
+    widths = []
+    for is_rounded in (False, True):  # the scale is 2 / 3, so the rounded one is a step of 1 wider
+        r = private_aggregate(owned(spark, rows), ["k"], [A.priv_count_owners("n")], PrivacyParams(1.5, 0.0, 1, suppress=False), TestNoise(4), intervals=0.5, rounded=is_rounded).df.first()
+        widths.append(r["n_hi"] - r["n_lo"])
+    assert widths == pytest.approx([2 * math.log(2) / 1.5, 2 * math.log(2) / 1.5 + 1.0])
 
 
 def test_automatic_limits(spark):
