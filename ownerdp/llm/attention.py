@@ -1,9 +1,9 @@
 """A small causal self-attention model over subword ids in numpy: one layer, trained by hand-written gradients, and its scorer.
 
-A token either starts a word (its bytes begin with a blank, or it is the end) or continues one. The layer's output decides
-between the two and, for a start, the class of the token; what counts over the corpus fix enters as given terms: how
-likely a word ends after its tokens so far (the prior log odds that the layer corrects), the continuation of a word by its
-tokens so far, and the token within its class.
+Its inputs are the subwords of a text, its targets the tokens that follow: words, and the end. Where a token begins, the layer
+predicts its class from the subwords before it. A token's symbol is its first subword, together with whether more follow; the
+frequent symbols, many of them whole words, are classes of their own, the others fall into clusters by what stands around them.
+Within a class a symbol has its share of the counts; how a longer word goes on is left to ``spelling``.
 """
 
 from __future__ import annotations
@@ -12,18 +12,22 @@ from dataclasses import dataclass
 
 import numpy as np
 
-DIM, HIDDEN = 16, 24
-#: Inputs that a window holds, and targets that it scores: windows overlap by WINDOW - STRIDE inputs.
-WINDOW, STRIDE = 24, 18
-#: Starting tokens that are a class of their own, the most frequent ones, and clusters of the others.
-SINGLE, CLUSTERS = 48, 48
+DIM, HIDDEN = 16, 32
+#: Inputs that a window holds, and positions whose next token it scores: windows overlap by WINDOW - STRIDE inputs.
+WINDOW, STRIDE = 32, 24
+#: Symbols that are a class of their own, the most frequent ones, and clusters of the others.
+SINGLE, CLUSTERS = 64, 64
 CLASSES = SINGLE + CLUSTERS
 FAR = np.float32(-1e9)
 
 
 @dataclass
 class Vocabulary:
-    """Fixed parts, from counts over all training tokens: an embedding of each id; of starting tokens the class and log P(token | class)."""
+    """Fixed parts, from counts over all training text. n ids, the end among them, have 2n symbols: i, and n + i where the word goes on.
+
+    embedding: of each id; starts: ids that begin a token; of_class and log_within: of each symbol its class and
+    log P(symbol | class); log_class: log P(class).
+    """
 
     embedding: np.ndarray
     starts: np.ndarray
@@ -32,12 +36,35 @@ class Vocabulary:
     log_class: np.ndarray
 
 
-def describe(counts: np.ndarray, before: np.ndarray, after: np.ndarray, starts: np.ndarray, seed: int = 7) -> Vocabulary:
-    """counts: of each id; before, after: counts of each id by the hash bucket of the token ahead of it and behind it."""
+def symbols(ids: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """The symbol of the token that begins at each place of texts laid end to end, each closed by the end; -1 where none begins."""
+    goes_on = np.append(~starts[ids[1:]], False)
+    return np.where(starts[ids], ids + len(starts) * goes_on, -1)
+
+
+def _shares(m: np.ndarray) -> np.ndarray:
+    """How much more often each row has each neighbour than all rows have, as clipped logarithms."""
+    m = m.astype(float)
+    return np.clip(np.log((m + 0.5) / (m.sum(axis=1, keepdims=True) + 0.5 * m.shape[1]) / ((m.sum(axis=0) + 0.5) / (m.sum() + 0.5 * m.shape[1]))), -4, 4)
+
+
+def _clusters(x: np.ndarray, weight: np.ndarray, k: int, rng: np.random.Generator) -> np.ndarray:
+    middle = x[rng.choice(len(x), k, replace=False, p=weight / weight.sum())]
+    for _ in range(15):
+        near = (((x**2).sum(1)[:, None] - 2 * x @ middle.T) + (middle**2).sum(1)).argmin(1)
+        total = np.bincount(near, weight, k)
+        moved = np.stack([np.bincount(near, weight * x[:, j], k) for j in range(x.shape[1])], axis=1)
+        middle = np.where(total[:, None] > 0, moved / np.maximum(total, 1e-9)[:, None], middle)
+    return near
+
+
+def describe(counts: np.ndarray, around: np.ndarray, starts: np.ndarray, symbol_counts: np.ndarray, symbols_around: np.ndarray, seed: int = 7) -> Vocabulary:
+    """counts: of each id; around: two halves, the counts of each id by the hash bucket of the id ahead of it and behind it; the same of symbols.
+
+    The last id is the end."""
     rng = np.random.default_rng(seed)
-    n = len(counts)
-    share = lambda m: np.log((m + 0.5) / (m.sum(axis=1, keepdims=True) + 0.5 * m.shape[1]) / ((m.sum(axis=0) + 0.5) / (m.sum() + 0.5 * m.shape[1])))
-    features = np.concatenate([np.clip(share(before.astype(float)), -4, 4), np.clip(share(after.astype(float)), -4, 4), np.log1p(counts)[:, None] / 4], axis=1)
+    n, half = len(counts), around.shape[1] // 2
+    features = np.concatenate([_shares(around[:, :half]), _shares(around[:, half:]), np.log1p(counts)[:, None] / 4], axis=1)
     seen = np.flatnonzero(counts > 0)
     embedding = rng.normal(size=(n, DIM))
     if len(seen) > DIM:
@@ -46,25 +73,22 @@ def describe(counts: np.ndarray, before: np.ndarray, after: np.ndarray, starts:
         values, axes = np.linalg.eigh(np.cov(features[seen].T, aweights=weight) + 1e-6 * np.eye(features.shape[1]))
         top = np.argsort(values)[::-1][:DIM]
         embedding = np.clip((features - centre) @ axes[:, top] / np.sqrt(values[top]), -3, 3)
-    first = np.flatnonzero(starts)
-    first = first[np.argsort(-counts[first], kind="stable")]
-    of_class = np.full(n, -1, np.int32)
-    of_class[first[:SINGLE]] = np.arange(min(SINGLE, len(first)))
-    rest = first[SINGLE:]
-    of_class[rest] = SINGLE + rest % CLUSTERS  # unseen ids are spread evenly
-    known = rest[counts[rest] > 0]
+    possible = np.concatenate([starts, starts])
+    possible[-1] = False  # nothing goes on after the end
+    listed = np.flatnonzero(possible)
+    listed = listed[np.argsort(-symbol_counts[listed], kind="stable")]
+    of_class = np.full(2 * n, -1, np.int32)
+    of_class[listed[:SINGLE]] = np.arange(min(SINGLE, len(listed)))
+    rest = listed[SINGLE:]
+    of_class[rest] = SINGLE + rest % CLUSTERS  # unseen symbols are spread evenly
+    known = rest[symbol_counts[rest] > 0]
     if len(known) > CLUSTERS:
-        x, w = features[known], np.sqrt(counts[known])
-        middle = x[rng.choice(len(known), CLUSTERS, replace=False, p=w / w.sum())]
-        for _ in range(15):
-            near = (((x**2).sum(1)[:, None] - 2 * x @ middle.T) + (middle**2).sum(1)).argmin(1)
-            total = np.bincount(near, w, CLUSTERS)
-            moved = np.stack([np.bincount(near, w * x[:, j], CLUSTERS) for j in range(x.shape[1])], axis=1)
-            middle = np.where(total[:, None] > 0, moved / np.maximum(total, 1e-9)[:, None], middle)
-        of_class[known] = SINGLE + near
-    log_within = np.zeros(n)
-    size, its = np.bincount(of_class[first], minlength=CLASSES), np.bincount(of_class[first], counts[first], CLASSES)
-    log_within[first] = np.log((counts[first] + 0.1) / (its + 0.1 * size)[of_class[first]])
+        half = symbols_around.shape[1] // 2
+        x = np.concatenate([_shares(symbols_around[known][:, :half]), _shares(symbols_around[known][:, half:])], axis=1)
+        of_class[known] = SINGLE + _clusters(x, np.sqrt(symbol_counts[known]), CLUSTERS, rng)
+    log_within = np.zeros(2 * n)
+    size, its = np.bincount(of_class[listed], minlength=CLASSES), np.bincount(of_class[listed], symbol_counts[listed], CLASSES)
+    log_within[listed] = np.log((symbol_counts[listed] + 0.1) / (its + 0.1 * size)[of_class[listed]])
     log_class = np.log((its + 1) / (its.sum() + CLASSES))
     return Vocabulary(embedding.astype(np.float32), starts.astype(bool), of_class, log_within, log_class)
 
@@ -75,51 +99,63 @@ def initial(vocabulary: Vocabulary, seed: int = 11) -> dict[str, np.ndarray]:
     return {
         "query": 0.3 * draw(DIM, DIM), "key": 0.3 * draw(DIM, DIM), "value": draw(DIM, DIM), "distance": np.zeros(WINDOW, np.float32),
         "own": draw(DIM, HIDDEN), "mixed": 1.5 * draw(DIM, HIDDEN), "hidden_bias": np.zeros(HIDDEN, np.float32),
-        "out": 0.1 * draw(HIDDEN, CLASSES + 1), "out_bias": np.append(vocabulary.log_class, 0).astype(np.float32),
+        "out": 0.1 * draw(HIDDEN, CLASSES), "out_bias": vocabulary.log_class.astype(np.float32),
     }
 
 
 _BACK = np.arange(WINDOW)[:, None] - np.arange(WINDOW)[None, :]
 
 
-def _softmax(x: np.ndarray) -> np.ndarray:
-    e = np.exp(x - x.max(axis=-1, keepdims=True))
-    return e / e.sum(axis=-1, keepdims=True)
-
-
-def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, odds: np.ndarray, goal: np.ndarray, real: np.ndarray, chosen: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
-    """Mean loss in nats and its gradient. x: (windows, WINDOW, DIM) embeddings; odds: prior log odds that a word ends there.
-
-    goal: the class of the next token, below 0 if it continues a word; real: which targets count; chosen: where the
-    choice between the two is open.
-    """
-    m, scale = np.float32(max(1, int(real.sum()))), np.float32(1 / np.sqrt(DIM))
+def training_windows(documents: list[np.ndarray], vocabulary: Vocabulary) -> tuple[np.ndarray, np.ndarray]:
+    """(inputs, goals), WINDOW wide: consecutive windows of each document, the end ahead of it. A goal is the class of the token that
+    begins next, the end behind the text included; -1 where none begins. Every token is a goal once."""
+    end = len(vocabulary.embedding) - 1
+    inputs, goals = [], []
+    for ids in documents:
+        whole = np.concatenate([[end], ids, [end]]).astype(np.int64)
+        its = symbols(whole, vocabulary.starts)[1:]
+        size = -(-len(its) // WINDOW) * WINDOW
+        x, y = np.full(size, end, np.int64), np.full(size, -1, np.int64)
+        x[: len(its)] = whole[:-1]
+        y[: len(its)] = np.where(its >= 0, vocabulary.of_class[its], -1)
+        inputs.append(x.reshape(-1, WINDOW))
+        goals.append(y.reshape(-1, WINDOW))
+    if not inputs:
+        return np.zeros((0, WINDOW), np.int64), np.zeros((0, WINDOW), np.int64)
+    return np.concatenate(inputs), np.concatenate(goals)
+
+
+def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
+    """Mean loss in nats over the goals and its gradient. x: (windows, WINDOW, DIM) embeddings; goal: classes, -1 for none."""
+    scale = x.dtype.type(1 / np.sqrt(DIM))
     q, k, v = x @ w["query"], x @ w["key"], x @ w["value"]
-    scores = q @ k.transpose(0, 2, 1) * scale + np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)])
-    p = _softmax(scores)
+    p = q @ k.transpose(0, 2, 1)
+    p *= scale
+    p += np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)])
+    p -= p.max(axis=-1, keepdims=True)
+    np.exp(p, out=p)
+    p /= p.sum(axis=-1, keepdims=True)
     a = p @ v
-    u = x @ w["own"] + a @ w["mixed"] + w["hidden_bias"]
+    asked = goal >= 0
+    goal, own, mixed = goal[asked], x[asked], a[asked]  # only where a token begins does the layer predict
+    m, rows = max(1, len(goal)), np.arange(len(goal))
+    u = own @ w["own"] + mixed @ w["mixed"] + w["hidden_bias"]
     h = np.maximum(u, 0)
     z = h @ w["out"] + w["out_bias"]
-    ends = 1 / (1 + np.exp(-np.clip(z[..., -1] + odds, -30, 30)))
-    started = (goal >= 0) & real
-    prob = _softmax(z[..., :-1])
-    at = np.maximum(goal, 0)[..., None]
-    hit = np.take_along_axis(prob, at, axis=-1)
-    binary = np.where(goal >= 0, ends, 1 - ends)
-    loss = float(-(np.log(hit[..., 0] + 1e-30) * started).sum() - (np.log(binary + 1e-30) * (chosen & real)).sum()) / float(m)
-    dz = np.empty_like(z)
-    np.put_along_axis(prob, at, hit - 1, axis=-1)
-    dz[..., :-1] = prob * started[..., None]
-    dz[..., -1] = (ends - (goal >= 0)) * (chosen & real)
-    dz /= m
-    flat = lambda t: t.reshape(-1, t.shape[-1])
-    g = {"out": flat(h).T @ flat(dz), "out_bias": flat(dz).sum(0)}
-    du = (dz @ w["out"].T) * (u > 0)
-    g |= {"own": flat(x).T @ flat(du), "mixed": flat(a).T @ flat(du), "hidden_bias": flat(du).sum(0)}
-    da = du @ w["mixed"].T
+    z -= z.max(axis=-1, keepdims=True)
+    np.exp(z, out=z)
+    z /= z.sum(axis=-1, keepdims=True)
+    loss = -float(np.log(z[rows, goal] + 1e-30).sum()) / m
+    z[rows, goal] -= 1
+    z /= m
+    g = {"out": h.T @ z, "out_bias": z.sum(0)}
+    du = (z @ w["out"].T) * (u > 0)
+    g |= {"own": own.T @ du, "mixed": mixed.T @ du, "hidden_bias": du.sum(0)}
+    da = np.zeros_like(a)
+    da[asked] = du @ w["mixed"].T
     dp, dv = da @ v.transpose(0, 2, 1), p.transpose(0, 2, 1) @ da
     ds = p * (dp - (dp * p).sum(-1, keepdims=True))
+    flat = lambda t: t.reshape(-1, t.shape[-1])
     by_pair = ds.sum(0)
     g["distance"] = np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(x.dtype)
     g["query"] = flat(x).T @ flat(ds @ k) * scale
@@ -128,48 +164,49 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, odds: np.ndarray,
     return loss, g
 
 
-def train(w: dict[str, np.ndarray], vocabulary: Vocabulary, ids: np.ndarray, odds: np.ndarray, rate: float, batch: int = 32, seed: int = 3) -> dict[str, np.ndarray]:
-    """One pass of Adam steps over windows of WINDOW + 1 ids, -1 where there are none, and the prior odds after each."""
-    w = {k: v.astype(np.float32).copy() for k, v in w.items()}
-    first, second = ({k: np.zeros_like(v) for k, v in w.items()} for _ in range(2))
-    order = np.random.default_rng(seed).permutation(len(ids))
-    end = len(vocabulary.embedding) - 1
-    for step, i in enumerate(range(0, len(order), batch), 1):
-        rows = ids[order[i : i + batch]]
-        inputs, targets = np.maximum(rows[:, :-1], 0), np.maximum(rows[:, 1:], 0)
-        goal = np.where(vocabulary.starts[targets], vocabulary.of_class[targets], -1)
-        _, g = loss_and_gradient(w, vocabulary.embedding[inputs], odds[order[i : i + batch], :-1], goal, rows[:, 1:] >= 0, inputs != end)
-        for k, d in g.items():
-            first[k] += 0.1 * (d - first[k])
-            second[k] += 0.01 * (d * d - second[k])
-            w[k] -= np.float32(rate) * (first[k] / (1 - 0.9**step)) / (np.sqrt(second[k] / (1 - 0.99**step)) + 1e-8)
-    return w
+class Trainer:
+    """Adam steps over windows, from given weights; its moments stay from call to call."""
+
+    def __init__(self, w: dict[str, np.ndarray], vocabulary: Vocabulary, rate: float, batch: int = 128):
+        self.w = {k: v.astype(np.float32).copy() for k, v in w.items()}
+        self.vocabulary, self.rate, self.batch, self.steps, self.losses = vocabulary, rate, batch, 0, []
+        self.first, self.second = ({k: np.zeros_like(v) for k, v in self.w.items()} for _ in range(2))
+
+    def run(self, inputs: np.ndarray, goals: np.ndarray, seed: int = 0) -> None:
+        """One pass over the windows in a random order."""
+        order = np.random.default_rng(seed).permutation(len(inputs))
+        for i in range(0, len(order), self.batch):
+            rows = order[i : i + self.batch]
+            loss, g = loss_and_gradient(self.w, self.vocabulary.embedding[inputs[rows]], goals[rows])
+            self.losses.append(loss)
+            self.steps += 1
+            for k, d in g.items():
+                self.first[k] += 0.1 * (d - self.first[k])
+                self.second[k] += 0.01 * (d * d - self.second[k])
+                self.w[k] -= np.float32(self.rate) * (self.first[k] / (1 - 0.9**self.steps)) / (np.sqrt(self.second[k] / (1 - 0.99**self.steps)) + np.float32(1e-8))
 
 
 class Scorer:
-    """Scores whole documents: what depends on one token alone is tabled for every id, the rest is batched over windows."""
+    """Scores whole documents: what depends on one subword alone is tabled for every id, the rest is batched over windows."""
 
     def __init__(self, w: dict[str, np.ndarray], vocabulary: Vocabulary):
         e = vocabulary.embedding
-        n = len(e)
+        self.vocabulary = vocabulary
         self.query, self.key = e @ w["query"] * np.float32(1 / np.sqrt(DIM)), e @ w["key"]
-        self.value = np.concatenate([e @ w["value"] @ w["mixed"], np.ones((n, 1), np.float32)], axis=1)  # the last column sums the weights
+        self.value = np.concatenate([e @ w["value"] @ w["mixed"], np.ones((len(e), 1), np.float32)], axis=1)  # the last column sums the weights
         self.own = e @ w["own"] + w["hidden_bias"]
-        self.out, self.out_bias = np.ascontiguousarray(w["out"][:, :-1]), w["out_bias"][:-1]
-        self.ends, self.ends_bias = np.ascontiguousarray(w["out"][:, -1]), w["out_bias"][-1]
-        self.starts, self.of_class, self.log_within = vocabulary.starts, vocabulary.of_class, vocabulary.log_within
+        self.out, self.out_bias = w["out"], w["out_bias"]
         back = np.arange(STRIDE)[:, None] + (WINDOW - STRIDE) - np.arange(WINDOW)[None, :]
         self.bias = np.where(back < 0, FAR, w["distance"][np.clip(back, 0, WINDOW - 1)]).astype(np.float32)
 
-    def log10(self, documents: list[tuple[np.ndarray, np.ndarray, np.ndarray]], end: int, chunk: int = 512) -> np.ndarray:
-        """The log10 probability of each document (ids, log P of each as continuation, prior odds of an end after each) and its end."""
-        lengths = np.array([len(d[0]) + 1 for d in documents], np.int64)
+    def log10(self, documents: list[np.ndarray], chunk: int = 512) -> np.ndarray:
+        """Of each document (ids) the log10 probability of the symbols of its tokens and its end."""
+        end = len(self.own) - 1
+        lengths = np.array([len(d) + 1 for d in documents], np.int64)  # the end stands ahead of each document
         if not len(lengths):
             return np.zeros(0)
-        none = np.zeros(1, np.float32)
-        joined = lambda i, edge: np.concatenate([y for d in documents for y in (edge, d[i])] + [edge])
-        flat = joined(0, np.array([end], np.uint16)).astype(np.int64)  # the end stands ahead of each document; targets are one place further
-        within, odds = joined(1, none), joined(2, none)
+        flat = np.concatenate([x for d in documents for x in ([end], d)] + [[end]]).astype(np.int64)
+        its = symbols(flat, self.vocabulary.starts)[1:]  # what begins behind each place
         begin = np.cumsum(lengths) - lengths
         windows = -(-lengths // STRIDE)
         owner = np.repeat(np.arange(len(lengths)), windows)
@@ -180,35 +217,24 @@ class Scorer:
         for i in range(0, len(owner), chunk):
             part = slice(i, i + chunk)
             at = first[part, None] + np.arange(WINDOW)
-            outside = at[:, : WINDOW - STRIDE] < begin[owner[part], None]
             ids = flat[np.clip(at, 0, len(flat) - 1)]
-            asked = ids[:, WINDOW - STRIDE :]
-            weights = np.matmul(self.query[asked], self.key[ids].transpose(0, 2, 1))
+            own = ids[:, WINDOW - STRIDE :]
+            weights = np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1))
             weights += self.bias
             np.exp(np.minimum(weights, 40, out=weights), out=weights)
-            weights[:, :, : WINDOW - STRIDE] *= ~outside[:, None, :]
+            weights[:, :, : WINDOW - STRIDE] *= ~(at[:, : WINDOW - STRIDE] < begin[owner[part], None])[:, None, :]
             mixed = np.matmul(weights, self.value[ids])
-            hidden = mixed[..., :-1] / mixed[..., -1:]
-            hidden += self.own[asked]
-            np.maximum(hidden, 0, out=hidden)
-            hidden = hidden.reshape(-1, HIDDEN)
-            here = at[:, WINDOW - STRIDE :].ravel()
-            real = here < np.repeat(limit[part], STRIDE)
-            here = here[real]
-            hidden, target, source = hidden[real], flat[here + 1], flat[here]
-            whole = np.repeat(owner[part], STRIDE)[real]
-            x = np.clip(hidden @ self.ends + self.ends_bias + odds[here], -30, 30)
-            start = self.starts[target]
-            log_p = -np.log1p(np.exp(np.where(start, -x, x)))
-            log_p[source == end] = 0  # a word starts there, whatever the model says
-            log_p = log_p.astype(np.float64)
-            log_p[~start] += within[here[~start] + 1]
-            logits = hidden[start] @ self.out
+            here = at[:, WINDOW - STRIDE :]
+            asked = here < limit[part, None]
+            asked &= its[np.minimum(here, len(its) - 1)] >= 0
+            mixed, target = mixed[asked], its[here[asked]]
+            hidden = mixed[:, :-1] / mixed[:, -1:]
+            hidden += self.own[own[asked]]
+            logits = np.maximum(hidden, 0, out=hidden) @ self.out
             logits += self.out_bias
-            np.clip(logits, -60, 60, out=logits)
-            its = target[start]
-            picked = logits[np.arange(len(its)), self.of_class[its]]
+            logits -= logits.max(axis=1, keepdims=True)
+            picked = logits[np.arange(len(target)), self.vocabulary.of_class[target]]
             np.exp(logits, out=logits)
-            log_p[start] += picked - np.log(logits.sum(axis=1)) + self.log_within[its]
-            total += np.bincount(whole, log_p, len(lengths))
+            log_p = (picked - np.log(logits.sum(axis=1))).astype(np.float64) + self.vocabulary.log_within[target]
+            total += np.bincount(np.broadcast_to(owner[part, None], asked.shape)[asked], log_p, len(lengths))
         return total / np.log(10)

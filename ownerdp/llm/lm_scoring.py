@@ -1,4 +1,4 @@
-"""Language-model scores: counts over the whole corpus, a causal attention model trained on it, overlapping windows."""
+"""Language-model scores: counts over the whole corpus, a causal attention model trained on all of it, overlapping windows."""
 
 from __future__ import annotations
 
@@ -6,36 +6,35 @@ import uuid
 import zlib
 from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ownerdp.llm import attention
+from ownerdp.llm import attention, spelling
 from ownerdp.llm.common import BoundedCache, map_batches, materialise, per_worker, texts_of
 from ownerdp.llm.packing import _fast_encoder
-from ownerdp.llm.word_tree import WordTree
 
-#: Hash buckets of the neighbouring token, for what a token tends to follow and to precede.
+#: Hash buckets of the neighbouring subword or symbol, for what one tends to follow and to precede.
 BUCKETS = 8
 #: Distinct words that a task counts before it hands them on.
 FLUSH = 500_000
-#: The most frequent words, at most so many, are sent to the executors; the others are looked up by a join.
+#: Counts of the most frequent words, at most so many, are sent to the executors; those of the others are looked up by a join.
 MOST_HEAD_WORDS = 1 << 19
-#: Learning rates of the rounds over all training windows.
-RATES = (0.015, 0.005)
-#: Windows that a task trains on in a round, about.
+#: Learning rates of the two rounds: the first is over the documents of one hash in WARM_UP, the second over all others.
+RATES, WARM_UP = (0.012, 0.004), 8
+#: Windows that a task trains on in a round, at least, if there are so many; fewer make a poor average.
 WINDOWS_A_TASK = 16_000
-#: A batch with fewer windows is gone through several times, up to about so many.
-LEAST_WINDOWS = 2500
-#: Keys of the count table: a word is its bytes, the end the empty string; a blank, which no word holds, marks token cells.
-_CELL = b" "
+#: A task with fewer windows goes through them several times, up to about so many.
+LEAST_WINDOWS = 16_000
 _WORDS_CACHED = 250_000
-#: Documents that a task encodes and scores together.
-SLICE = 256
-#: What is kept of each subword: its id, its log probability as a continuation, the prior log odds of an end after it.
-_SUBWORD = np.dtype([("id", "<u2"), ("within", "<f4"), ("odds", "<f4")])
+#: Documents that a task encodes or scores, and trains on, together.
+SLICE, TRAIN_SLICE = 256, 1024
+_SYMBOL, _ID = 1, 0
+#: In the table of counts a word is its bytes, the end the empty string; a blank, which no word holds, marks cells of neighbours.
+_CELL = b" "
 
 
 def held_out(doc_id) -> bool:
@@ -46,16 +45,16 @@ def held_out(doc_id) -> bool:
 class SubwordCodec:
     """The subwords of whole words by their bytes, each encoded behind a blank; a cache of bounded size keeps them."""
 
-    def __init__(self, vocabulary: list[bytes], pattern: str, tree: WordTree | None = None, apart: bool = False):
-        self.encode, self.cache, self.tree, self.apart = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED), tree, apart
+    def __init__(self, vocabulary: list[bytes], pattern: str):
+        self.encode, self.cache = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED)
 
     def encoded(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         each = [self.encode(" " + w.decode()) for w in words]
         lengths = np.fromiter(map(len, each), np.int64, len(each))
         return np.fromiter((i for ids in each for i in ids), np.uint16, int(lengths.sum())), lengths
 
-    def prepare(self, documents: list[list[bytes]]) -> None:
-        """Encodes what the documents hold and the cache does not, all at once."""
+    def documents(self, documents: list[list[bytes]]) -> list[bytes]:
+        """The ids of each document as little-endian 16-bit integers."""
         self.cache.make_room()
         young, old = self.cache.young, self.cache.old
         missing = []
@@ -64,150 +63,159 @@ class SubwordCodec:
                 missing.append(w)
             else:
                 young[w] = known
-        if missing:
-            ids, lengths = self.encoded(missing)
-            rows = np.zeros(len(ids), _SUBWORD)
-            rows["id"] = ids
-            if self.tree is not None:
-                rows["within"], rows["odds"] = self.tree.describe(ids.astype(np.int64), lengths, self.apart)
-            packed, at = rows.tobytes(), 0
-            for w, n in zip(missing, (lengths * _SUBWORD.itemsize).tolist(), strict=True):
-                young[w] = packed[at : at + n]
-                at += n
-
-    def subwords(self, words: list[bytes]) -> np.ndarray:
-        """The subwords of a document that was prepared."""
-        return np.frombuffer(b"".join(map(self.cache.young.__getitem__, words)), _SUBWORD)
-
-
-def _codec(sent, tree=None, apart: bool = False) -> SubwordCodec:
-    """tree: a broadcast of (name, tree); the name keeps the caches of two runs apart."""
+        ids, lengths = self.encoded(missing)
+        packed, at = ids.astype("<u2").tobytes(), 0
+        for w, n in zip(missing, (lengths * 2).tolist(), strict=True):
+            young[w] = packed[at : at + n]
+            at += n
+        return [b"".join(map(young.__getitem__, words)) for words in documents]
+
+
+def _codec(sent) -> SubwordCodec:
     vocabulary, pattern = sent.value
-    name, its = tree.value if tree is not None else ("", None)
-    return per_worker("subwords", f"{len(vocabulary)}:{hash(vocabulary[-1])}:{name}:{apart}", lambda: SubwordCodec(vocabulary, pattern, its, apart))
+    return per_worker("subwords", f"{len(vocabulary)}:{hash(vocabulary[-1])}", lambda: SubwordCodec(vocabulary, pattern))
 
 
-def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _slices(batches: Iterator[pa.RecordBatch], size: int = SLICE) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for i in range(0, batch.num_rows, SLICE):
-            yield batch.slice(i, SLICE)
+        for i in range(0, batch.num_rows, size):
+            yield batch.slice(i, size)
 
 
 def words_of(text: str) -> list[bytes]:
     return text.encode().lower().split()
 
 
+def _ids(batch: pa.RecordBatch, column: int) -> list[np.ndarray]:
+    return [np.frombuffer(x, "<u2") for x in batch.column(column).to_pylist()]
+
+
+def encode_documents(rows: DataFrame, sent) -> DataFrame:
+    """(doc_id, text, held_out, ids) of rows (doc_id, text), written once for the passes that follow."""
+    kind = rows.schema["doc_id"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codec = _codec(sent)
+        for batch in _slices(batches):
+            held = [held_out(d) for d in batch.column(0).to_pylist()]
+            ids = codec.documents([words_of(t) for t in texts_of(batch)])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(held, pa.bool_()), pa.array(ids, pa.binary())], names=["doc_id", "text", "held_out", "ids"])
+
+    return materialise(map_batches(rows, run, f"doc_id {kind}, text string, held_out boolean, ids binary"), "lm-encoded")
+
+
 def _bucket(ids: np.ndarray) -> np.ndarray:
     return (ids.astype(np.uint32) * np.uint32(2654435761)) >> np.uint32(29)
 
 
-def count_table(docs: DataFrame, sent, n_ids: int) -> DataFrame:
-    """(key, n) over all training documents: every word, the end, and for each id the hash buckets of its neighbours."""
+def _around(flat: np.ndarray, n: int) -> np.ndarray:
+    """Counts of each value by the bucket of the value ahead of it and, in the second half of a row, behind it."""
+    out = np.zeros((n, 2 * BUCKETS), np.int64)
+    if len(flat) > 1:
+        bucket = _bucket(flat)
+        out[:, :BUCKETS] = np.bincount(flat[1:] * BUCKETS + bucket[:-1], minlength=n * BUCKETS).reshape(n, BUCKETS)
+        out[:, BUCKETS:] = np.bincount(flat[:-1] * BUCKETS + bucket[1:], minlength=n * BUCKETS).reshape(n, BUCKETS)
+    return out
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec, words, cells = _codec(sent), Counter(), np.zeros((2, n_ids * BUCKETS), np.int64)
-        end = np.array([n_ids - 1], np.uint16)
 
-        def rows(keys, n):
-            for i in range(0, len(keys), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + 100_000], pa.binary()), pa.array(n[i : i + 100_000], pa.int64())], names=["key", "n"])
+def count_table(encoded: DataFrame, starts: np.ndarray) -> DataFrame:
+    """(key, n, cell) over all training documents: every word, the end, and for each id and each symbol the buckets of its neighbours."""
+    n_ids = len(starts)
 
-        for batch in _slices(batches):
-            sequence = [end]
-            learnt = [words_of(t) for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True) if not held_out(d)]
-            codec.prepare(learnt)
-            for its in learnt:
-                words.update(its)
+    def rows(keys, n):
+        for i in range(0, len(keys), 100_000):
+            yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + 100_000], pa.binary()), pa.array(n[i : i + 100_000], pa.int64())], names=["key", "n"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words: Counter = Counter()
+        cells = [np.zeros((n_ids, 2 * BUCKETS), np.int64), np.zeros((2 * n_ids, 2 * BUCKETS), np.int64)]
+        end = np.array([n_ids - 1], np.int64)
+        for batch in _slices(batches, TRAIN_SLICE):
+            for text in texts_of(batch, "text"):
+                words.update(words_of(text))
                 words[b""] += 1
-                sequence += [codec.subwords(its)["id"], end]
                 if len(words) >= FLUSH:
                     yield from rows(list(words), list(words.values()))
                     words.clear()
-            ids = np.concatenate(sequence).astype(np.int64)
-            if len(ids) > 1:
-                bucket = _bucket(ids)
-                cells[0] += np.bincount(ids[1:] * BUCKETS + bucket[:-1], minlength=cells.shape[1])
-                cells[1] += np.bincount(ids[:-1] * BUCKETS + bucket[1:], minlength=cells.shape[1])
+            flat = np.concatenate([end, *(x for ids in _ids(batch, 1) for x in (ids, end))]).astype(np.int64)
+            its = attention.symbols(flat, starts)
+            cells[_ID] += _around(flat, n_ids)
+            cells[_SYMBOL] += _around(its[its >= 0], 2 * n_ids)
         yield from rows(list(words), list(words.values()))
-        for side in (0, 1):
-            at = np.flatnonzero(cells[side])
-            yield from rows([_CELL + b"%d" % (2 * c + side) for c in at.tolist()], cells[side][at])
+        for kind in (_ID, _SYMBOL):
+            found = cells[kind].ravel()
+            at = np.flatnonzero(found)
+            yield from rows([_CELL + b"%d" % (2 * c + kind) for c in at.tolist()], found[at])
 
-    counted = map_batches(docs, run, "key binary, n long").groupBy("key").agg(F.sum("n").alias("n"))
+    learnt = encoded.filter(~F.col("held_out")).select("text", "ids")
+    counted = map_batches(learnt, run, "key binary, n long").groupBy("key").agg(F.sum("n").alias("n"))
     return materialise(counted.select("key", "n", F.col("key").substr(1, 1).eqNullSafe(F.lit(_CELL)).alias("cell")), "lm-counts")
 
 
-def describe_tokens(counts: DataFrame, vocabulary: list[bytes]) -> tuple[attention.Vocabulary, np.ndarray]:
-    """The fixed parts of the model and the counts of the ids. At most n_ids * 2 * BUCKETS counts reach the driver, whatever the corpus holds."""
-    n_ids = len(vocabulary) + 1
-    cells = counts.filter("cell").select(F.col("key").cast("string").substr(2, 12).cast("long").alias("at"), "n").toArrow()
-    table = np.zeros(n_ids * BUCKETS * 2)
-    if cells.num_rows:
-        table[cells["at"].to_numpy()] = cells["n"].to_numpy()
-    both = table.reshape(n_ids, BUCKETS, 2)
-    starts = np.array([t.startswith(b" ") for t in vocabulary] + [True])
-    of_id = both[:, :, 1].sum(axis=1)
-    of_id[-1] = both[-1, :, 0].sum()
-    return attention.describe(of_id, both[:, :, 0], both[:, :, 1], starts), of_id * ~starts
+def describe_tokens(counts: DataFrame, starts: np.ndarray) -> tuple[attention.Vocabulary, np.ndarray, np.ndarray]:
+    """The fixed parts of the model, and the counts of ids and of symbols. At most 6 * n_ids * BUCKETS counts reach the driver, whatever the corpus holds."""
+    n_ids = len(starts)
+    found = counts.filter("cell").select(F.col("key").cast("string").substr(2, 12).cast("long").alias("at"), "n").toArrow()
+    at, n = found["at"].to_numpy(), found["n"].to_numpy()
+    tables = [np.zeros((n_ids, 2 * BUCKETS)), np.zeros((2 * n_ids, 2 * BUCKETS))]
+    for kind, table in enumerate(tables):
+        mine = at % 2 == kind
+        table.ravel()[at[mine] // 2] = n[mine]
+    of = [t[:, :BUCKETS].sum(axis=1) for t in tables]  # every occurrence but the first end has something ahead of it
+    return attention.describe(of[_ID], tables[_ID], starts, of[_SYMBOL], tables[_SYMBOL]), of[_ID], of[_SYMBOL]
 
 
-def training_windows(docs: DataFrame, sent, tree, n_ids: int) -> DataFrame:
-    """(ids, odds): consecutive windows of each training document, the end ahead of it and behind it, so that every subword and the end are a target once."""
-    size, step = attention.WINDOW + 1, attention.WINDOW
+def spelling_tables(words: DataFrame, sent, of_id: np.ndarray, of_symbol: np.ndarray, starts: np.ndarray) -> tuple:
+    """What ``Spelling`` is made of, counted over all distinct words; at most ``table_size`` counts reach the driver."""
+    n_ids = len(starts)
+    group = spelling.groups(np.where(starts, 0, of_id))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = _codec(sent, tree, apart=True)
-        for batch in _slices(batches):
-            learnt = [words_of(t) for d, t in zip(batch.column(0).to_pylist(), texts_of(batch), strict=True) if not held_out(d)]
-            codec.prepare(learnt)
-            out, priors = [], []
-            for words in learnt:
-                its = codec.subwords(words)
-                windows = -(-(len(its) + 1) // step)
-                flat, odds = np.full(windows * step + 1, -1, np.int32), np.zeros(windows * step + 1, np.float32)
-                flat[0] = flat[len(its) + 1] = n_ids - 1
-                flat[1 : len(its) + 1], odds[1 : len(its) + 1] = its["id"], its["odds"]
-                at = np.arange(windows)[:, None] * step + np.arange(size)
-                out += [x.tobytes() for x in flat[at]]
-                priors += [x.tobytes() for x in odds[at]]
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary()), pa.array(priors, pa.binary())], names=["ids", "odds"])
-
-    return materialise(map_batches(docs, run, "ids binary, odds binary"), "lm-windows")
-
-
-def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = len(RATES)) -> dict[str, np.ndarray]:
-    """Every round, each task trains on all its windows from the same weights; the results are averaged by windows.
+        codec, total = _codec(sent), np.zeros(spelling.table_size(n_ids), np.int32)
+        for batch in _slices(batches, 50_000):
+            ids, lengths = codec.encoded(batch.column(0).to_pylist())
+            if len(lengths):
+                total += np.bincount(spelling.cells(ids.astype(np.int64), lengths, group), minlength=len(total)).astype(np.int32)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at].astype(np.int64))], names=["at", "n"])
+
+    found = map_batches(words.filter(F.length("key") > 0).select("key"), run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+    return found["at"].to_numpy(), found["n"].to_numpy(), of_symbol[n_ids:], group, ~starts
+
+
+def train(encoded: DataFrame, vocabulary: attention.Vocabulary, windows: int) -> dict[str, np.ndarray]:
+    """Every training document is trained on: in each round, each task goes through all windows of its documents from the same weights, and
+    the results are averaged by windows.
 
     The averages are summed in two levels, so the driver gets one set of weights from each of about the root of the tasks.
     """
-    spark = windows.sparkSession
+    spark = encoded.sparkSession
     w = attention.initial(vocabulary)
     names, shapes = list(w), [v.shape for v in w.values()]
     sizes = np.cumsum([0, *(v.size for v in w.values())])
-    tasks = max(1, -(-windows.count() // WINDOWS_A_TASK))  # grows with the corpus; fewer windows than that make a poor average
-    windows = windows.coalesce(tasks)  # no shuffle: the windows are several times the corpus
-    levels = max(1, int(tasks**0.5))
-    width = attention.WINDOW + 1
+    learnt = encoded.filter(~F.col("held_out")).withColumn("warm", F.pmod(F.xxhash64("doc_id"), F.lit(WARM_UP)) == 0)
 
     def unpack(flat: np.ndarray) -> dict[str, np.ndarray]:
         return {k: flat[a:b].reshape(s).astype(np.float32) for k, s, a, b in zip(names, shapes, sizes[:-1], sizes[1:], strict=True)}
 
-    for r in range(rounds):
+    for r, rate in enumerate(RATES):
         sent = spark.sparkContext.broadcast((w, vocabulary))
+        mine = windows // WARM_UP if r == 0 else windows - windows // WARM_UP
+        tasks = max(1, -(-mine // WINDOWS_A_TASK))  # grows with the corpus
+        levels = max(1, int(tasks**0.5))
 
-        def learn(batches: Iterator[pa.RecordBatch], sent=sent, r=r) -> Iterator[pa.RecordBatch]:
+        def learn(batches: Iterator[pa.RecordBatch], sent=sent, r=r, rate=rate, levels=levels) -> Iterator[pa.RecordBatch]:
             from pyspark import TaskContext
 
             start, words = sent.value
-            seen, now = 0, start
-            for batch in batches:
-                if batch.num_rows:
-                    rows, odds = (np.frombuffer(b"".join(batch.column(c).to_pylist()), kind).reshape(-1, width) for c, kind in ((0, np.int32), (1, np.float32)))
-                    for again in range(max(1, -(-LEAST_WINDOWS // len(rows)))):
-                        now = attention.train(now, words, rows, odds, RATES[r], seed=100 * r + again)
-                    seen += len(rows)
+            trainer, seen = attention.Trainer(start, words, rate), 0
+            for batch in _slices(batches, TRAIN_SLICE):
+                inputs, goals = attention.training_windows(_ids(batch, 0), words)
+                for again in range(max(1, LEAST_WINDOWS // len(inputs)) if not seen and batch.num_rows < TRAIN_SLICE else 1):
+                    trainer.run(inputs, goals, seed=1000 * r + again)
+                seen += len(inputs)
             part = TaskContext.get().partitionId()
-            flat = np.concatenate([now[k].ravel() for k in names]).astype(np.float64) * seen
+            flat = np.concatenate([trainer.w[k].ravel() for k in names]).astype(np.float64) * seen
             yield pa.RecordBatch.from_arrays([pa.array([part % levels]), pa.array([seen]), pa.array([flat.tobytes()], pa.binary())], names=["level", "seen", "sums"])
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -218,16 +226,15 @@ def train(windows: DataFrame, vocabulary: attention.Vocabulary, rounds: int = le
             yield pa.RecordBatch.from_arrays([pa.array([0]), pa.array([seen]), pa.array([total.tobytes()], pa.binary())], names=["level", "seen", "sums"])
 
         schema = "level long, seen long, sums binary"
-        sums = map_batches(map_batches(windows, learn, schema).repartition(levels, "level"), add, schema).collect()
-        seen = sum(x["seen"] for x in sums)
-        if seen:
+        documents = learnt.filter("warm" if r == 0 else "not warm").select("ids").coalesce(tasks)  # no shuffle
+        sums = map_batches(map_batches(documents, learn, schema).repartition(levels, "level"), add, schema).collect()
+        if seen := sum(x["seen"] for x in sums):
             w = unpack(sum(np.frombuffer(x["sums"], np.float64) for x in sums) / seen)
     return w
 
 
-def _head(counts: DataFrame) -> tuple[DataFrame, float]:
+def _head(words: DataFrame) -> tuple[DataFrame, float]:
     """The most frequent words, as many as MOST_HEAD_WORDS at most, by the least count that admits no more."""
-    words = counts.filter("not cell")
     of_size = {r["size"]: r["words"] for r in words.groupBy(F.floor(F.log2("n") * 8).alias("size")).agg(F.count(F.lit(1)).alias("words")).collect()}
     least, held = max(of_size, default=0) + 1, 0
     for size in sorted(of_size, reverse=True):
@@ -240,67 +247,77 @@ def _head(counts: DataFrame) -> tuple[DataFrame, float]:
 def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """One row for each row of ``docs``: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, n_subwords.
 
+    ``score`` adds up, for each token, log10 of the probability that the attention model gives to its symbol in its window, and of how the
+    word goes on by the counts of all training words. Which words' counts are broadcast and which are joined changes no result.
     Null and empty texts hold the end alone. Held-out documents are scored but neither counted nor trained on. A null id is
-    not held out. The vocabulary may have at most 65,535 ids; the id after its last is the end. Without training
-    documents all counts are zero and the model keeps its first weights.
+    not held out. Rows that repeat are counted as often as they are there. The vocabulary may have at most 65,535 ids; the id after its last is
+    the end. Without training documents all counts are zero and the model keeps its first weights. An empty table gives an empty result.
     """
     spark = docs.sparkSession
     n_ids = len(vocabulary) + 1
+    starts = np.array([t.startswith(b" ") for t in vocabulary] + [True])
     sent = spark.sparkContext.broadcast((vocabulary, pattern))
-    rows = docs.selectExpr(f"`{doc_id}` AS doc_id", f"`{text}` AS text")
+    rows = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
-    counts = count_table(rows, sent, n_ids)
+    encoded = encode_documents(rows, sent)
+    counts = count_table(encoded, starts)
     words = counts.filter("not cell")
     total, distinct = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    described, continuations = describe_tokens(counts, vocabulary)
-    head_words, least = _head(counts)
+    described, of_id, of_symbol = describe_tokens(counts, starts)
+    tables = spelling_tables(words, sent, of_id, of_symbol, starts)
+    head_words, least = _head(words)
     head = head_words.select("key", "n").toArrow()
-    named = [(k, n) for k, n in zip(head["key"].to_pylist(), head["n"].to_pylist(), strict=True) if k]
-    ids, lengths = SubwordCodec(vocabulary, pattern).encoded([k for k, _ in named])
-    tree = spark.sparkContext.broadcast((uuid.uuid4().hex, WordTree(ids.astype(np.int64), lengths, np.array([n for _, n in named], float), continuations)))
-    weights = train(training_windows(rows, sent, tree, n_ids), described)
-    model = spark.sparkContext.broadcast((weights, described, head, total, distinct))
+    weights = train(encoded, described, int(of_id.sum()) // attention.WINDOW)
+    model = spark.sparkContext.broadcast((uuid.uuid4().hex, weights, described, tables, head))
+
+    def prepared():
+        _, w, description, its, table = model.value
+        return attention.Scorer(w, description), spelling.Spelling(*its), dict(zip(table["key"].to_pylist(), table["n"].to_pylist(), strict=True))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w, description, table, n_all, v_all = model.value
-        codec, scorer = _codec(sent, tree), attention.Scorer(w, description)
-        terms = {k: (np.log10((c + 0.5) / (n_all + 0.5 * (v_all + 1)))) for k, c in zip(table["key"].to_pylist(), table["n"].to_pylist(), strict=True)}
-        end_term = terms.get(b"")
+        scorer, speller, held = per_worker("lm-model", model.value[0], prepared)
+        known_count, entry = held.get, pa.list_(pa.struct([("key", pa.binary()), ("tf", pa.int64()), ("share", pa.float64()), ("tokens", pa.float64())]))
         for batch in _slices(batches):
-            ids = batch.column(0).to_pylist()
-            tokens, known, base, tails, texts = [], [], [], [], []
-            documents = [words_of(t) for t in texts_of(batch)]
-            codec.prepare(documents)
-            for its in documents:
-                subwords = codec.subwords(its)
-                texts.append((subwords["id"], subwords["within"], subwords["odds"]))
-                tokens.append(len(its) + 1)
-                found = list(map(terms.get, its))
-                found.append(end_term)
-                if None in found:
-                    tail = Counter(k for k, x in zip([*its, b""], found, strict=True) if x is None)
-                    found = [x for x in found if x is not None]
+            ids = _ids(batch, 3)
+            documents = [[*words_of(t), b""] for t in texts_of(batch)]
+            sizes = np.fromiter(map(len, documents), np.int64, len(documents))
+            of = np.repeat(np.arange(len(documents)), sizes)
+            n = np.fromiter((c for its in documents for c in map(known_count, its, repeat(-1))), np.int64, int(sizes.sum()))
+            flat = np.concatenate([x for i in ids for x in (i, [n_ids - 1])]).astype(np.int64)
+            begin = np.flatnonzero(starts[flat])
+            share, tokens = speller.parts(flat, np.diff(np.append(begin, len(flat))))
+            known = n >= 0
+            base = np.bincount(of[known], np.log10((n[known] + 0.5) / (total + 0.5 * (distinct + 1))), len(documents))
+            form = np.bincount(of[known], spelling.log10_form(n[known], share[known], tokens[known]), len(documents))
+            tails: list[dict] = [{} for _ in documents]
+            listed = np.flatnonzero(~known)
+            first = np.cumsum(sizes) - sizes
+            for i, d in zip(listed.tolist(), of[listed].tolist(), strict=True):
+                word = documents[d][i - first[d]]
+                if word in tails[d]:
+                    tails[d][word][0] += 1
                 else:
-                    tail = {}
-                known.append(len(found))
-                base.append(float(np.sum(found)) if found else 0.0)
-                tails.append(list(tail.items()))
-            entry = pa.map_(pa.binary(), pa.int64())
+                    tails[d][word] = [1, share[i], tokens[i]]
             yield pa.RecordBatch.from_arrays(
                 [
-                    batch.column(0), pa.array([held_out(d) for d in ids], pa.bool_()), pa.array(tokens, pa.int64()), pa.array(known, pa.int64()), pa.array(base, pa.float64()),
-                    pa.array(scorer.log10(texts, n_ids - 1), pa.float64()), pa.array([len(x[0]) for x in texts], pa.int64()), pa.array(tails, entry),
+                    batch.column(0), batch.column(2), pa.array(sizes, pa.int64()), pa.array(np.bincount(of[known], minlength=len(documents)), pa.int64()), pa.array(base, pa.float64()),
+                    pa.array(scorer.log10(ids) + form, pa.float64()),
+                    pa.array([len(i) for i in ids], pa.int64()), pa.array([[(k, *v) for k, v in t.items()] for t in tails], entry),
                 ],
                 names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "n_subwords", "tail"],
             )
 
-    schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, base_score double, score double, n_subwords long, tail map<binary,bigint>"
-    scored = materialise(map_batches(rows, run, schema).withColumn("row", F.monotonically_increasing_id()), "lm-scored")
-    rare = scored.select("row", F.explode("tail").alias("key", "tf"))
+    schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, base_score double, score double, n_subwords long, tail array<struct<key:binary,tf:long,share:double,tokens:double>>"
+    scored = materialise(map_batches(encoded, run, schema).withColumn("row", F.monotonically_increasing_id()), "lm-scored")
+    rare = scored.select("row", F.inline("tail"))
     counted = words.filter(F.floor(F.log2("n") * 8) < least).select("key", "n")
-    term = F.log10((F.coalesce("n", F.lit(0)) + 0.5) / F.lit(total + 0.5 * (distinct + 1)))
-    looked_up = rare.join(counted, "key", "left").groupBy("row").agg(F.sum(F.when(F.col("n") > 0, F.col("tf")).otherwise(0)).alias("more_known"), F.sum(F.col("tf") * term).alias("more_base"))
+    n = F.coalesce("n", F.lit(0))
+    base = F.log10((n + 0.5) / F.lit(total + 0.5 * (distinct + 1)))
+    form = F.when(F.col("tokens") > 0, F.log10((F.greatest(n - spelling.DISCOUNT, F.lit(0.0)) + F.col("share")) / F.col("tokens"))).otherwise(0.0)
+    of_row = (F.sum(F.when(n > 0, F.col("tf")).otherwise(0)).alias("more_known"), F.sum(F.col("tf") * base).alias("more_base"), F.sum(F.col("tf") * form).alias("more_score"))
+    looked_up = rare.join(counted, "key", "left").groupBy("row").agg(*of_row)
+    with_tail = lambda name, more: (F.col(name) + F.coalesce(more, F.lit(0))).alias(name)
     return scored.drop("tail").join(looked_up, "row", "left").select(
-        "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"),
-        (F.col("base_score") + F.coalesce("more_base", F.lit(0.0))).alias("base_score"), "score", "n_subwords",
+        "doc_id", "held_out", "n_tokens", with_tail("n_known", "more_known"), F.lit(total).cast("long").alias("train_tokens"), with_tail("base_score", "more_base"), with_tail("score", "more_score"),
+        "n_subwords",
     )

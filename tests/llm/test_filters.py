@@ -1,4 +1,4 @@
-"""Decontamination, quality, personal data, URLs, language-model scores and the pipeline."""
+"""Decontamination, quality, personal data, URLs and the pipeline."""
 
 import hashlib
 import itertools
@@ -16,9 +16,8 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 from tests.conftest import MEDIUM, SMALL
 
-from ownerdp.llm import attention, decontaminate, lm_scoring, pii, quality, url_filter
-from ownerdp.llm.queries import ORACLES, QUERIES, byte_vocabulary, split_pattern
-from ownerdp.llm.word_tree import HashIndex, WordTree, mix
+from ownerdp.llm import decontaminate, pii, quality, url_filter
+from ownerdp.llm.queries import ORACLES, QUERIES
 
 EXTRA = {"words": 1, "seed": "s", "item_id": 5, "i": 0, "label_id": 1, "spans": 0, "host": 1, "y": 0, "log_words": "c"}
 
@@ -209,121 +208,6 @@ def test_native_plans_run_no_python(spark):
         assert not re.search("Python|Pandas|Arrow", plan)
 
 
-# Language-model scores ---------------------------------------------------------------------------------------------------------
-
-
-def test_gradients():
-    rng, n = np.random.default_rng(0), 300
-    starts = rng.random(n) < 0.5
-    starts[-1] = True
-    v = attention.describe(rng.integers(0, 50, n).astype(float), rng.integers(0, 9, (n, 8)), rng.integers(0, 9, (n, 8)), starts)
-    w = {k: x.astype(float) for k, x in attention.initial(v).items()}
-    w["distance"] += rng.normal(size=attention.WINDOW)
-    ids = rng.integers(0, n, (3, attention.WINDOW + 1))
-    args = (v.embedding[ids[:, :-1]].astype(float), rng.normal(size=(3, attention.WINDOW)), np.where(starts[ids[:, 1:]], v.of_class[ids[:, 1:]], -1), rng.random((3, attention.WINDOW)) < 0.9, rng.random((3, attention.WINDOW)) < 0.9)
-    _, g = attention.loss_and_gradient(w, *args)
-    for k in w:
-        at = tuple(rng.integers(0, s) for s in w[k].shape)
-        held, ends = w[k][at], []
-        for step in (1e-5, -1e-5):
-            w[k][at] = held + step
-            ends.append(attention.loss_and_gradient(w, *args)[0])
-        w[k][at] = held
-        assert g[k][at] == pytest.approx((ends[0] - ends[1]) / 2e-5, rel=2e-3, abs=1e-7)
-
-
-def plain_score(w, v, ids, within, odds, end):
-    """One token after the other, with its window's context alone."""
-    total, seq = 0.0, [end, *ids]
-    for t in range(len(seq)):
-        first = max(0, t // attention.STRIDE * attention.STRIDE - (attention.WINDOW - attention.STRIDE))
-        x = v.embedding[seq[first : t + 1]].astype(float)
-        s = (x[-1] @ w["query"]) @ (x @ w["key"]).T / math.sqrt(attention.DIM) + w["distance"][np.arange(len(x))[::-1]]
-        p = np.exp(s - s.max())
-        h = np.maximum(x[-1] @ w["own"] + (p / p.sum()) @ (x @ w["value"]) @ w["mixed"] + w["hidden_bias"], 0)
-        z = h @ w["out"] + w["out_bias"]
-        target = ids[t] if t < len(ids) else end
-        b = 1 / (1 + math.exp(-(z[-1] + (odds[t - 1] if t else 0))))
-        if v.starts[target]:
-            c = np.exp(z[:-1] - z[:-1].max())
-            total += (math.log(b) if t else 0) + math.log(c[v.of_class[target]] / c.sum()) + v.log_within[target]
-        else:
-            total += math.log(1 - b) + within[t]
-    return total / math.log(10)
-
-
-def test_training_windows_hold_each_subword_once(spark):
-    rng = random.Random(4)
-    rows = [(i, " ".join(f"word{rng.randrange(300)}" for _ in range(n))) for i, n in enumerate([0, 1, 7, 40, 700, 2000, 3, 90, 24, 23])] + [(None, None)]
-    sent, n_ids = spark.sparkContext.broadcast((byte_vocabulary(), split_pattern())), len(byte_vocabulary()) + 1
-    codec, want = lm_scoring.SubwordCodec(*sent.value), Counter()
-    for i, t in rows:
-        if not lm_scoring.held_out(i):
-            want.update([*codec.encoded(lm_scoring.words_of(t or ""))[0].tolist(), n_ids - 1])
-    windows = lm_scoring.training_windows(docs(spark, rows), sent, None, n_ids).collect()
-    got = Counter(x for w in windows for x in np.frombuffer(w["ids"], np.int32)[1:].tolist() if x >= 0)
-    assert got == want and sum(want.values()) > 1000
-
-
-def test_windows_score_each_token_once():
-    rng, n = np.random.default_rng(2), 200
-    starts = rng.random(n) < 0.5
-    starts[-1] = True
-    v = attention.describe(rng.integers(1, 50, n).astype(float), rng.integers(0, 9, (n, 8)), rng.integers(0, 9, (n, 8)), starts)
-    w = attention.initial(v)
-    w["distance"] = rng.normal(size=attention.WINDOW).astype(np.float32)
-    texts = []
-    for size in (0, 1, 5, 23, 24, 25, 47, 48, 49, 130):
-        ids = rng.integers(0, n - 1, size).astype(np.uint16)
-        if size:
-            ids[0] = np.flatnonzero(starts[:-1])[0]
-        texts.append((ids, -rng.random(size).astype(np.float32), rng.normal(size=size).astype(np.float32)))
-    got = attention.Scorer(w, v).log10(texts, n - 1, chunk=3)
-    assert got.tolist() == pytest.approx([plain_score(w, v, i.tolist(), p, o, n - 1) for i, p, o in texts], rel=1e-4)
-
-
-def test_word_tree_is_a_distribution():
-    rng = np.random.default_rng(0)
-    words = [rng.integers(0, 6, rng.integers(1, 5)) for _ in range(40)]
-    ids, lengths = np.concatenate(words), np.array([len(x) for x in words])
-    tree = WordTree(ids, lengths, rng.integers(1, 30, 40).astype(float), np.r_[rng.integers(1, 9, 6), 0, 0].astype(float))
-    for prefix in ([1], [2, 3], [5, 5, 5], [0, 1, 2, 3]):
-        each = [np.exp(tree.describe(np.array([*prefix, k]), np.array([len(prefix) + 1]))[0][-1]) for k in range(8)]
-        assert sum(each) == pytest.approx(1, rel=1e-3)
-    keys = np.unique(mix(np.arange(1000, dtype=np.uint64), np.ones(1000, np.uint64)))
-    index = HashIndex(keys)
-    assert index.find(keys).tolist() == list(range(len(keys))) and (index.find(keys ^ np.uint64(2)) == len(keys)).mean() > 0.99
-
-
-def plain_base_scores(rows):
-    cut = lambda t: re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), (t or "").encode()))
-    counts: Counter = Counter()
-    for d, t in rows:
-        if d is None or zlib.crc32(str(d).encode()) % 5 != 1:
-            counts.update([*cut(t), b""])
-    n, v = sum(counts.values()), len(counts)
-    return {d: (len(cut(t)) + 1, sum(counts[x] > 0 for x in [*cut(t), b""]), n, sum(math.log10((counts[x] + 0.5) / (n + 0.5 * (v + 1))) for x in [*cut(t), b""])) for d, t in rows}
-
-
-@pytest.mark.parametrize("head", [1 << 19, 20])
-def test_base_scores(spark, head, monkeypatch):
-    monkeypatch.setattr(lm_scoring, "MOST_HEAD_WORDS", head)
-    rng = random.Random(1)
-    rows = [(i, " ".join(rng.choice(["The", "the", "of", "wörd", "naïve", "x1", f"rare{rng.randint(0, 60)}"]) for _ in range(rng.randint(0, 40)))) for i in range(120)] + [(500, None), (None, "the null"), (501, "\u00a0 \x1c é"), (502, "w " * 3000)]
-    out = lm_scoring.score_documents(docs(spark, rows).repartition(3), byte_vocabulary(), split_pattern()).collect()
-    want = plain_base_scores(rows)
-    assert len(out) == len(rows)
-    for r in out:
-        assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == want[r["doc_id"]][:3] and r["base_score"] == pytest.approx(want[r["doc_id"]][3])
-        assert r["held_out"] == (r["doc_id"] is not None and zlib.crc32(str(r["doc_id"]).encode()) % 5 == 1) and -1e7 < r["score"] < 0
-    assert lm_scoring.score_documents(docs(spark, []), byte_vocabulary(), split_pattern()).count() == 0
-
-
-def test_model_beats_the_base_on_held_out_documents(spark):
-    rows = QUERIES["op1_lm_score"](spark, "/root/testdata/sf0.1").filter("held_out").agg(F.sum("score"), F.sum("base_score")).first()
-    assert rows[0] > rows[1]
-
-
 # The pipeline --------------------------------------------------------------------------------------------------------------------
 
 
