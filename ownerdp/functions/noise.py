@@ -110,6 +110,23 @@ class TestNoise(Noise):
         return _from_hex(hashlib.md5(f"{self.seed}|{message}".encode()).hexdigest(), scale)
 
 
+class RunNoise(Noise):
+    """Fast and reproducible, for measuring over millions of draws. Protects nothing; no other engine computes it."""
+
+    def __init__(self, seed: int = 0):
+        self.seed = seed
+
+    def uniform(self, tag: str | Column, keys: Sequence[Column]) -> Column:
+        lead = tag if isinstance(tag, Column) else F.lit(tag)
+        return (F.shiftrightunsigned(F.xxhash64(F.lit(self.seed), lead, *keys), 11).cast("double") + F.lit(0.5)) / F.lit(2.0**53)
+
+    def order(self, tag: str, keys: Sequence[Column]) -> Column:
+        return F.hex(F.xxhash64(F.lit(self.seed), F.lit(tag), *keys))
+
+    def draw(self, scale: float, message: str) -> float:
+        return _from_hex(hashlib.blake2b(f"{self.seed}|{message}".encode(), digest_size=8).hexdigest(), scale)
+
+
 class EntropyNoise(Noise):
     """The operating system's entropy, one nonce for each released row; the result is written before anyone sees it."""
 

@@ -68,9 +68,15 @@ def row_unit_release(df: DataFrame, domain: DataFrame, keys: Sequence[str], kind
 
     The sensitivity is what the analyst says and nothing enforces it: one owner's rows may move a result by far more.
     """
-    x = F.col(col).cast("double") if col else None
     if kind == "median":
         return _row_unit_median(df, domain, keys, col, sensitivity, eps, noise, lower, name)
+    found = row_unit_totals(df, keys, kind, col, sensitivity, lower)
+    listed = domain.join(found, list(keys), "left").fillna(0.0, subset=[c for c in found.columns if c not in keys])
+    return listed.select(*keys, row_unit_value(kind, [F.col(c) for c in keys], sensitivity, eps, noise, lower).alias(name))
+
+
+def row_unit_totals(df: DataFrame, keys: Sequence[str], kind: str, col: str | None, sensitivity: float, lower: float = 0.0) -> DataFrame:
+    x = F.col(col).cast("double") if col else None
     if kind == "count":
         sums = [F.count(F.lit(1)).cast("double").alias("s")]
     elif kind == "average":
@@ -78,15 +84,15 @@ def row_unit_release(df: DataFrame, domain: DataFrame, keys: Sequence[str], kind
         sums = [F.sum(inside - lower - sensitivity / 2).alias("s"), F.count(x).cast("double").alias("c")]
     else:
         raise ValueError(f"{kind} is not supported")
-    found = df.groupBy(*keys).agg(*sums)
-    listed = domain.join(found, list(keys), "left").fillna(0.0, subset=[c for c in found.columns if c not in keys])
-    k = [F.col(c) for c in keys]
+    return df.groupBy(*keys).agg(*sums)
+
+
+def row_unit_value(kind: str, keys: Sequence[Column], sensitivity: float, eps: float, noise: Noise, lower: float = 0.0) -> Column:
+    """The noisy value of a row of totals."""
     if kind == "count":
-        value = F.col("s") + noise.laplace(sensitivity / eps, "row_count", k)
-    else:
-        count = F.greatest(F.col("c") + noise.laplace(2 / eps, "row_avg_count", k), F.lit(1.0))
-        value = lower + sensitivity / 2 + (F.col("s") + noise.laplace(sensitivity / eps, "row_avg_sum", k)) / count
-    return listed.select(*keys, value.alias(name))
+        return F.col("s") + noise.laplace(sensitivity / eps, "row_count", keys)
+    count = F.greatest(F.col("c") + noise.laplace(2 / eps, "row_avg_count", keys), F.lit(1.0))
+    return lower + sensitivity / 2 + (F.col("s") + noise.laplace(sensitivity / eps, "row_avg_sum", keys)) / count
 
 
 def _row_unit_median(df, domain, keys, col, sensitivity, eps, noise, lower, name) -> DataFrame:
@@ -95,28 +101,38 @@ def _row_unit_median(df, domain, keys, col, sensitivity, eps, noise, lower, name
     The draw needs gaps between sorted values. They are counted in cells of the range, so a key ships at most as many rows as
     there are cells.
     """
-    cells = 1 << 14
-    cell = F.least(F.floor((F.greatest(F.lit(lower), F.least(F.lit(lower + sensitivity), F.col(col).cast("double"))) - lower) / sensitivity * cells), F.lit(cells - 1)).cast("long")
+    cell = median_cells(F.col(col), sensitivity, lower)
     counts = df.filter(F.col(col).isNotNull()).groupBy(*keys, cell.alias("cell")).agg(F.count(F.lit(1)).alias("n"))
     keyed = counts.withColumn("__key", encode_keys([F.col(k) for k in keys]))
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*keys).schema)
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        n = np.zeros(cells)
-        n[rows["cell"]] = rows["n"]
-        below = np.cumsum(n) - n / 2
-        utility = -np.abs(below - n.sum() / 2)
-        # the largest of utility plus Gumbel noise is a draw from the exponential family; the noise comes from one keyed uniform
-        weights = np.exp((utility - utility.max()) * eps / 2)
-        u = _uniform(noise, f"row_median|{rows['__key'].iloc[0]}")
-        at = int(np.searchsorted(np.cumsum(weights) / weights.sum(), u)) if not noise.exact else int(utility.argmax())
-        value = lower + (min(at, cells - 1) + 0.5) / cells * sensitivity
+        u = None if noise.exact else _uniform(noise, f"row_median|{rows['__key'].iloc[0]}")
+        value = drawn_median(rows["cell"].to_numpy(), rows["n"].to_numpy(), u, sensitivity, eps, lower)
         return pd.DataFrame({k: [key[i]] for i, k in enumerate(keys)} | {name: [value]})
 
     found = keyed.groupBy(*keys).applyInPandas(run, f"{kinds}, `{name}` double")
     return domain.join(found, list(keys), "left").fillna({name: lower + sensitivity / 2})
 
 
+MEDIAN_CELLS = 1 << 14
+
+
+def median_cells(x: Column, sensitivity: float, lower: float = 0.0) -> Column:
+    inside = F.greatest(F.lit(lower), F.least(F.lit(lower + sensitivity), x.cast("double")))
+    return F.least(F.floor((inside - lower) / sensitivity * MEDIAN_CELLS), F.lit(MEDIAN_CELLS - 1)).cast("long")
+
+
+def drawn_median(cells: np.ndarray, counts: np.ndarray, u: float | np.ndarray | None, sensitivity: float, eps: float, lower: float = 0.0):
+    """The draw for each uniform number, or the likeliest value where there is none."""
+    n = np.zeros(MEDIAN_CELLS)
+    n[cells] = counts
+    utility = -np.abs(np.cumsum(n) - n / 2 - n.sum() / 2)
+    weights = np.exp((utility - utility.max()) * eps / 2)
+    at = int(utility.argmax()) if u is None else np.searchsorted(np.cumsum(weights) / weights.sum(), u)
+    return lower + (np.minimum(at, MEDIAN_CELLS - 1) + 0.5) / MEDIAN_CELLS * sensitivity
+
+
 def _uniform(noise: Noise, message: str) -> float:
     x = noise.draw(1.0, message)  # a Laplace draw of scale one, turned back into its place in (0, 1)
     return 0.5 * np.exp(x) if x < 0 else 1 - 0.5 * np.exp(-x)
@@ -134,9 +150,14 @@ def smooth_sensitivity(frequencies: Sequence[float], eps: float, delta: float) -
     return float((np.exp(-b * k) * np.prod([f + k for f in frequencies], axis=0)).max())
 
 
+def join_scale(sensitivity: float, eps: float, frequencies: Sequence[float] = (), delta: float = 1e-9) -> float:
+    """The scale of the noise: twice the smooth sensitivity, which makes up for noise that depends on the data, or the analyst's figure."""
+    return (2 * smooth_sensitivity(frequencies, eps, delta) if frequencies else sensitivity) / eps
+
+
 def row_unit_join_count(joined: DataFrame, domain: DataFrame, keys: Sequence[str], sensitivity: float, eps: float, noise: Noise, frequencies: Sequence[float] = (), delta: float = 1e-9, name: str = "value") -> DataFrame:
     """Counts over joins, the only aggregate of this baseline. Without frequencies the analyst's sensitivity is used as given."""
-    by = 2 * smooth_sensitivity(frequencies, eps, delta) if frequencies else sensitivity
+    by = join_scale(sensitivity, eps, frequencies, delta)
     found = joined.groupBy(*keys).agg(F.count(F.lit(1)).cast("double").alias("s"))
     listed = domain.join(found, list(keys), "left").fillna(0.0, subset=["s"])
-    return listed.select(*keys, (F.col("s") + noise.laplace(by / eps, "row_join", [F.col(k) for k in keys])).alias(name))
+    return listed.select(*keys, (F.col("s") + noise.laplace(by, "row_join", [F.col(k) for k in keys])).alias(name))

@@ -3,20 +3,19 @@
 from __future__ import annotations
 
 import uuid
-import warnings
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ownerdp import measures
 from ownerdp.functions import aggregates as A
 from ownerdp.functions.clamp import safe_divide
-from ownerdp.functions.noise import NoNoise, TestNoise
+from ownerdp.functions.noise import NoNoise, RunNoise, TestNoise
 from ownerdp.operators import baselines, bounds
 from ownerdp.operators.sampling import limit_partitions
 from ownerdp.operators.threshold import owner_threshold, single_owner_suppression, suppress_rare_keys
-from ownerdp.params import PrivacyParams, default_delta, error_vs_aggs, laplace_median_error
+from ownerdp.params import PrivacyParams, error_vs_aggs, laplace_median_error
 from ownerdp.plans.rewrite import private_aggregate
 from ownerdp.sources.catalog import OwnerCatalog, lineitem_by_customer
 from ownerdp.sources.tables import read_table, shared_dir
@@ -78,11 +77,6 @@ _add("rare_month", Workload(T.ORDERS[0], T.ORDERS[1], ["month"], [Release("owner
 _add("rare_month_one_partition", Workload(T.ORDERS[0], T.ORDERS[1], ["month"], [Release("owners", "owners")], PrivacyParams(4.0, 1e-5, 1)))
 _add("flagship", Workload(T.ORDERS[0], T.ORDERS[1], ["priority"], [Release("count", "n", None, 0.0, 5.0), Release("sum", "total", "price", 0.0, 1e6)], PrivacyParams(6.0, 1e-5, 5)))
 
-# as for 1,500 owners; far too large to protect anyone, but so few owners there are
-with warnings.catch_warnings():
-    warnings.simplefilter("ignore")
-    _DELTA = default_delta(1500, 0.1)
-
 # the experiments: count, average, with a wrong limit; with and without noise
 _Q1 = dict(source=T.LINES_BY_SUPPLIER[0], sql=T.LINES_BY_SUPPLIER[1], keys=["l_returnflag", "l_linestatus"])
 _ONE = PrivacyParams(0.1, 0.0, 6, suppress=False)
@@ -92,10 +86,10 @@ for _suffix, _noisy in (("", True), ("_exact", False)):
     _add(f"q1_wrong{_suffix}", Workload(releases=[Release("count", "n", None, 0.0, 1.0)], params=_ONE, noisy=_noisy, **_Q1))
     for _name, _window in (("q4", None), ("q4_window", ("1996-07-01", "1996-10-01"))):
         _s = T.late_orders(_window)
-        _add(f"{_name}{_suffix}", Workload(_s[0], _s[1], ["priority"], [Release("count", "n", None, 0.0, 5.0)], PrivacyParams(0.1, _DELTA, 5, suppress=_noisy), noisy=_noisy))
-    _add(f"q13{_suffix}", Workload(T.ORDER_COUNTS[0], T.ORDER_COUNTS[1], ["n_orders"], [Release("owners", "owners")], PrivacyParams(0.1, _DELTA, 1, suppress=_noisy), noisy=_noisy))
-    _add(f"q16{_suffix}", Workload(T.SUPPLIED_PARTS[0], T.SUPPLIED_PARTS[1], ["p_brand", "p_type", "p_size"], [Release("owners", "owners")], PrivacyParams(0.1, 0.12, 5, suppress=_noisy), noisy=_noisy))
-    _add(f"q21{_suffix}", Workload(T.WAITING[0], T.WAITING[1], ["supplier"], [Release("owners", "owners")], PrivacyParams(0.1, 0.12, 1, suppress=_noisy), noisy=_noisy))
+        _add(f"{_name}{_suffix}", Workload(_s[0], _s[1], ["priority"], [Release("count", "n", None, 0.0, 5.0)], PrivacyParams(0.1, 0.0, 5, suppress=_noisy), noisy=_noisy, owners_of="customer"))
+    _add(f"q13{_suffix}", Workload(T.ORDER_COUNTS[0], T.ORDER_COUNTS[1], ["n_orders"], [Release("owners", "owners")], PrivacyParams(0.1, 0.0, 1, suppress=_noisy), noisy=_noisy, owners_of="customer"))
+    _add(f"q16{_suffix}", Workload(T.SUPPLIED_PARTS[0], T.SUPPLIED_PARTS[1], ["p_brand", "p_type", "p_size"], [Release("owners", "owners")], PrivacyParams(0.1, 0.0, 5, suppress=_noisy), noisy=_noisy, owners_of="supplier"))
+    _add(f"q21{_suffix}", Workload(T.WAITING[0], T.WAITING[1], ["supplier"], [Release("owners", "owners")], PrivacyParams(0.1, 0.0, 1, suppress=_noisy), noisy=_noisy, owners_of="supplier"))
 _add("two_step_example", Workload(T.CUSTOMER_ORDERS[0], T.CUSTOMER_ORDERS[1], ["segment"], [Release("count", "n", None, 0.0, 5.0)], PrivacyParams(1.0, 0.0, 1, tau=2.0)))
 _add("cohort_sum", Workload(T.CUSTOMER_ORDERS[0], T.CUSTOMER_ORDERS[1], ["nation"], [Release("sum", "total", "price", 0.0, 1e5)], PrivacyParams(2.0, 1e-5, 1)))
 
@@ -325,11 +319,7 @@ def _(spark, d):
     """The expected share of hidden keys for delta = 10^-k, from the noise's distribution function."""
     owned = T.ORDER_COUNTS[0](spark, d).unowned()
     counts = owned.groupBy("n_orders").agg(F.count(F.lit(1)).alias("owners"))
-
-    def hidden(tau: float) -> Column:
-        x = (F.lit(tau) - F.col("owners")) / F.lit(20.0)
-        return F.when(x >= 0, 1 - 0.5 * F.exp(-x)).otherwise(0.5 * F.exp(x))
-
+    hidden = lambda tau: measures.expected_suppression(F.col("owners"), F.lit(tau), F.lit(20.0))
     rates = [F.struct(F.lit(k).alias("k"), F.avg(hidden(owner_threshold(0.05, 10.0**-k, 1))).alias("suppression_rate")) for k in range(2, 11)]
     return rounded(counts.agg(F.array(*rates).alias("all")).select(F.inline("all")))
 
@@ -357,7 +347,7 @@ def _(spark, d):
     out = None
     for eps in (0.01, 0.05, 0.1, 0.5, 1.0):
         for n in (1, 2, 4, 8):
-            runs = measures.noise_runs(spark, exact, _FLAGS, "n", 132 * n / eps, 20_000, _noise(), f"e{eps}n{n}")
+            runs = measures.noise_runs(spark, exact, _FLAGS, "n", 132 * n / eps, 1_000_000, RunNoise(SEED), f"e{eps}n{n}")
             row = measures.median_relative_error(runs).select(F.lit(eps).alias("eps"), F.lit(n).alias("aggregates"), "median_relative_error")
             row = row.join(exact.select((F.lit(error_vs_aggs(132, eps, n)) / F.col("n")).alias("predicted")))
             out = row if out is None else out.unionByName(row)
@@ -372,7 +362,7 @@ def _(spark, d):
     for delta in (0.12, 0.01):
         for c_u in (1, 5):
             tau = owner_threshold(0.1, delta, c_u)
-            runs = measures.noise_runs(spark, one, ["k"], "owners", c_u / 0.1, 50_000, _noise(), f"d{delta}c{c_u}")
+            runs = measures.noise_runs(spark, one, ["k"], "owners", c_u / 0.1, 1_000_000, RunNoise(SEED), f"d{delta}c{c_u}")
             row = measures.suppression_rate(runs, F.col("noisy") < tau).select(F.lit(delta).alias("delta"), F.lit(c_u).alias("c_u"), "suppression_rate", F.lit(single_owner_suppression(delta, c_u)).alias("predicted"))
             out = row if out is None else out.unionByName(row)
     return rounded(out)
@@ -384,7 +374,7 @@ def _(spark, d):
     out = None
     for level in (0.5, 0.9, 0.95):
         width = A.priv_count("n", None, 0, 1).half_width(level, 0.1, 0, 1)
-        runs = measures.noise_runs(spark, one, ["k"], "n", 10.0, 20_000, _noise(), f"l{level}")
+        runs = measures.noise_runs(spark, one, ["k"], "n", 10.0, 1_000_000, RunNoise(SEED), f"l{level}")
         row = measures.interval_coverage(runs.withColumns({"lo": F.col("noisy") - width, "hi": F.col("noisy") + width}), "lo", "hi").select(F.lit(level).alias("level"), "coverage")
         out = row if out is None else out.unionByName(row)
     return rounded(out)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field
 
@@ -11,9 +12,10 @@ from pyspark.sql import functions as F
 from ownerdp.functions import aggregates as A
 from ownerdp.functions.noise import CODES, NoNoise, TestNoise, draw_tag
 from ownerdp.operators.threshold import owner_threshold
-from ownerdp.params import PrivacyParams
+from ownerdp.params import PrivacyParams, default_delta
 from ownerdp.plans.ownership import OwnedFrame
 from ownerdp.plans.rewrite import private_aggregate
+from ownerdp.sources.tables import read_table
 
 SEED = 20
 PLACES = 4
@@ -36,7 +38,10 @@ class Release:
 
 @dataclass(frozen=True)
 class Workload:
-    """source: the owned relation in Spark; sql: the same relation as a SQL query with the owner's column ``o``."""
+    """source: the owned relation in Spark; sql: the same relation as a SQL query with the owner's column ``o``.
+
+    owners_of: a table with a row for each owner, from whose size delta follows; for experiments, where that size is public.
+    """
 
     source: Callable[[SparkSession, str], OwnedFrame]
     sql: str
@@ -48,6 +53,14 @@ class Workload:
     leftovers: bool = False
     intervals: float | None = None
     options: dict = field(default_factory=dict)
+    owners_of: str | None = None
+
+    def params_for(self, spark: SparkSession, folder: str) -> PrivacyParams:
+        if self.owners_of is None:
+            return self.params
+        with warnings.catch_warnings():
+            warnings.simplefilter("ignore")  # the given tables have so few owners that no delta of this rule protects anyone
+            return self.params.with_(delta=default_delta(read_table(spark, folder, self.owners_of).count(), self.params.eps))
 
     def noise(self):
         return TestNoise(SEED) if self.noisy else NoNoise(unsafe_for_tests=True, seed=SEED)
@@ -57,7 +70,7 @@ class Workload:
         if self.domain is not None:
             domain = spark.sql(self.domain)
         result = private_aggregate(
-            self.source(spark, folder), list(self.keys), [r.agg() for r in self.releases], self.params, self.noise(), key_domain=domain, leftovers=self.leftovers, intervals=self.intervals, **self.options
+            self.source(spark, folder), list(self.keys), [r.agg() for r in self.releases], self.params_for(spark, folder), self.noise(), key_domain=domain, leftovers=self.leftovers, intervals=self.intervals, **self.options
         )
         return rounded(result.df)
 
@@ -88,6 +101,11 @@ def sql_laplace(scale: float | str, tag: str, keys: Sequence[str], noisy: bool =
     return f"(-({scale!r})::DOUBLE * sign({u} - 0.5) * ln(1 - 2 * abs({u} - 0.5)))" if not isinstance(scale, str) else f"(-({scale}) * sign({u} - 0.5) * ln(1 - 2 * abs({u} - 0.5)))"
 
 
+def sql_threshold(eps_t: float, eps: float, c_u: int, table: str) -> str:
+    """The threshold with the default delta for the rows of a table of owners."""
+    return f"(SELECT 1 - {c_u!r}::DOUBLE / {eps_t!r}::DOUBLE * ln(2 - 2 * pow(1 - exp(-{eps!r}::DOUBLE * pow(ln(count(*)::DOUBLE), 2)), 1.0::DOUBLE / {c_u})) FROM {table})"
+
+
 def sql_clamp(x: str, lo: float, hi: float) -> str:
     return f"CASE WHEN ({x}) IS NULL THEN NULL WHEN isnan({x}) THEN greatest({lo!r}::DOUBLE, least({hi!r}::DOUBLE, 0)) ELSE greatest({lo!r}::DOUBLE, least({hi!r}::DOUBLE, {x})) END"
 
@@ -104,9 +122,11 @@ class _Oracle:
         if self.suppress and w.leftovers:
             self.eps = w.params.eps / (len(w.releases) * self.c_u + self.c_u + 1)
             tau = owner_threshold(self.eps * (self.c_u + 1), w.params.delta, self.c_u + 1) if tau is None else tau
+        elif self.suppress and tau is None and w.owners_of is not None:
+            tau = sql_threshold(self.eps * self.c_u, w.params.eps, self.c_u, w.owners_of)
         elif self.suppress and tau is None:
             tau = owner_threshold(self.eps * self.c_u, w.params.delta, self.c_u)
-        self.tau = tau
+        self.tau = tau if isinstance(tau, str) else repr(tau)
 
     def partial(self, r: Release) -> str:
         x = r.column
@@ -174,7 +194,7 @@ class _Oracle:
             ctes.append(f"listed AS (SELECT {listed}{', '.join(f'coalesce({n}, 0) AS {n}' for n in names)} FROM (SELECT DISTINCT {', '.join(keys)} FROM ({w.domain})) LEFT JOIN tot USING ({', '.join(keys)}))")
             source = "listed"
         out = ", ".join(x for r in w.releases for x in self.released(r, keys))
-        where = f" WHERE owners + {sql_laplace(1 / self.eps, draw_tag('', 'owners'), keys, w.noisy)} >= {self.tau!r}" if self.suppress else ""
+        where = f" WHERE owners + {sql_laplace(1 / self.eps, draw_tag('', 'owners'), keys, w.noisy)} >= {self.tau}" if self.suppress else ""
         body = f"SELECT {listed}{out} FROM {source}{where}"
         if not (self.suppress and w.leftovers):
             return f"WITH {', '.join(ctes)} {body}"
@@ -184,5 +204,5 @@ class _Oracle:
         last = ", ".join(x for r in w.releases for x in self.released(r, []))
         return (
             f"WITH {', '.join(ctes)} SELECT *, false AS is_leftover FROM kept UNION ALL BY NAME SELECT {''.join(f'NULL AS {k}, ' for k in keys)}{last}, true AS is_leftover FROM rest_tot"
-            f" WHERE owners + {sql_laplace(1 / self.eps, draw_tag('', 'owners of leftovers'), [], w.noisy)} >= {self.tau!r}"
+            f" WHERE owners + {sql_laplace(1 / self.eps, draw_tag('', 'owners of leftovers'), [], w.noisy)} >= {self.tau}"
         )

@@ -5,10 +5,14 @@ import math
 import pytest
 from pyspark.sql import functions as F
 
+from ownerdp.functions import aggregates as A
 from ownerdp.functions.noise import TestNoise
+from ownerdp.params import PrivacyParams
+from ownerdp.plans.ownership import OwnedFrame
+from ownerdp.plans.rewrite import private_aggregate
 from ownerdp.stochastic import mechanisms as M
 from ownerdp.stochastic.databases import adjacent_pairs, halton_databases, primes, sub_databases
-from ownerdp.stochastic.search import Verdict, compare_histograms, failing_buckets, find_violation, sample_outputs
+from ownerdp.stochastic.search import Verdict, compare_histograms, failing_buckets, find_violation, find_violation_owner, sample_outputs
 
 RUNS = 60_000
 REGRESSION = ([-0.375, -0.055, 0.3], [-0.375, -0.055])
@@ -32,7 +36,7 @@ def test_graph_of_parts(spark):
     assert parts[5] == [1.0, 3.0] and parts[0] == []
 
 
-@pytest.mark.parametrize(("mechanism", "violates"), [(M.accurate_count_avg(1.0, -0.5, 0.5, "magnitude"), True), (M.accurate_count_avg(1.0, -0.5, 0.5, "range"), False), (M.average(1.0, -0.5, 0.5), False)])
+@pytest.mark.parametrize(("mechanism", "violates"), [(M.accurate_count_avg(1.0, -0.5, 0.5, "magnitude"), True), (M.accurate_count_avg(1.0, -0.5, 0.5, "range"), False), (M.Shipped(A.priv_avg("n", "x", -0.5, 0.5), 1.0), False)])
 def test_noisy_average_regression(spark, mechanism, violates):
     samples = sample_outputs(pair(spark), mechanism, RUNS)
     found = failing_buckets(samples, RUNS, 1.0, low=-0.5, high=0.5, confidence=3.0)
@@ -45,25 +49,51 @@ def test_small_budgets_break_the_exact_count_even_with_the_wide_scale(spark):
     assert any(n for _, _, n in failing_buckets(samples, RUNS, 0.3, low=-0.5, high=0.5, confidence=3.0))
 
 
+def shipped(eps):
+    ends = {"lo": -0.5, "hi": 0.5}
+    return [M.Shipped(a, eps) for a in (A.priv_count_owners("n"), A.priv_sum("n", "x", **ends), A.priv_avg("n", "x", **ends), A.priv_var("n", "x", **ends), A.priv_stddev("n", "x", **ends))]
+
+
 @pytest.mark.parametrize("eps", [1.0, math.log(3)])
 def test_shipped_primitives_pass(spark, eps):
     dbs = halton_databases(spark, 3, 2, 0.5)
-    for mechanism in (M.count(eps), M.bounded_sum(eps, -0.5, 0.5), M.average(eps, -0.5, 0.5), M.variance(eps, -0.5, 0.5)):
-        verdict = find_violation(spark, mechanism, dbs, eps, m=20_000, buckets=20, confidence=4.0)
-        assert verdict == Verdict(False, pairs_tried=12)
+    for mechanism in shipped(eps):
+        assert find_violation(spark, mechanism, dbs, eps, m=20_000, buckets=20) == Verdict(False, pairs_tried=12)
+
+
+def test_a_fault_in_a_shipped_aggregate_is_found(spark, monkeypatch):
+    """The tester runs the library's own code: halving the scale of its sums, or clamping without lower limits, must show."""
+    dbs = spark.createDataFrame([(1, [0.5, 0.4]), (2, [-0.5, 0.1])], "db_id long, rows array<double>")
+    mechanism = M.Shipped(A.priv_sum("n", "x", -0.5, 0.5), 1.0)
+    assert not find_violation(spark, mechanism, dbs, 1.0, m=20_000, buckets=20, low=-3.0, high=3.0).violated
+    monkeypatch.setattr(A.Sum, "scale", lambda self, eps, lo, hi: max(abs(lo), abs(hi)) / (2 * eps))
+    assert find_violation(spark, mechanism, dbs, 1.0, m=20_000, buckets=20, low=-3.0, high=3.0).violated
 
 
 def test_search_stops_at_the_first_violation(spark):
-    dbs = spark.createDataFrame([(1, REGRESSION[0])], "db_id long, rows array<double>")
-    for order in ("dfs", "bfs"):
-        verdict = find_violation(spark, M.accurate_count_avg(1.0, -0.5, 0.5, "magnitude"), dbs, 1.0, m=RUNS, low=-0.5, high=0.5, order=order, batch=6)
-        assert verdict.violated and verdict.failing and verdict.pairs_tried in (6, 12)
+    dbs = spark.createDataFrame([(1, REGRESSION[0]), (2, [0.1, 0.2, 0.3])], "db_id long, rows array<double>")
+    mechanism = M.accurate_count_avg(1.0, -0.5, 0.5, "magnitude")
+    by_database = find_violation(spark, mechanism, dbs, 1.0, m=RUNS, low=-0.5, high=0.5, order="dfs", batch=1)
+    by_level = find_violation(spark, mechanism, dbs, 1.0, m=RUNS, low=-0.5, high=0.5, order="bfs")
+    assert by_database.violated and by_database.failing and by_database.pairs_tried == 12
+    assert by_level.violated and by_level.pairs_tried in (6, 18, 24) and len(by_level.pair[0]) == len(by_level.pair[1]) + 1
+    assert find_violation(spark, mechanism, dbs.limit(0), 1.0) == Verdict(False)
+
+
+def test_whole_releases_with_and_without_an_owner(spark):
+    rows = [(1, "a", 40.0), *((o, "a", 1.0) for o in range(2, 9))]
+    df = spark.createDataFrame(rows, "o long, k string, v double")
+    private = lambda data, noise: private_aggregate(OwnedFrame.of(data, "o"), [], [A.priv_sum("s", "v", 0, 1)], PrivacyParams(0.5), noise).df
+    naive = lambda data, noise: data.agg((F.sum("v") + noise.laplace(2.0, "s", [])).alias("s"))
+    assert not find_violation_owner(df, "o", private, "s", [1], 0.5, m=12, buckets=4).violated
+    found = find_violation_owner(df, "o", naive, "s", [1], 0.5, m=12, buckets=4)
+    assert found.violated and found.pair == (1,)
 
 
 def test_unsafe_clamp_shows_its_owner(spark):
     with_nan = pair(spark, [0.1, float("nan")], [0.1])
     bad = failing_buckets(sample_outputs(with_nan, M.clamp_unsafe(1.0, -0.5, 0.5), 5000), 5000, 1.0)
-    good = failing_buckets(sample_outputs(with_nan, M.bounded_sum(1.0, -0.5, 0.5), 5000), 5000, 1.0, confidence=3.0)
+    good = failing_buckets(sample_outputs(with_nan, M.Shipped(A.priv_sum("n", "x", -0.5, 0.5), 1.0), 5000), 5000, 1.0, confidence=3.0)
     assert any(n for _, _, n in bad) and not any(n for _, _, n in good)
 
 
