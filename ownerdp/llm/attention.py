@@ -103,9 +103,22 @@ def initial(vocabulary: Vocabulary, seed: int = 11) -> dict[str, np.ndarray]:
     }
 
 
+#: Logits are held below this, so that their exponentials and sums stay finite.
+MOST_LOGIT = 40
 _BACK = np.arange(WINDOW)[:, None] - np.arange(WINDOW)[None, :]
 
 
+def _asked(asked: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Where tokens begin behind the positions of each window: (slots, windows, places). Only there does the layer predict, so only those positions
+    ask: slots holds them for each window, as many as the fullest one has, and (windows, places) tell which slots are real."""
+    windows, at = np.nonzero(asked)
+    count = np.bincount(windows, minlength=len(asked))
+    places = np.arange(len(windows)) - np.repeat(np.cumsum(count) - count, count)
+    slots = np.zeros((len(asked), max(1, int(count.max(initial=0)))), np.int64)
+    slots[windows, places] = at
+    return slots, windows, places
+
+
 def training_windows(documents: list[np.ndarray], vocabulary: Vocabulary) -> tuple[np.ndarray, np.ndarray]:
     """(inputs, goals), WINDOW wide: consecutive windows of each document, the end ahead of it. A goal is the class of the token that
     begins next, the end behind the text included; -1 where none begins. Every token is a goal once."""
@@ -128,22 +141,22 @@ def training_windows(documents: list[np.ndarray], vocabulary: Vocabulary) -> tup
 def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
     """Mean loss in nats over the goals and its gradient. x: (windows, WINDOW, DIM) embeddings; goal: classes, -1 for none."""
     scale = x.dtype.type(1 / np.sqrt(DIM))
-    q, k, v = x @ w["query"], x @ w["key"], x @ w["value"]
+    slots, windows, places = _asked(goal >= 0)
+    goal = goal[windows, slots[windows, places]]
+    asking = x[np.arange(len(x))[:, None], slots]
+    q, k, v = asking @ (w["query"] * scale), x @ w["key"], x @ w["value"]
     p = q @ k.transpose(0, 2, 1)
-    p *= scale
-    p += np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)])
-    p -= p.max(axis=-1, keepdims=True)
-    np.exp(p, out=p)
+    p += np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)]).astype(x.dtype)[slots]
+    np.exp(np.minimum(p, MOST_LOGIT, out=p), out=p)
     p /= p.sum(axis=-1, keepdims=True)
     a = p @ v
-    asked = goal >= 0
-    goal, own, mixed = goal[asked], x[asked], a[asked]  # only where a token begins does the layer predict
+    own, mixed = asking[windows, places], a[windows, places]
     m, rows = max(1, len(goal)), np.arange(len(goal))
     u = own @ w["own"] + mixed @ w["mixed"] + w["hidden_bias"]
     h = np.maximum(u, 0)
-    z = h @ w["out"] + w["out_bias"]
-    z -= z.max(axis=-1, keepdims=True)
-    np.exp(z, out=z)
+    z = h @ w["out"]
+    z += w["out_bias"]
+    np.exp(np.minimum(z, MOST_LOGIT, out=z), out=z)
     z /= z.sum(axis=-1, keepdims=True)
     loss = -float(np.log(z[rows, goal] + 1e-30).sum()) / m
     z[rows, goal] -= 1
@@ -152,25 +165,31 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray)
     du = (z @ w["out"].T) * (u > 0)
     g |= {"own": own.T @ du, "mixed": mixed.T @ du, "hidden_bias": du.sum(0)}
     da = np.zeros_like(a)
-    da[asked] = du @ w["mixed"].T
-    dp, dv = da @ v.transpose(0, 2, 1), p.transpose(0, 2, 1) @ da
-    ds = p * (dp - (dp * p).sum(-1, keepdims=True))
+    da[windows, places] = du @ w["mixed"].T
+    dv = p.transpose(0, 2, 1) @ da
+    ds = da @ v.transpose(0, 2, 1)
+    ds -= np.einsum("wqd,wqd->wq", da, a)[..., None]  # the weighted mean of what each key is blamed for
+    ds *= p
     flat = lambda t: t.reshape(-1, t.shape[-1])
-    by_pair = ds.sum(0)
+    placed = np.zeros((slots.size, WINDOW), x.dtype)
+    placed[np.arange(slots.size), slots.ravel()] = 1
+    by_pair = placed.T @ flat(ds)
     g["distance"] = np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(x.dtype)
-    g["query"] = flat(x).T @ flat(ds @ k) * scale
-    g["key"] = flat(x).T @ flat(ds.transpose(0, 2, 1) @ q) * scale
+    g["query"] = flat(asking).T @ flat(ds @ k) * scale
+    g["key"] = flat(x).T @ flat(ds.transpose(0, 2, 1) @ q)
     g["value"] = flat(x).T @ flat(dv)
     return loss, g
 
 
 class Trainer:
-    """Adam steps over windows, from given weights; its moments stay from call to call."""
+    """Adam steps over windows, from given weights; its moments stay from call to call. All weights are views of one row of numbers."""
 
     def __init__(self, w: dict[str, np.ndarray], vocabulary: Vocabulary, rate: float, batch: int = 128):
-        self.w = {k: v.astype(np.float32).copy() for k, v in w.items()}
+        self.flat = np.concatenate([v.ravel() for v in w.values()]).astype(np.float32)
+        edges = np.cumsum([0, *(v.size for v in w.values())])
+        self.w = {k: self.flat[a:b].reshape(v.shape) for (k, v), a, b in zip(w.items(), edges[:-1], edges[1:], strict=True)}
         self.vocabulary, self.rate, self.batch, self.steps, self.losses = vocabulary, rate, batch, 0, []
-        self.first, self.second = ({k: np.zeros_like(v) for k, v in self.w.items()} for _ in range(2))
+        self.first, self.second = np.zeros_like(self.flat), np.zeros_like(self.flat)
 
     def run(self, inputs: np.ndarray, goals: np.ndarray, seed: int = 0) -> None:
         """One pass over the windows in a random order."""
@@ -180,10 +199,12 @@ class Trainer:
             loss, g = loss_and_gradient(self.w, self.vocabulary.embedding[inputs[rows]], goals[rows])
             self.losses.append(loss)
             self.steps += 1
-            for k, d in g.items():
-                self.first[k] += 0.1 * (d - self.first[k])
-                self.second[k] += 0.01 * (d * d - self.second[k])
-                self.w[k] -= np.float32(self.rate) * (self.first[k] / (1 - 0.9**self.steps)) / (np.sqrt(self.second[k] / (1 - 0.99**self.steps)) + np.float32(1e-8))
+            d = np.concatenate([g[k].ravel() for k in self.w])
+            self.first += np.float32(0.1) * (d - self.first)
+            self.second += np.float32(0.01) * (d * d - self.second)
+            step = np.sqrt(self.second / np.float32(1 - 0.99**self.steps))
+            step += np.float32(1e-8)
+            self.flat -= np.float32(self.rate / (1 - 0.9**self.steps)) * self.first / step
 
 
 class Scorer:
@@ -199,7 +220,7 @@ class Scorer:
         back = np.arange(STRIDE)[:, None] + (WINDOW - STRIDE) - np.arange(WINDOW)[None, :]
         self.bias = np.where(back < 0, FAR, w["distance"][np.clip(back, 0, WINDOW - 1)]).astype(np.float32)
 
-    def log10(self, documents: list[np.ndarray], chunk: int = 512) -> np.ndarray:
+    def log10(self, documents: list[np.ndarray], chunk: int = 256) -> np.ndarray:
         """Of each document (ids) the log10 probability of the symbols of its tokens and its end."""
         end = len(self.own) - 1
         lengths = np.array([len(d) + 1 for d in documents], np.int64)  # the end stands ahead of each document
@@ -218,23 +239,24 @@ class Scorer:
             part = slice(i, i + chunk)
             at = first[part, None] + np.arange(WINDOW)
             ids = flat[np.clip(at, 0, len(flat) - 1)]
-            own = ids[:, WINDOW - STRIDE :]
-            weights = np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1))
-            weights += self.bias
-            np.exp(np.minimum(weights, 40, out=weights), out=weights)
-            weights[:, :, : WINDOW - STRIDE] *= ~(at[:, : WINDOW - STRIDE] < begin[owner[part], None])[:, None, :]
-            mixed = np.matmul(weights, self.value[ids])
             here = at[:, WINDOW - STRIDE :]
-            asked = here < limit[part, None]
-            asked &= its[np.minimum(here, len(its) - 1)] >= 0
-            mixed, target = mixed[asked], its[here[asked]]
+            slots, window, place = _asked((here < limit[part, None]) & (its[np.minimum(here, len(its) - 1)] >= 0))
+            own = np.take_along_axis(ids[:, WINDOW - STRIDE :], slots, axis=1)
+            weights = np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1))
+            weights += self.bias[slots]
+            np.exp(np.minimum(weights, MOST_LOGIT, out=weights), out=weights)
+            outside = at[:, : WINDOW - STRIDE] < begin[owner[part], None]
+            if outside.any():
+                weights[:, :, : WINDOW - STRIDE] *= ~outside[:, None, :]
+            mixed = np.matmul(weights, self.value[ids])[window, place]
+            target = its[here[window, slots[window, place]]]
             hidden = mixed[:, :-1] / mixed[:, -1:]
-            hidden += self.own[own[asked]]
+            hidden += self.own[own[window, place]]
             logits = np.maximum(hidden, 0, out=hidden) @ self.out
             logits += self.out_bias
-            logits -= logits.max(axis=1, keepdims=True)
+            np.minimum(logits, MOST_LOGIT, out=logits)
             picked = logits[np.arange(len(target)), self.vocabulary.of_class[target]]
             np.exp(logits, out=logits)
             log_p = (picked - np.log(logits.sum(axis=1))).astype(np.float64) + self.vocabulary.log_within[target]
-            total += np.bincount(np.broadcast_to(owner[part, None], asked.shape)[asked], log_p, len(lengths))
+            total += np.bincount(owner[part][window], log_p, len(lengths))
         return total / np.log(10)

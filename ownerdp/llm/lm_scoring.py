@@ -4,9 +4,8 @@ from __future__ import annotations
 
 import uuid
 import zlib
-from collections import Counter
-from collections.abc import Iterator
-from itertools import repeat
+from collections.abc import Callable, Iterable, Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -14,13 +13,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ownerdp.llm import attention, spelling
-from ownerdp.llm.common import BoundedCache, map_batches, materialise, per_worker, texts_of
+from ownerdp.llm.common import map_batches, materialise, per_worker, texts_of
 from ownerdp.llm.packing import _fast_encoder
 
 #: Hash buckets of the neighbouring subword or symbol, for what one tends to follow and to precede.
 BUCKETS = 8
-#: Distinct words that a task counts before it hands them on.
-FLUSH = 500_000
+#: Distinct words that a worker keeps, encoded and counted, before it hands their counts on and forgets them.
+WORDS_KEPT = 400_000
 #: Counts of the most frequent words, at most so many, are sent to the executors; those of the others are looked up by a join.
 MOST_HEAD_WORDS = 1 << 19
 #: Learning rates of the two rounds: the first is over the documents of one hash in WARM_UP, the second over all others.
@@ -29,12 +28,9 @@ RATES, WARM_UP = (0.012, 0.004), 8
 WINDOWS_A_TASK = 16_000
 #: A task with fewer windows goes through them several times, up to about so many.
 LEAST_WINDOWS = 16_000
-_WORDS_CACHED = 250_000
 #: Documents that a task encodes or scores, and trains on, together.
 SLICE, TRAIN_SLICE = 256, 1024
 _SYMBOL, _ID = 1, 0
-#: In the table of counts a word is its bytes, the end the empty string; a blank, which no word holds, marks cells of neighbours.
-_CELL = b" "
 
 
 def held_out(doc_id) -> bool:
@@ -43,32 +39,51 @@ def held_out(doc_id) -> bool:
 
 
 class SubwordCodec:
-    """The subwords of whole words by their bytes, each encoded behind a blank; a cache of bounded size keeps them."""
+    """The subwords of words by their bytes, each word encoded behind a blank: by the public library, what was encoded is kept up to a bound.
+
+    ``places`` numbers the words that are kept in the order in which they came.
+    """
 
     def __init__(self, vocabulary: list[bytes], pattern: str):
-        self.encode, self.cache = _fast_encoder(vocabulary, pattern).encode_ordinary, BoundedCache(_WORDS_CACHED)
-
-    def encoded(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        each = [self.encode(" " + w.decode()) for w in words]
-        lengths = np.fromiter(map(len, each), np.int64, len(each))
-        return np.fromiter((i for ids in each for i in ids), np.uint16, int(lengths.sum())), lengths
-
-    def documents(self, documents: list[list[bytes]]) -> list[bytes]:
-        """The ids of each document as little-endian 16-bit integers."""
-        self.cache.make_room()
-        young, old = self.cache.young, self.cache.old
-        missing = []
-        for w in set().union(*documents).difference(young):
-            if (known := old.get(w)) is None:
-                missing.append(w)
-            else:
-                young[w] = known
-        ids, lengths = self.encoded(missing)
-        packed, at = ids.astype("<u2").tobytes(), 0
-        for w, n in zip(missing, (lengths * 2).tolist(), strict=True):
-            young[w] = packed[at : at + n]
-            at += n
-        return [b"".join(map(young.__getitem__, words)) for words in documents]
+        self.encode = _fast_encoder(vocabulary, pattern).encode_ordinary
+        self.forget()
+
+    def forget(self) -> None:
+        self.places = _Places(self._add)
+        self.begin, self.length, self.ids, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16), 0
+
+    def _add(self, word: bytes) -> int:
+        ids, place = self.encode(" " + word.decode()), len(self.places)
+        if place == len(self.begin):
+            self.begin, self.length = (np.append(x, np.zeros_like(x)) for x in (self.begin, self.length))
+        if self.used + len(ids) > len(self.ids):
+            self.ids = np.append(self.ids, np.zeros(max(len(ids), len(self.ids)), np.uint16))
+        self.begin[place], self.length[place] = self.used, len(ids)
+        self.ids[self.used : self.used + len(ids)] = ids
+        self.used += len(ids)
+        return place
+
+    def find(self, words: Iterable[bytes], n: int) -> np.ndarray:
+        """The places of n words."""
+        return np.fromiter(map(self.places.__getitem__, words), np.int64, n)
+
+    def subwords(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the words laid end to end, and how many each has."""
+        length = self.length[places]
+        ahead = np.cumsum(length) - length
+        return self.ids[np.repeat(self.begin[places] - ahead, length) + np.arange(int(length.sum()))], length
+
+
+class _Places(dict):
+    """Numbers words as they come."""
+
+    def __init__(self, add: Callable[[bytes], int]):
+        super().__init__()
+        self.add = add
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = place = self.add(word)
+        return place
 
 
 def _codec(sent) -> SubwordCodec:
@@ -90,18 +105,51 @@ def _ids(batch: pa.RecordBatch, column: int) -> list[np.ndarray]:
     return [np.frombuffer(x, "<u2") for x in batch.column(column).to_pylist()]
 
 
-def encode_documents(rows: DataFrame, sent) -> DataFrame:
-    """(doc_id, text, held_out, ids) of rows (doc_id, text), written once for the passes that follow."""
+def encode_documents(rows: DataFrame, sent) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, text, held_out, ids) of rows (doc_id, text), written once for the passes that follow, and (key, n): each task's counts of the words,
+    and of the end (an empty key), in the training documents. Both are columns of one table, of which a reader takes its own."""
     kind = rows.schema["doc_id"].dataType.simpleString()
+    names = ["doc_id", "text", "held_out", "ids", "key", "n"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = _codec(sent)
-        for batch in _slices(batches):
-            held = [held_out(d) for d in batch.column(0).to_pylist()]
-            ids = codec.documents([words_of(t) for t in texts_of(batch)])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(held, pa.bool_()), pa.array(ids, pa.binary())], names=["doc_id", "text", "held_out", "ids"])
+        codec, counts, ends, id_type = _codec(sent), np.zeros(0, np.int64), 0, None
+
+        def counted() -> Iterator[pa.RecordBatch]:
+            seen = np.flatnonzero(counts)
+            keys, n = list(codec.places), counts[seen].tolist()
+            yield from rows_of([keys[i] for i in seen.tolist()], n)
 
-    return materialise(map_batches(rows, run, f"doc_id {kind}, text string, held_out boolean, ids binary"), "lm-encoded")
+        def rows_of(keys: list[bytes], n: list[int]) -> Iterator[pa.RecordBatch]:
+            for i in range(0, len(keys), 100_000):
+                k = keys[i : i + 100_000]
+                absent = [pa.nulls(len(k), t) for t in (id_type, pa.string(), pa.bool_(), pa.binary())]
+                yield pa.RecordBatch.from_arrays([*absent, pa.array(k, pa.binary()), pa.array(n[i : i + 100_000], pa.int64())], names=names)
+
+        for batch in _slices(batches):
+            id_type = batch.column(0).type
+            if len(codec.places) > WORDS_KEPT:
+                yield from counted()
+                counts = np.zeros(0, np.int64)
+                codec.forget()
+            held = np.array([held_out(d) for d in batch.column(0).to_pylist()], bool)
+            documents = [words_of(t) for t in texts_of(batch)]
+            sizes = np.fromiter(map(len, documents), np.int64, len(documents))
+            places = codec.find(chain.from_iterable(documents), int(sizes.sum()))
+            ids, length = codec.subwords(places)
+            more = np.bincount(places[np.repeat(~held, sizes)], minlength=len(codec.places))
+            more[: len(counts)] += counts
+            counts, ends = more, ends + int((~held).sum())
+            edges = np.append(0, np.cumsum(length))[np.append(0, np.cumsum(sizes))].tolist()
+            packed = ids.astype("<u2")
+            each = [packed[a:b].tobytes() for a, b in zip(edges[:-1], edges[1:], strict=True)]
+            n = batch.num_rows
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(held, pa.bool_()), pa.array(each, pa.binary()), pa.nulls(n, pa.binary()), pa.nulls(n, pa.int64())], names=names)
+        if id_type is not None:
+            yield from counted()
+            yield from rows_of([b""], [ends])
+
+    both = materialise(map_batches(rows, run, f"doc_id {kind}, text string, held_out boolean, ids binary, key binary, n long"), "lm-encoded")
+    return both.filter(F.col("held_out").isNotNull()).select(*names[:4]), both.filter("n > 0").select("key", "n")
 
 
 def _bucket(ids: np.ndarray) -> np.ndarray:
@@ -118,44 +166,31 @@ def _around(flat: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def count_table(encoded: DataFrame, starts: np.ndarray) -> DataFrame:
-    """(key, n, cell) over all training documents: every word, the end, and for each id and each symbol the buckets of its neighbours."""
+def neighbours(encoded: DataFrame, starts: np.ndarray) -> DataFrame:
+    """(at, n) over all training documents: for each id and each symbol the buckets of its neighbours, numbered by ``2 * cell + kind``."""
     n_ids = len(starts)
 
-    def rows(keys, n):
-        for i in range(0, len(keys), 100_000):
-            yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + 100_000], pa.binary()), pa.array(n[i : i + 100_000], pa.int64())], names=["key", "n"])
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words: Counter = Counter()
         cells = [np.zeros((n_ids, 2 * BUCKETS), np.int64), np.zeros((2 * n_ids, 2 * BUCKETS), np.int64)]
         end = np.array([n_ids - 1], np.int64)
         for batch in _slices(batches, TRAIN_SLICE):
-            for text in texts_of(batch, "text"):
-                words.update(words_of(text))
-                words[b""] += 1
-                if len(words) >= FLUSH:
-                    yield from rows(list(words), list(words.values()))
-                    words.clear()
-            flat = np.concatenate([end, *(x for ids in _ids(batch, 1) for x in (ids, end))]).astype(np.int64)
+            flat = np.concatenate([end, *(x for ids in _ids(batch, 0) for x in (ids, end))]).astype(np.int64)
             its = attention.symbols(flat, starts)
             cells[_ID] += _around(flat, n_ids)
             cells[_SYMBOL] += _around(its[its >= 0], 2 * n_ids)
-        yield from rows(list(words), list(words.values()))
         for kind in (_ID, _SYMBOL):
             found = cells[kind].ravel()
             at = np.flatnonzero(found)
-            yield from rows([_CELL + b"%d" % (2 * c + kind) for c in at.tolist()], found[at])
+            yield pa.RecordBatch.from_arrays([pa.array(2 * at + kind, pa.int64()), pa.array(found[at], pa.int64())], names=["at", "n"])
 
-    learnt = encoded.filter(~F.col("held_out")).select("text", "ids")
-    counted = map_batches(learnt, run, "key binary, n long").groupBy("key").agg(F.sum("n").alias("n"))
-    return materialise(counted.select("key", "n", F.col("key").substr(1, 1).eqNullSafe(F.lit(_CELL)).alias("cell")), "lm-counts")
+    learnt = encoded.filter(~F.col("held_out")).select("ids")
+    return map_batches(learnt, run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n"))
 
 
-def describe_tokens(counts: DataFrame, starts: np.ndarray) -> tuple[attention.Vocabulary, np.ndarray, np.ndarray]:
+def describe_tokens(cells: DataFrame, starts: np.ndarray) -> tuple[attention.Vocabulary, np.ndarray, np.ndarray]:
     """The fixed parts of the model, and the counts of ids and of symbols. At most 6 * n_ids * BUCKETS counts reach the driver, whatever the corpus holds."""
     n_ids = len(starts)
-    found = counts.filter("cell").select(F.col("key").cast("string").substr(2, 12).cast("long").alias("at"), "n").toArrow()
+    found = cells.toArrow()
     at, n = found["at"].to_numpy(), found["n"].to_numpy()
     tables = [np.zeros((n_ids, 2 * BUCKETS)), np.zeros((2 * n_ids, 2 * BUCKETS))]
     for kind, table in enumerate(tables):
@@ -173,7 +208,9 @@ def spelling_tables(words: DataFrame, sent, of_id: np.ndarray, of_symbol: np.nda
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec, total = _codec(sent), np.zeros(spelling.table_size(n_ids), np.int32)
         for batch in _slices(batches, 50_000):
-            ids, lengths = codec.encoded(batch.column(0).to_pylist())
+            if len(codec.places) > WORDS_KEPT:
+                codec.forget()
+            ids, lengths = codec.subwords(codec.find(batch.column(0).to_pylist(), batch.num_rows))
             if len(lengths):
                 total += np.bincount(spelling.cells(ids.astype(np.int64), lengths, group), minlength=len(total)).astype(np.int32)
         at = np.flatnonzero(total)
@@ -259,11 +296,10 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
     sent = spark.sparkContext.broadcast((vocabulary, pattern))
     rows = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
-    encoded = encode_documents(rows, sent)
-    counts = count_table(encoded, starts)
-    words = counts.filter("not cell")
+    encoded, counted_by_task = encode_documents(rows, sent)
+    words = materialise(counted_by_task.groupBy("key").agg(F.sum("n").alias("n")), "lm-counts")
     total, distinct = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    described, of_id, of_symbol = describe_tokens(counts, starts)
+    described, of_id, of_symbol = describe_tokens(neighbours(encoded, starts), starts)
     tables = spelling_tables(words, sent, of_id, of_symbol, starts)
     head_words, least = _head(words)
     head = head_words.select("key", "n").toArrow()
