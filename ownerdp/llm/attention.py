@@ -103,8 +103,6 @@ def initial(vocabulary: Vocabulary, seed: int = 11) -> dict[str, np.ndarray]:
     }
 
 
-#: Logits are held below this, so that their exponentials and sums stay finite.
-MOST_LOGIT = 40
 _BACK = np.arange(WINDOW)[:, None] - np.arange(WINDOW)[None, :]
 
 
@@ -138,6 +136,13 @@ def training_windows(documents: list[np.ndarray], vocabulary: Vocabulary) -> tup
     return np.concatenate(inputs), np.concatenate(goals)
 
 
+def _softmax(x: np.ndarray) -> None:
+    """In place, over the last axis."""
+    x -= x.max(axis=-1, keepdims=True)
+    np.exp(x, out=x)
+    x /= x.sum(axis=-1, keepdims=True)
+
+
 def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
     """Mean loss in nats over the goals and its gradient. x: (windows, WINDOW, DIM) embeddings; goal: classes, -1 for none."""
     scale = x.dtype.type(1 / np.sqrt(DIM))
@@ -147,8 +152,7 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray)
     q, k, v = asking @ (w["query"] * scale), x @ w["key"], x @ w["value"]
     p = q @ k.transpose(0, 2, 1)
     p += np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)]).astype(x.dtype)[slots]
-    np.exp(np.minimum(p, MOST_LOGIT, out=p), out=p)
-    p /= p.sum(axis=-1, keepdims=True)
+    _softmax(p)
     a = p @ v
     own, mixed = asking[windows, places], a[windows, places]
     m, rows = max(1, len(goal)), np.arange(len(goal))
@@ -156,8 +160,7 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray)
     h = np.maximum(u, 0)
     z = h @ w["out"]
     z += w["out_bias"]
-    np.exp(np.minimum(z, MOST_LOGIT, out=z), out=z)
-    z /= z.sum(axis=-1, keepdims=True)
+    _softmax(z)
     loss = -float(np.log(z[rows, goal] + 1e-30).sum()) / m
     z[rows, goal] -= 1
     z /= m
@@ -244,17 +247,18 @@ class Scorer:
             own = np.take_along_axis(ids[:, WINDOW - STRIDE :], slots, axis=1)
             weights = np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1))
             weights += self.bias[slots]
-            np.exp(np.minimum(weights, MOST_LOGIT, out=weights), out=weights)
             outside = at[:, : WINDOW - STRIDE] < begin[owner[part], None]
             if outside.any():
-                weights[:, :, : WINDOW - STRIDE] *= ~outside[:, None, :]
+                weights[:, :, : WINDOW - STRIDE] += np.where(outside, FAR, np.float32(0))[:, None, :]
+            weights -= weights.max(axis=-1, keepdims=True)
+            np.exp(weights, out=weights)
             mixed = np.matmul(weights, self.value[ids])[window, place]
             target = its[here[window, slots[window, place]]]
             hidden = mixed[:, :-1] / mixed[:, -1:]
             hidden += self.own[own[window, place]]
             logits = np.maximum(hidden, 0, out=hidden) @ self.out
             logits += self.out_bias
-            np.minimum(logits, MOST_LOGIT, out=logits)
+            logits -= logits.max(axis=1, keepdims=True)
             picked = logits[np.arange(len(target)), self.vocabulary.of_class[target]]
             np.exp(logits, out=logits)
             log_p = (picked - np.log(logits.sum(axis=1))).astype(np.float64) + self.vocabulary.log_within[target]
