@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import pandas as pd
@@ -16,10 +15,10 @@ from ownerdp.plans.ownership import OwnedFrame
 from ownerdp.plans.rewrite import private_aggregate
 from ownerdp.plans.sql import private_sql
 from ownerdp.sources.catalog import OwnerCatalog
-from ownerdp.sources.tables import read_table
+from ownerdp.sources.tables import read_table, shared_dir
 from ownerdp.streaming import windowed
 from ownerdp.workloads.queries import ORACLES, QUERIES, query
-from ownerdp.workloads.spec import SEED, Release, Workload, rounded
+from ownerdp.workloads.spec import SEED, Release, Workload, rounded, sql_message
 
 _ALL = PrivacyParams(1.0, 0.0, 900, suppress=False)
 _BIG = 1e12
@@ -279,11 +278,21 @@ def _(spark, d):
 # Streams -----------------------------------------------------------------------------------------------------------------------
 
 
-def _stream(spark: SparkSession, d: str, window, delay: str | None = "1 minute", keys: tuple[str, ...] = ()) -> DataFrame:
+def _folder(spark: SparkSession, name: str) -> str:
+    return f"{shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex}"
+
+
+def _partials(spark: SparkSession, d: str, window, delay: str = "1 minute", keys: tuple[str, ...] = ()) -> DataFrame:
+    return windowed.windowed_partials(windowed.replay(spark, d), "user_id", window, keys, delay, "ts", n=F.count(F.lit(1)), total=F.sum("value"))
+
+
+def _stream(spark: SparkSession, d: str, window, delay: str = "1 minute") -> DataFrame:
     """The partials of all windows that the end of the replayed table has closed; the last open ones do not appear."""
-    partials = windowed.windowed_partials(windowed.replay(spark, d), "user_id", window, keys, delay, "ts", n=F.count(F.lit(1)), total=F.sum("value"))
-    name = f"s_{uuid.uuid4().hex}"
-    return windowed.run_to_end(partials, name, tempfile.mkdtemp(prefix="ownerdp-stream-"))
+    return windowed.run_to_end(_partials(spark, d, window, delay).drop("w"), _folder(spark, "rows"), _folder(spark, "state"))
+
+
+def _periods(spark: SparkSession, d: str, window, period: str) -> DataFrame:
+    return windowed.run_to_end(windowed.by_period(_partials(spark, d, window), period), _folder(spark, "rows"), _folder(spark, "state"))
 
 
 def _closed(sql_windows: str, end: str) -> str:
@@ -297,8 +306,8 @@ def _windows_released(partials: DataFrame) -> DataFrame:
 
 @query("s_replay", "SELECT event_type, count(*) AS n FROM events GROUP BY ALL")
 def _(spark, d):
-    counted = windowed.replay(spark, d).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
-    return windowed.run_to_end(counted, f"s_{uuid.uuid4().hex}", tempfile.mkdtemp(prefix="ownerdp-stream-"), "complete")
+    rows = windowed.run_to_end(windowed.replay(spark, d).select("event_type"), _folder(spark, "rows"), _folder(spark, "state"))
+    return rows.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query("s_tumbling", _closed("SELECT *, time_bucket(INTERVAL 6 HOUR, ts) AS w_start FROM events", "w_start + INTERVAL 6 HOUR"))
@@ -311,30 +320,43 @@ def _(spark, d):
     return windowed.clock_times(_windows_released(_stream(spark, d, windowed.sliding("ts", "12 hours", "6 hours"))), "w_start")
 
 
-@query("s_session")
+@query("s_session", """WITH e AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events),
+s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING) AS s FROM e),
+g AS (SELECT count(*) AS n, max(ts) + INTERVAL 30 MINUTE AS e FROM s GROUP BY user_id, s)
+SELECT count(*) AS sessions, sum(n)::BIGINT AS n FROM g WHERE e <= (SELECT max(ts) - INTERVAL 1 MINUTE FROM events)""")
 def _(spark, d):
+    """Sessions of an owner end after half an hour without a row; those that the watermark has closed."""
     return _stream(spark, d, windowed.sessions("ts", "30 minutes")).groupBy().agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("n"))
 
 
-@query("s_late")
+_DAY_PARAMS = PrivacyParams(8.0, 1e-3, 5)
+_DAYS_SQL = "SELECT user_id AS o, time_bucket(INTERVAL 1 DAY, ts) AS w_start, count(*) AS n FROM events GROUP BY ALL HAVING time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events)"
+_LATE = Workload(lambda spark, d: None, _DAYS_SQL, ["w_start"], [Release("sum", "n", "n", 0.0, 5.0)], _DAY_PARAMS)
+
+
+@query("s_late", _LATE.oracle())
 def _(spark, d):
     """Windows of one day, private: each is released once, after the watermark, where enough owners share it."""
-    partials = _stream(spark, d, windowed.tumbling("ts", "1 day"), "10 minutes")
-    return rounded(windowed.release_windows(partials, [], [A.priv_sum("n", "n", 0.0, 5.0)], PrivacyParams(8.0, 1e-3, 5), TestNoise(SEED)))
+    rows = windowed.clock_times(_stream(spark, d, windowed.tumbling("ts", "1 day"), "10 minutes"), "w_start", "w_end")
+    return rounded(private_aggregate(OwnedFrame.of(rows, "o"), ["w_start"], [A.priv_sum("n", "n", 0.0, 5.0)], _DAY_PARAMS, TestNoise(SEED)).df)
 
 
-@query("s_quota", """SELECT o, count(*) AS windows FROM (SELECT DISTINCT user_id AS o, time_bucket(INTERVAL 6 HOUR, ts) AS w, date_trunc('day', ts) AS p FROM events WHERE time_bucket(INTERVAL 6 HOUR, ts) + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 1 MINUTE FROM events)
-QUALIFY dense_rank() OVER (PARTITION BY user_id, date_trunc('day', ts) ORDER BY time_bucket(INTERVAL 6 HOUR, ts)) <= 2) GROUP BY ALL""")
-def _(spark, d):
-    """At most two windows of an owner in each day; ``streaming_quota`` does the same across micro-batches."""
-    partials = _stream(spark, d, windowed.tumbling("ts", "6 hours"))
-    return _batch_quota(partials).groupBy("o").agg(F.count(F.lit(1)).alias("windows"))
+_WINDOWS_SQL = "SELECT DISTINCT user_id AS o, time_bucket(INTERVAL 6 HOUR, ts) AS w_start, date_trunc('day', ts) AS p, user_id || '|' || epoch(date_trunc('day', ts))::BIGINT AS account FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 MINUTE FROM events)"
 
 
-def _batch_quota(partials: DataFrame) -> DataFrame:
-    """The same function over a finished table: earlier windows first."""
-    from pyspark.sql import Window
+@query("s_quota", f"SELECT o, w_start, p AS period FROM ({_WINDOWS_SQL}) QUALIFY row_number() OVER (PARTITION BY account ORDER BY md5({sql_message('limit', ['account', 'w_start'])})) <= 2")
+def _(spark, d):
+    """The library's quota: at most two windows of an owner in each day, chosen uniformly once the day is closed."""
+    rows = _periods(spark, d, windowed.tumbling("ts", "6 hours"), "1 day")
+    return windowed.clock_times(windowed.quota(rows, 2, TestNoise(SEED)).select("o", "w_start", "period"), "w_start", "period")
+
 
-    period = F.window("w_start", "1 day")["start"]
-    rank = F.row_number().over(Window.partitionBy("o", "period").orderBy("w_start"))
-    return partials.withColumn("period", period).withColumn("rank", rank).filter("rank <= 2").drop("rank", "period")
+@query("s_release", f"""WITH k AS (SELECT * FROM ({_WINDOWS_SQL}) QUALIFY row_number() OVER (PARTITION BY account ORDER BY md5({sql_message('limit', ['account', 'w_start'])})) <= 2)
+SELECT w_start, count(*)::DOUBLE AS owners FROM k GROUP BY w_start""")
+def _(spark, d):
+    """The whole path, without noise: windows by period, the limit on each owner within the period, the release of each batch."""
+    path = _folder(spark, "released")
+    rows = windowed.by_period(_partials(spark, d, windowed.tumbling("ts", "6 hours")), "1 day")
+    free = PrivacyParams(1.0, 0.0, 2, suppress=False)
+    windowed.release_stream(rows, [], [A.priv_count_owners()], free, NoNoise(unsafe_for_tests=True, seed=SEED), path, _folder(spark, "state")).awaitTermination()
+    return windowed.clock_times(spark.read.schema("w_start timestamp, owners double").parquet(f"{path}/batch=*"), "w_start")

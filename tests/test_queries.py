@@ -1,7 +1,6 @@
 """Every query beside its SQL on the small tables, the baselines' behaviour, and streams."""
 
 import math
-import tempfile
 
 import duckdb
 import pytest
@@ -10,6 +9,7 @@ from tests.conftest import MEDIUM, SMALL
 
 from ownerdp.functions import aggregates as A
 from ownerdp.functions.noise import NoNoise, TestNoise
+from ownerdp.ledger import PrivacyLedger
 from ownerdp.operators import baselines
 from ownerdp.params import PrivacyParams
 from ownerdp.sources.tables import read_table
@@ -84,28 +84,35 @@ def test_rare_month_is_hidden(spark):
     assert "2001-08" not in months and len(months) > 60
 
 
-def test_stream_drops_late_rows_and_releases_windows_once(spark, tmp_path):
+def test_streams_release_periods_once_and_within_limits(spark, tmp_path):
     from datetime import datetime, timedelta
 
     start = datetime(2024, 1, 1)
-    rows = [(i, start + timedelta(minutes=10 * i), i % 3, 1.0) for i in range(60)]
+    rows = [(i, start + timedelta(minutes=20 * i), i % 3, 1.0) for i in range(240)]  # 80 hours, three owners in every hour
+    late = [(900, start, 1, 1.0), (901, start + timedelta(hours=100), 1, 1.0), (902, start + timedelta(hours=130), 1, 1.0)]
     source = tmp_path / "in" / "events.parquet"
-    for part, chunk in enumerate((rows[:30], rows[30:], [(99, start, 1, 1.0), (100, start + timedelta(hours=30), 1, 1.0)])):
+    for part, chunk in enumerate((rows[:90], rows[90:], late)):
         spark.createDataFrame(chunk, "event_id long, ts timestamp, user_id long, value double").coalesce(1).write.mode("append" if part else "overwrite").parquet(str(source))
-    stream = windowed.windowed_partials(windowed.replay(spark, str(tmp_path / "in")), "user_id", windowed.tumbling("ts", "1 hour"), [], "10 minutes", "ts", n=F.count(F.lit(1)))
-    out = windowed.run_to_end(stream, "late_test", tempfile.mkdtemp())
-    assert out.count() == out.dropDuplicates(["o", "w_start"]).count()
-    quota = windowed.quota(out, "1 day", 2, TestNoise(0))
-    assert quota.groupBy("o").count().agg(F.max("count")).first()[0] <= 2
-    windowed.streaming_quota(stream, "1 day", 2, str(tmp_path / "quota"), tempfile.mkdtemp()).awaitTermination()
-    kept = spark.read.parquet(str(tmp_path / "quota"))
-    assert kept.count() > 0
-    assert kept.groupBy("o", "period").count().agg(F.max("count")).first()[0] <= 2
-    charged = []
-    query = windowed.release_stream(stream, [], [A.priv_count_owners()], PrivacyParams(1.0, 0.0, 900, suppress=False), NoNoise(unsafe_for_tests=True), str(tmp_path / "out"), tempfile.mkdtemp(), charged.append)
-    query.awaitTermination()
-    released = spark.read.parquet(str(tmp_path / "out"))
-    assert charged and released.count() == released.select("w_start").distinct().count() == out.select("w_start").distinct().count()
+    partials = lambda: windowed.windowed_partials(windowed.replay(spark, str(tmp_path / "in")), "user_id", windowed.tumbling("ts", "1 hour"), [], "10 minutes", "ts", n=F.count(F.lit(1)))
+    out = windowed.run_to_end(partials().drop("w"), str(tmp_path / "rows"), str(tmp_path / "c1"))
+    assert out.count() == out.dropDuplicates(["o", "w_start"]).count() and out.agg(F.sum("n")).first()[0] == 241  # the late row is gone, the last one open
+    periods = windowed.run_to_end(windowed.by_period(partials(), "1 day"), str(tmp_path / "periods"), str(tmp_path / "c2"))
+    by_batch = spark.read.parquet(str(tmp_path / "periods"))  # with the number of the batch, which is the name of its folder
+    assert by_batch.groupBy("period").agg(F.countDistinct("batch").alias("batches")).agg(F.max("batches")).first()[0] == 1
+    assert [r["n"] for r in periods.groupBy("period").agg(F.sum("n").alias("n")).orderBy("period").collect()] == [72, 72, 72, 24, 1]
+    kept = windowed.quota(periods, 2, TestNoise(0))
+    assert kept.groupBy("o", "period").count().agg(F.max("count")).first()[0] == 2
+    hours = {r["w_start"].hour for r in kept.collect()}
+    assert len(hours) > 6  # chosen among all windows of the day, not the first ones
+    ledger = PrivacyLedger(spark, str(tmp_path / "ledger"))
+    free = PrivacyParams(0.25, 0.0, 2, suppress=False)
+    noise = NoNoise(unsafe_for_tests=True)
+    for again in range(2):  # started anew over the same folders, nothing is charged or released twice
+        windowed.release_stream(windowed.by_period(partials(), "1 day"), [], [A.priv_count_owners()], free, noise, str(tmp_path / "out"), str(tmp_path / "c3"), ledger, "events").awaitTermination()
+        released = spark.read.parquet(str(tmp_path / "out"))
+        assert ledger.spent("events", "o") == (5 * 0.25, 0.0)
+        total = released.agg(F.sum("owners")).first()[0]
+        assert total == kept.count() if again == 0 else released.count() == released.select("w_start").distinct().count()
 
 
 def test_engines_compare_as_their_formulas_say(spark):
