@@ -79,7 +79,7 @@ def _by_joins(df: DataFrame, sensitivity: float, exact: float, delta: float) ->
 JOIN_DELTA = 1e-6
 
 _Q1_COUNTS = "SELECT count(*) AS n, max(c) AS most, count(DISTINCT o) AS owners FROM (SELECT l_suppkey AS o, count(*) OVER (PARTITION BY l_suppkey) AS c FROM lineitem WHERE l_returnflag = 'A' AND l_linestatus = 'F' AND l_suppkey IS NOT NULL)"
-_SMOOTH = f"(SELECT max(exp(-{EPS / (2 * np.log(2 / JOIN_DELTA))!r} * k) * (%s + k)) FROM range(0, {int(np.ceil(2 * np.log(2 / JOIN_DELTA) / EPS)) + 1}) AS t(k))"
+_SMOOTH = f"(SELECT max(exp(-{float(EPS / (2 * np.log(2 / JOIN_DELTA)))!r} * k) * (%s + k)) FROM range(0, {int(np.ceil(2 * np.log(2 / JOIN_DELTA) / EPS)) + 1}) AS t(k))"
 
 
 @query("q1_predicted", f"""WITH c AS ({_Q1_COUNTS}) SELECT engine, "limit", round(predicted, 6) AS predicted FROM (
