@@ -128,12 +128,13 @@ class Codec:
         except KeyError:
             pass
         young, old = cache.young, cache.old
-        for piece in set(pieces).difference(young):
+        missing = set(pieces).difference(young)
+        for piece in missing:
             if (ids := old.get(piece)) is None:
                 ids = np.array(self.encode_piece(piece.encode()), "<u4").tobytes()
             young[piece] = ids
         out = b"".join(map(young.__getitem__, pieces))
-        cache.make_room()
+        cache.make_room(missing)
         return out
 
     def decode(self, packed: bytes) -> bytes:

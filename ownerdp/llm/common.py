@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 import zipfile
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from pathlib import Path
 
 import pyarrow as pa
@@ -23,10 +24,12 @@ WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see: ``spark.checkpoint.dir``, or where it is unset a new local one."""
+    """The folder that the driver and all executors see: ``spark.checkpoint.dir``. Where it is unset, a new local one, if all runs in one process."""
     set_by_cluster = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if set_by_cluster:
         return set_by_cluster.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     app = spark.sparkContext.applicationId
     if app not in _OWN_DIR:
         _OWN_DIR[app] = "file://" + tempfile.mkdtemp(prefix="ownerdp-")
@@ -58,6 +61,14 @@ def small_side(df: DataFrame, label: str) -> DataFrame:
     return F.broadcast(out) if out.count() <= MOST_BROADCAST_ROWS else out
 
 
+def free_names(df: DataFrame, *names: str) -> list[str]:
+    """These names, each behind as many underscores as no column of ``df`` needs to begin with."""
+    lead = "__"
+    while any(c.lower().startswith(lead) for c in df.columns):
+        lead += "_"
+    return [lead + n for n in names]
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -87,12 +98,18 @@ def per_worker(kind: str, key: str, make: Callable[[], object]):
 
 
 class BoundedCache:
-    """A mapping of at most ``2 * limit`` entries: two generations, of which the older one is dropped when the newer is full."""
+    """A mapping of at most ``2 * limit`` entries with keys of at most LONGEST: two generations, of which the older one is dropped when the newer is full."""
+
+    LONGEST = 256
 
     def __init__(self, limit: int):
         self.limit, self.young, self.old = limit, {}, {}
 
-    def make_room(self) -> None:
+    def make_room(self, added: Iterable = ()) -> None:
+        """To be called once what was added has been used; long keys among it go at once."""
+        for key in added:
+            if len(key) > self.LONGEST:
+                del self.young[key]
         if len(self.young) >= self.limit:
             self.old, self.young = self.young, {}
 

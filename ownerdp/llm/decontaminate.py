@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ownerdp.llm.common import small_side
+from ownerdp.llm.common import free_names, small_side
 
 WINDOW = 13
 SUBSTITUTIONS = 2
@@ -88,6 +88,11 @@ def contamination_report(docs: DataFrame, benchmark: DataFrame, **names: str) ->
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", **names: str) -> DataFrame:
-    """``docs`` without the documents that hold a passage of an item, all columns kept."""
-    bad = small_side(contaminations(docs, benchmark, doc_id=doc_id, **names).select(F.col("doc_id").alias("__bad_id")).distinct(), "contaminated")
-    return docs.join(bad, F.col(doc_id).eqNullSafe(F.col("__bad_id")), "left_anti")
+    """``docs`` without the documents that hold a passage of an item, all columns kept, of any names.
+
+    Documents are told by their id: rows that share one, null included, go or stay together, and repeated rows stay repeated. Null, empty
+    and short texts hold no passage. Without documents or without items nothing goes.
+    """
+    (bad_id,) = free_names(docs, "bad_id")
+    bad = small_side(contaminations(docs, benchmark, doc_id=doc_id, **names).select(F.col("doc_id").alias(bad_id)).distinct(), "contaminated")
+    return docs.join(bad, F.col(doc_id).eqNullSafe(F.col(bad_id)), "left_anti")

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ownerdp.llm.bloom import broadcast_bits, contains, possibly_repeated
-from ownerdp.llm.common import map_batches, materialise, small_side
+from ownerdp.llm.common import free_names, map_batches, materialise, small_side
 
 #: Groups of more than this share of the suspected rows are joined by broadcast: at most HOT_GROUPS rows.
 HOT_GROUPS = 1000
@@ -67,16 +67,20 @@ def exact_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id"
 
 
 def drop_exact_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """``docs`` without the dropped rows, all columns kept. Rows that repeat a doc_id and a text stay once."""
-    same = exact_duplicates(docs, text, doc_id).filter("group_size > 1").groupBy(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__same"))
-    pairs = materialise(same.agg(F.max("kept").alias("stays"), F.count(F.lit(1)).alias("n")), "exact-pairs")
-    gone = small_side(pairs.filter("not stays").select("__id", "__same"), "exact-gone")
-    keyed = docs.withColumn("__sha", F.sha2(F.coalesce(F.col(text), F.lit("")), 256))
-    out = keyed.join(gone, keyed[doc_id].eqNullSafe(gone["__id"]) & (keyed["__sha"] == gone["__same"]), "left_anti")
-    twins = pairs.filter("stays and n > 1").select("__id", "__same")
+    """``docs`` without the dropped rows, all columns kept. Rows that repeat a doc_id and a text stay once.
+
+    Null texts count as empty, a null doc_id ranks below all others; columns may have any names. An empty table stays empty.
+    """
+    sha, own, same = free_names(docs, "sha", "id", "same")
+    repeated = exact_duplicates(docs, text, doc_id).filter("group_size > 1").groupBy(F.col("doc_id").alias(own), F.col("text_sha256").alias(same))
+    pairs = materialise(repeated.agg(F.max("kept").alias("stays"), F.count(F.lit(1)).alias("n")), "exact-pairs")
+    gone = small_side(pairs.filter("not stays").select(own, same), "exact-gone")
+    keyed = docs.withColumn(sha, F.sha2(F.coalesce(F.col(text), F.lit("")), 256))
+    out = keyed.join(gone, F.col(doc_id).eqNullSafe(F.col(own)) & (F.col(sha) == F.col(same)), "left_anti")
+    twins = pairs.filter("stays and n > 1").select(own, same)
     if twins.isEmpty():
-        return out.drop("__sha")
+        return out.drop(sha)
     # rows that repeat both the doc_id and the text of one that stays: a single one of them is left
     twins = small_side(twins, "exact-twins")
-    on = out[doc_id].eqNullSafe(twins["__id"]) & (out["__sha"] == twins["__same"])
-    return out.join(twins, on, "left_anti").unionByName(out.join(twins, on, "left_semi").dropDuplicates([doc_id, "__sha"])).drop("__sha")
+    on = F.col(doc_id).eqNullSafe(F.col(own)) & (F.col(sha) == F.col(same))
+    return out.join(twins, on, "left_anti").unionByName(out.join(twins, on, "left_semi").dropDuplicates([doc_id, sha])).drop(sha)

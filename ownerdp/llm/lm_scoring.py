@@ -18,8 +18,8 @@ from ownerdp.llm.packing import _fast_encoder
 
 #: Hash buckets of the neighbouring subword or symbol, for what one tends to follow and to precede.
 BUCKETS = 8
-#: Distinct words that a worker keeps, encoded and counted, before it hands their counts on and forgets them.
-WORDS_KEPT = 400_000
+#: Distinct words, and their bytes, that a worker keeps, encoded and counted, before it hands their counts on and forgets them.
+WORDS_KEPT, BYTES_KEPT = 400_000, 32 << 20
 #: Counts of the most frequent words, at most so many, are sent to the executors; those of the others are looked up by a join.
 MOST_HEAD_WORDS = 1 << 19
 #: Learning rates of the two rounds: the first is over the documents of one hash in WARM_UP, the second over all others.
@@ -49,11 +49,12 @@ class SubwordCodec:
         self.forget()
 
     def forget(self) -> None:
-        self.places = _Places(self._add)
+        self.places, self.held = _Places(self._add), 0
         self.begin, self.length, self.ids, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16), 0
 
     def _add(self, word: bytes) -> int:
         ids, place = self.encode(" " + word.decode()), len(self.places)
+        self.held += len(word)
         if place == len(self.begin):
             self.begin, self.length = (np.append(x, np.zeros_like(x)) for x in (self.begin, self.length))
         if self.used + len(ids) > len(self.ids):
@@ -63,6 +64,10 @@ class SubwordCodec:
         self.used += len(ids)
         return place
 
+    @property
+    def full(self) -> bool:
+        return len(self.places) > WORDS_KEPT or self.held > BYTES_KEPT
+
     def find(self, words: Iterable[bytes], n: int) -> np.ndarray:
         """The places of n words."""
         return np.fromiter(map(self.places.__getitem__, words), np.int64, n)
@@ -127,7 +132,7 @@ def encode_documents(rows: DataFrame, sent) -> tuple[DataFrame, DataFrame]:
 
         for batch in _slices(batches):
             id_type = batch.column(0).type
-            if len(codec.places) > WORDS_KEPT:
+            if codec.full:
                 yield from counted()
                 counts = np.zeros(0, np.int64)
                 codec.forget()
@@ -208,7 +213,7 @@ def spelling_tables(words: DataFrame, sent, of_id: np.ndarray, of_symbol: np.nda
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec, total = _codec(sent), np.zeros(spelling.table_size(n_ids), np.int32)
         for batch in _slices(batches, 50_000):
-            if len(codec.places) > WORDS_KEPT:
+            if codec.full:
                 codec.forget()
             ids, lengths = codec.subwords(codec.find(batch.column(0).to_pylist(), batch.num_rows))
             if len(lengths):

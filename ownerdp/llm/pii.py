@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left, insort
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -13,7 +15,8 @@ from ownerdp.llm.common import map_batches, texts_of
 
 #: The base kinds in their order and their patterns.
 KINDS = ("email", "ip", "card", "phone")
-IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+# runs of digits are never given back: a match that fails behind a run fails from any place inside it, so each is read once
+IP = re.compile(r"(?<![0-9])[0-9]++(\.[0-9]++)(\.[0-9]++)(\.[0-9]++)")
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 EMAIL_REST = re.compile(r"@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
@@ -109,11 +112,13 @@ def find(text: str) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, st
     """The base spans, and all spans with their scores: those of the base whatever their score, others from ACCEPT on if they overlap none."""
     base = base_spans(text)
     spans = [(s, e, k, scored(text, s, e, k)) for s, e, k in base]
-    taken = [(s, e) for s, e, _ in base]
+    starts, reached, added = [s for s, _, _ in base], list(accumulate((e for _, e, _ in base), max)), []
     for s, e, k in proposals(text):
-        if all(e <= a or b <= s for a, b in taken) and (x := scored(text, s, e, k)) >= ACCEPT:
+        ahead, at = bisect_left(starts, e), bisect_left(added, (e,))  # of the base spans, and of those added, that begin before this one ends
+        free = not (ahead and reached[ahead - 1] > s) and not (at and added[at - 1][1] > s)
+        if free and (x := scored(text, s, e, k)) >= ACCEPT:
             spans.append((s, e, k, x))
-            taken.append((s, e))
+            insort(added, (s, e))
     order = KINDS + MORE_KINDS
     return base, sorted(spans, key=lambda x: (x[0], order.index(x[2])))
 

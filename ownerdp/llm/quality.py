@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ownerdp.llm.common import map_batches, texts_of
+from ownerdp.llm.common import free_names, map_batches, texts_of
 
 #: Labelled rows that the fit reads at most, taken in the order of a hash of the id.
 MOST_LABELLED = 20_000
@@ -180,9 +180,12 @@ def score_documents(docs: DataFrame, model: RuleModel, text: str = "text", doc_i
 
 
 def keep_good(docs: DataFrame, model: RuleModel, text: str = "text", accept: float = 0.7) -> DataFrame:
-    """The rows of ``docs`` that the model accepts, all columns kept, in one pass without a join."""
+    """The rows of ``docs`` that the model accepts, all columns kept, of any names, in one pass without a join.
+
+    Each row is judged by its text alone, so repeated rows go or stay together; null texts are judged as empty. An empty table stays empty.
+    """
     kept, fields = docs.columns, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    mangled = [f"__{s}" for s in STATISTICS]
+    mangled = free_names(docs, *STATISTICS)
     at = kept.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -191,4 +194,4 @@ def keep_good(docs: DataFrame, model: RuleModel, text: str = "text", accept: flo
             yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(v) for v in values.T)], names=[*kept, *mangled])
 
     seen = map_batches(docs, run, fields + "".join(f", {m} double" for m in mangled))
-    return seen.filter(model.column("__") >= accept).select(*(F.col(f"`{c}`") for c in kept))
+    return seen.filter(model.column(mangled[0].removesuffix(STATISTICS[0])) >= accept).select(*(F.col(f"`{c}`") for c in kept))

@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ownerdp.llm.common import column_values, map_batches, materialise, small_side, texts_of
+from ownerdp.llm.common import column_values, free_names, map_batches, materialise, small_side, texts_of
 from ownerdp.llm.components import connected_components
 
 SEED = 42
@@ -354,6 +354,11 @@ def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, t
 
 
 def drop_near_duplicates(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """``docs`` with one document of each group of near copies, all columns kept."""
-    gone = small_side(similar_groups(docs, shingle, similarity, text, doc_id).filter(~F.col("keep")).select(F.col("row").alias("__row")).distinct(), "near-gone")
-    return docs.withColumn("__own", F.xxhash64(F.col(doc_id), F.col(text))).join(gone, F.col("__own") == F.col("__row"), "left_anti").drop("__own")
+    """``docs`` with one document of each group of near copies, the one of the smallest doc_id, all columns kept, of any names.
+
+    Rows are told by their id and text: those that repeat both are one row here and stay or go together. Null and empty texts have no near copies
+    and stay; a null id is smaller than any other. An empty table stays empty.
+    """
+    own, row = free_names(docs, "own", "row")
+    gone = small_side(similar_groups(docs, shingle, similarity, text, doc_id).filter(~F.col("keep")).select(F.col("row").alias(row)).distinct(), "near-gone")
+    return docs.withColumn(own, F.xxhash64(F.col(doc_id), F.col(text))).join(gone, F.col(own) == F.col(row), "left_anti").drop(own)

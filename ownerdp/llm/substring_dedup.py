@@ -40,10 +40,11 @@ def _codes(words: list[bytes]) -> np.ndarray:
     try:
         return np.array(list(map(young.__getitem__, words)), np.uint64)
     except KeyError:
-        for w in set(words).difference(young):
+        missing = set(words).difference(young)
+        for w in missing:
             young[w] = old.get(w) or xxhash.xxh64_intdigest(w)
         out = np.array(list(map(young.__getitem__, words)), np.uint64)
-        cache.make_room()
+        cache.make_room(missing)
         return out
 
 
