@@ -182,8 +182,11 @@ def score_documents(docs: DataFrame, model: RuleModel, text: str = "text", doc_i
 def keep_good(docs: DataFrame, model: RuleModel, text: str = "text", accept: float = 0.7) -> DataFrame:
     """The rows of ``docs`` that the model accepts, all columns kept, of any names, in one pass without a join.
 
-    Each row is judged by its text alone, so repeated rows go or stay together; null texts are judged as empty. An empty table stays empty.
+    Each row is judged by its text alone, so repeated rows go or stay together; null texts are judged as empty. A model without rules, as where
+    nothing was labelled, tells no text from another: all stay. An empty table stays empty.
     """
+    if not model.rules:
+        return docs
     kept, fields = docs.columns, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
     mangled = free_names(docs, *STATISTICS)
     at = kept.index(text)

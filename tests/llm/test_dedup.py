@@ -264,3 +264,26 @@ def test_queries_against_brute_force(spark):
     want = {r["doc_id"]: f"{plain_fingerprint(r['text'], 3):016x}" for r in docs[:120]}
     got = {r["doc_id"]: r["fingerprint"] for r in QUERIES["op3_simhash"](spark, MEDIUM).collect()}
     assert len(got) == len(docs) and all(got[d] == f for d, f in want.items())
+    out = QUERIES["op3_simhash"](spark, MEDIUM).collect()
+    ids, fps = np.array([r["doc_id"] for r in out]), np.array([int(r["fingerprint"], 16) for r in out], np.uint64)
+    a, b = np.nonzero(np.triu(np.bitwise_count(fps[:, None] ^ fps[None, :]) <= 2, 1))  # all pairs of the whole table
+    root = union_find([(int(i), int(i)) for i in ids] + [(int(ids[i]), int(ids[j])) for i, j in zip(a, b, strict=True)])
+    assert {r["doc_id"]: r["component_id"] for r in out} == root and len(a) > 20
+
+
+@pytest.mark.parametrize("folder", [SMALL, MEDIUM])
+def test_near_copies_of_the_given_tables_against_all_pairs(spark, folder):
+    """Recall is whole on the given tables: every pair of similarity 0.8 or more is in one group, and groups hold nothing else."""
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    rows = [(r["doc_id"], set(simhash.shingle_hashes(simhash.words_of(r["text"] or ""), 5).tolist())) for r in docs.collect()]
+    holders, shared = defaultdict(list), Counter()
+    for n, (_, s) in enumerate(rows):
+        for h in s:
+            holders[h].append(n)
+    for its in holders.values():
+        shared.update((a, b) for i, a in enumerate(its) for b in its[i + 1 :])
+    links = [(rows[a][0], rows[b][0]) for (a, b), n in shared.items() if n >= 0.8 * (len(rows[a][1]) + len(rows[b][1]) - n)]
+    root = union_find(links)
+    groups = simhash.similar_groups(docs).collect()
+    assert len(links) > 10 and {r["doc_id"] for r in groups} == set(root)
+    assert {r["doc_id"] for r in groups if r["keep"]} == set(root.values())

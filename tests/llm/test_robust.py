@@ -120,3 +120,17 @@ def test_workers_keep_no_long_words():
     assert words.full
     words.forget()
     assert not words.full and not words.places
+
+
+def test_without_labels_nothing_is_rejected(spark):
+    docs = clashing(spark, [(1, "a b c"), (2, None), (3, "")])
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    assert quality.keep_good(docs, quality.fit_quality(docs, labels)).count() == 3
+
+
+def test_pipeline_of_an_empty_table(spark, tmp_path):
+    import corpus_pipeline as p
+
+    for name in ("documents", "labels", "benchmark"):
+        spark.read.parquet(f"{SMALL}/{name}.parquet").limit(0).write.parquet(str(tmp_path / f"{name}.parquet"))
+    assert p.run(spark, str(tmp_path)).count() == 0
