@@ -12,7 +12,7 @@ from ownerdp.llm.queries import byte_vocabulary, split_pattern
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble rejects go; it learns from the labelled documents of its own input.
 
-    Each text is judged alone, null as empty, so repeated rows go or stay together. Without labelled documents the score is 0.5 and all go."""
+    Each text is judged alone, null as empty, so repeated rows go or stay together. Without labelled documents all stay."""
     return quality.keep_good(docs, quality.fit_quality(docs, table(spark, sf_dir, "labels")))
 
 
