@@ -317,45 +317,40 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer, speller, held = per_worker("lm-model", model.value[0], prepared)
-        known_count, entry = held.get, pa.list_(pa.struct([("key", pa.binary()), ("tf", pa.int64()), ("share", pa.float64()), ("tokens", pa.float64())]))
+        known_count = held.get
         for batch in _slices(batches):
             ids = _ids(batch, 3)
             documents = [[*words_of(t), b""] for t in texts_of(batch)]
             sizes = np.fromiter(map(len, documents), np.int64, len(documents))
             of = np.repeat(np.arange(len(documents)), sizes)
-            n = np.fromiter((c for its in documents for c in map(known_count, its, repeat(-1))), np.int64, int(sizes.sum()))
+            tokens_in_a_row = list(chain.from_iterable(documents))
+            n = np.fromiter(map(known_count, tokens_in_a_row, repeat(-1)), np.int64, len(tokens_in_a_row))
             flat = np.concatenate([x for i in ids for x in (i, [n_ids - 1])]).astype(np.int64)
             begin = np.flatnonzero(starts[flat])
             share, tokens = speller.parts(flat, np.diff(np.append(begin, len(flat))))
             known = n >= 0
             base = np.bincount(of[known], np.log10((n[known] + 0.5) / (total + 0.5 * (distinct + 1))), len(documents))
             form = np.bincount(of[known], spelling.log10_form(n[known], share[known], tokens[known]), len(documents))
-            tails: list[dict] = [{} for _ in documents]
-            listed = np.flatnonzero(~known)
-            first = np.cumsum(sizes) - sizes
-            for i, d in zip(listed.tolist(), of[listed].tolist(), strict=True):
-                word = documents[d][i - first[d]]
-                if word in tails[d]:
-                    tails[d][word][0] += 1
-                else:
-                    tails[d][word] = [1, share[i], tokens[i]]
+            rest = np.flatnonzero(~known)
+            entries = [pa.array([tokens_in_a_row[i] for i in rest.tolist()], pa.binary()), pa.array(share[rest]), pa.array(tokens[rest])]
+            tails = pa.ListArray.from_arrays(np.append(0, np.cumsum(np.bincount(of[rest], minlength=len(documents)))).astype(np.int32), pa.StructArray.from_arrays(entries, names=["key", "share", "tokens"]))
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column(0), batch.column(2), pa.array(sizes, pa.int64()), pa.array(np.bincount(of[known], minlength=len(documents)), pa.int64()), pa.array(base, pa.float64()),
                     pa.array(scorer.log10(ids) + form, pa.float64()),
-                    pa.array([len(i) for i in ids], pa.int64()), pa.array([[(k, *v) for k, v in t.items()] for t in tails], entry),
+                    pa.array([len(i) for i in ids], pa.int64()), tails,
                 ],
                 names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "n_subwords", "tail"],
             )
 
-    schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, base_score double, score double, n_subwords long, tail array<struct<key:binary,tf:long,share:double,tokens:double>>"
+    schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, base_score double, score double, n_subwords long, tail array<struct<key:binary,share:double,tokens:double>>"
     scored = materialise(map_batches(encoded, run, schema).withColumn("row", F.monotonically_increasing_id()), "lm-scored")
     rare = scored.select("row", F.inline("tail"))
     counted = words.filter(F.floor(F.log2("n") * 8) < least).select("key", "n")
     n = F.coalesce("n", F.lit(0))
     base = F.log10((n + 0.5) / F.lit(total + 0.5 * (distinct + 1)))
     form = F.when(F.col("tokens") > 0, F.log10((F.greatest(n - spelling.DISCOUNT, F.lit(0.0)) + F.col("share")) / F.col("tokens"))).otherwise(0.0)
-    of_row = (F.sum(F.when(n > 0, F.col("tf")).otherwise(0)).alias("more_known"), F.sum(F.col("tf") * base).alias("more_base"), F.sum(F.col("tf") * form).alias("more_score"))
+    of_row = (F.count(F.when(n > 0, 1)).alias("more_known"), F.sum(base).alias("more_base"), F.sum(form).alias("more_score"))
     looked_up = rare.join(counted, "key", "left").groupBy("row").agg(*of_row)
     with_tail = lambda name, more: (F.col(name) + F.coalesce(more, F.lit(0))).alias(name)
     return scored.drop("tail").join(looked_up, "row", "left").select(
