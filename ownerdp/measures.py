@@ -5,7 +5,6 @@ from __future__ import annotations
 import math
 from collections.abc import Callable, Sequence
 
-import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -77,34 +76,23 @@ def best_clamp(a: float, b: float, n: int, eps: float) -> float:
     return b - (b - a) / (eps * n)
 
 
-def simulated_clamp_error(draw: Callable[[np.random.Generator, tuple], np.ndarray], lower: float, uppers: Sequence[float], n: int, eps: float, runs: int = 2000, seed: int = 0) -> list[tuple[float, float, float]]:
-    """(upper, mean, median) of the absolute error of a clamped noisy mean for any distribution; n * runs numbers on the driver."""
-    rng = np.random.default_rng(seed)
-    values = draw(rng, (runs, n))
-    truth, out = draw(rng, (200_000,)).mean(), []
-    for u in uppers:
-        noise = rng.laplace(scale=(u - lower) / (eps * n), size=runs)
-        error = np.abs(np.clip(values, lower, u).mean(axis=1) + noise - truth)
-        out.append((u, float(error.mean()), float(np.median(error))))
+def clamp_bias_column(a: float, b: float, upper: Column) -> Column:
+    return F.when(upper < b, F.pow(F.lit(float(b)) - upper, F.lit(2.0)) / (2 * (b - a))).otherwise(0.0)
+
+
+def poisson_steps(mean: float, most: int) -> list[float]:
+    """How likely at most 0, 1, ... ``most`` events are: a uniform number lies above as many of them as a Poisson number is."""
+    out, p, total = [], math.exp(-mean), 0.0
+    for k in range(most + 1):
+        total += p
+        out.append(total)
+        p *= mean / (k + 1)
     return out
 
 
-def partition_counts_of(kind: str, owners: int, mean: float, rng: np.random.Generator) -> np.ndarray:
-    """Numbers of partitions of each owner, for sweeps of c_u."""
-    if kind == "constant":
-        return np.full(owners, int(mean))
-    if kind == "uniform":
-        return rng.integers(0, int(2 * mean) + 1, owners)
-    if kind == "normal":
-        return np.maximum(0, np.rint(rng.normal(mean, mean / 4, owners))).astype(int)
-    if kind == "poisson":
-        return rng.poisson(mean, owners)
-    if kind == "geometric":
-        return rng.geometric(1 / mean, owners)
-    if kind == "heavy":
-        x = rng.pareto(2.0, owners) + 1
-        return np.rint(x * mean / 2).astype(int)
-    raise ValueError(kind)
+def normal_steps(mean: float, deviation: float, most: int) -> list[float]:
+    """The same for a normal number that is rounded and not negative."""
+    return [0.5 * math.erfc((mean - k - 0.5) / deviation / math.sqrt(2)) for k in range(most + 1)]
 
 
 def interval_coverage(runs: DataFrame, lo: str, hi: str, exact: str = "exact") -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import uuid
 from collections.abc import Callable
 
@@ -21,7 +22,7 @@ from ownerdp.sources.catalog import OwnerCatalog, lineitem_by_customer
 from ownerdp.sources.tables import read_table, shared_dir
 from ownerdp.stochastic.databases import adjacent_pairs, halton_databases
 from ownerdp.workloads import tables as T
-from ownerdp.workloads.spec import PLACES, SEED, Release, Workload, rounded, sql_laplace, sql_message
+from ownerdp.workloads.spec import PLACES, SEED, Release, Workload, rounded, sql_laplace, sql_message, sql_uniform
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -78,8 +79,9 @@ _add("rare_month_one_partition", Workload(T.ORDERS[0], T.ORDERS[1], ["month"], [
 _add("flagship", Workload(T.ORDERS[0], T.ORDERS[1], ["priority"], [Release("count", "n", None, 0.0, 5.0), Release("sum", "total", "price", 0.0, 1e6)], PrivacyParams(6.0, 1e-5, 5)))
 
 # the experiments: count, average, with a wrong limit; with and without noise
-_Q1 = dict(source=T.LINES_BY_SUPPLIER[0], sql=T.LINES_BY_SUPPLIER[1], keys=["l_returnflag", "l_linestatus"])
-_ONE = PrivacyParams(0.1, 0.0, 6, suppress=False)
+_Q1 = dict(source=T.ONE_RECORD[0], sql=T.ONE_RECORD[1], keys=["l_returnflag", "l_linestatus"])
+_ONE = PrivacyParams(0.1, 0.0, 1, suppress=False)
+_SIX = PrivacyParams(0.1, 0.0, 6, suppress=False)
 for _suffix, _noisy in (("", True), ("_exact", False)):
     _add(f"q1_count{_suffix}", Workload(releases=[Release("count", "n", None, 0.0, 132.0)], params=_ONE, noisy=_noisy, **_Q1))
     _add(f"q1_avg{_suffix}", Workload(releases=[Release("avg", "price_mean", "price", 0.0, 105_000.0)], params=_ONE, noisy=_noisy, **_Q1))
@@ -273,8 +275,8 @@ def _bisect_sql(q: float) -> str:
 FROM (SELECT l_suppkey, l_returnflag, l_linestatus, quantile_cont(l_extendedprice, 0.5) AS v FROM lineitem GROUP BY ALL)) WHERE r = greatest(1, ceil({q} * n))"""
 
 
-def _bisected(make, params=_ONE, noise=None):
-    return lambda spark, d: rounded(private_aggregate(T.LINES_BY_SUPPLIER[0](spark, d), _FLAGS, [make("value")], params, noise or _exact()).df)
+def _bisected(make, params=_SIX, noise=None, source=T.LINES_BY_SUPPLIER):
+    return lambda spark, d: rounded(private_aggregate(source[0](spark, d), _FLAGS, [make("value")], params, noise or _exact()).df)
 
 
 query("median_bisect", _bisect_sql(0.5))(_bisected(lambda n: A.priv_median(n, "price", 0.0, 105_000.0)))
@@ -283,7 +285,7 @@ query("p_min", _bisect_sql(0.0))(_bisected(lambda n: A.priv_min(n, "price", 0.0,
 query("p_max", _bisect_sql(1.0))(_bisected(lambda n: A.priv_max(n, "price", 0.0, 105_000.0)))
 query("p_median")(_bisected(lambda n: A.priv_median(n, "price", 0.0, 105_000.0), PrivacyParams(60.0, 0.0, 6, suppress=False), TestNoise(SEED)))
 query("p_ntile")(_bisected(lambda n: A.priv_ntile(n, "price", 4, 0.0, 105_000.0)))
-query("q1_median")(_bisected(lambda n: A.priv_median(n, "price", 0.0, 105_000.0), _ONE, TestNoise(SEED)))
+query("q1_median")(_bisected(lambda n: A.priv_median(n, "price", 0.0, 105_000.0), _ONE, TestNoise(SEED), T.ONE_RECORD))
 
 # Sweeps and measures ------------------------------------------------------------------------------------------------------
 
@@ -295,15 +297,31 @@ def _(spark, d):
     return rounded(measures.partition_limit_error(read_table(spark, d, "orders").groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")), "n", _SWEEP))
 
 
-@query("limit_error_synthetic")
-def _(spark, d):
-    import numpy as np
+#: Distributions of an owner's partitions, about 100, from a uniform number u in (0, 1), as expressions that both engines read; ``steps(...)``: how many lie below u
+_SYNTHETIC = {
+    "constant": "100.0", "uniform": "floor(u * 201)", "normal": measures.normal_steps(100.0, 25.0, 200), "poisson": measures.poisson_steps(100.0, 200),
+    "geometric": f"ceil(ln(1 - u) / {math.log(0.99)!r})", "heavy": "floor(50 / sqrt(1 - u))",
+}
+_SYNTHETIC_LIMITS = (1, 25, 50, 75, 100, 125, 150, 200)
+
+
+def _synthetic_sql(name: str) -> str:
+    n = _SYNTHETIC[name] if isinstance(_SYNTHETIC[name], str) else f"len([c FOR c IN {_SYNTHETIC[name]!r}::DOUBLE[] IF c < u])"
+    return f"SELECT '{name}' AS distribution, ({n})::DOUBLE AS n FROM (SELECT {sql_uniform('synthetic', ['o'])} AS u FROM (SELECT range::VARCHAR AS o FROM range(1000)))"
 
-    rng, rows = np.random.default_rng(0), []
-    for kind in ("constant", "uniform", "normal", "poisson", "geometric", "heavy"):
-        n = measures.partition_counts_of(kind, 1000, 100, rng)
-        rows += [(kind, c, float(np.maximum(n - c, 0).sum() / n.sum())) for c in (1, 25, 50, 75, 100, 125, 150, 200)]
-    return rounded(spark.createDataFrame(rows, "distribution string, c_u int, lost_share double"))
+
+_SYNTHETIC_SQL = " UNION ALL ".join(map(_synthetic_sql, _SYNTHETIC))
+
+
+@query("limit_error_synthetic", f"SELECT distribution, c_u, {_r('sum(greatest(n - c_u, 0)) / sum(n)', 'lost_share')} FROM ({_SYNTHETIC_SQL}), unnest({list(_SYNTHETIC_LIMITS)!r}::INT[]) AS t(c_u) GROUP BY ALL")
+def _(spark, d):
+    """What limits on partitions lose for 1,000 owners whose numbers of partitions follow different distributions around 100."""
+    below = lambda steps: F.size(F.filter(F.array(*map(F.lit, steps)), lambda c: c < F.col("u")))
+    columns = {name: (F.expr(x) if isinstance(x, str) else below(x)).cast("double") for name, x in _SYNTHETIC.items()}
+    owners = spark.range(1000).select(F.col("id").cast("string").alias("o")).select(_noise().uniform("synthetic", [F.col("o")]).alias("u"))
+    counts = owners.select(F.inline(F.array(*(F.struct(F.lit(name).alias("distribution"), n.alias("n")) for name, n in columns.items()))))
+    limits = counts.select("distribution", "n", F.explode(F.array(*map(F.lit, _SYNTHETIC_LIMITS))).alias("c_u"))
+    return rounded(limits.groupBy("distribution", "c_u").agg((F.sum(F.greatest(F.col("n") - F.col("c_u"), F.lit(0.0))) / F.sum("n")).alias("lost_share")))
 
 
 _COUNTS_SQL = "SELECT n_orders, count(*) AS owners FROM (SELECT c_custkey, count(o_orderkey) AS n_orders FROM customer LEFT JOIN orders ON c_custkey = o_custkey GROUP BY ALL) GROUP BY ALL"
@@ -324,19 +342,40 @@ def _(spark, d):
     return rounded(counts.agg(F.array(*rates).alias("all")).select(F.inline("all")))
 
 
-@query("clamp_sweep")
+_BIAS, _SCALE = "CASE WHEN u < 150 THEN pow(150 - u, 2) / 200 ELSE 0 END", "(u + 200) / (eps * 100)"
+
+
+@query("clamp_sweep", f"""SELECT eps, u AS "upper", {_r(f'{_BIAS} + {_SCALE}', 'sum_error')}, {_r(f'{_BIAS} + {_SCALE} * exp(-({_BIAS}) / ({_SCALE}))', 'expected_error')}, {_r('150 - 100 / (eps * 100)', 'best_upper')}
+FROM unnest([0.05, 0.1, 0.5, 1.0]::DOUBLE[]) AS a(eps), (SELECT range::DOUBLE AS u FROM range(60, 151, 5))""")
 def _(spark, d):
-    rows = [(eps, float(u), measures.clamp_error(50, 150, -200, u, 100, eps), measures.clamp_error(50, 150, -200, u, 100, eps, "expected"), measures.best_clamp(50, 150, 100, eps)) for eps in (0.05, 0.1, 0.5, 1.0) for u in range(60, 151, 5)]
-    return rounded(spark.createDataFrame(rows, "eps double, upper double, sum_error double, expected_error double, best_upper double"))
+    """The error of a clamped noisy mean of 100 values uniform on [50, 150], lower limit -200, by the upper limit, in both forms."""
+    grid = spark.range(60, 151, 5).select(F.col("id").cast("double").alias("upper"), F.explode(F.array(*map(F.lit, (0.05, 0.1, 0.5, 1.0)))).alias("eps"))
+    upper, eps = F.col("upper"), F.col("eps")
+    bias, scale = measures.clamp_bias_column(50, 150, upper), (upper + 200) / (eps * 100)
+    return rounded(grid.select("eps", "upper", (bias + scale).alias("sum_error"), (bias + scale * F.exp(-bias / scale)).alias("expected_error"), (150 - 100 / (eps * 100)).alias("best_upper")))
+
+
+_CLAMP_RUNS, _CLAMP_VALUES, _CLAMP_EPS = 1000, 100, 0.1
+_CLAMP_UPPERS = (60.0, 80.0, 100.0, 109.0, 120.0, 140.0, 160.0)
 
 
 @query("clamp_sweep_distributions")
 def _(spark, d):
-    rows = []
-    draws = {"normal": lambda g, s: g.normal(100, 20, s), "beta": lambda g, s: 50 + 100 * g.beta(2, 5, s), "bimodal": lambda g, s: g.normal(75, 5, s) + 50 * (g.random(s) < 0.5)}
-    for name, draw in draws.items():
-        rows += [(name, u, mean, middle) for u, mean, middle in measures.simulated_clamp_error(draw, -200, [60.0, 80.0, 100.0, 120.0, 140.0, 160.0], 100, 0.1, 1000)]
-    return rounded(spark.createDataFrame(rows, "distribution string, upper double, mean_error double, median_error double"))
+    """Mean and median of the absolute error over runs, each of 100 values of several distributions, drawn and clamped by the engine.
+
+    For uniform values the median has its least where the expected absolute error has it, near 109, and not where bias and noise scale add up to the least.
+    """
+    noise, at = RunNoise(SEED), [F.col("run"), F.col("i")]
+    u, v = noise.uniform("value", at), noise.uniform("other", at)
+    gauss = F.sqrt(-2 * F.log(u)) * F.cos(v * 2 * math.pi)
+    drawn = {"uniform": (50 + 100 * u, 100.0), "normal": (100 + 20 * gauss, 100.0), "triangular": (150 - 100 * F.sqrt(1 - u), 50 + 100 / 3), "bimodal": (75 + 5 * gauss + 50 * (noise.uniform("side", at) < 0.5).cast("int"), 100.0)}
+    values = spark.range(_CLAMP_RUNS).select(F.col("id").alias("run"), F.explode(F.sequence(F.lit(1), F.lit(_CLAMP_VALUES))).alias("i"))
+    values = values.select("run", F.inline(F.array(*(F.struct(F.lit(n).alias("distribution"), x.alias("x"), F.lit(m).alias("truth")) for n, (x, m) in drawn.items()))))
+    uppers = [F.struct(F.lit(up).alias("upper"), F.avg(F.greatest(F.lit(-200.0), F.least(F.lit(up), F.col("x")))).alias("mean")) for up in _CLAMP_UPPERS]
+    means = values.groupBy("distribution", "truth", "run").agg(F.array(*uppers).alias("all")).select("distribution", "truth", "run", F.inline("all"))
+    noisy = F.col("mean") + noise.laplace((F.col("upper") + 200) / (_CLAMP_EPS * _CLAMP_VALUES), "noise", [F.col("run"), F.col("distribution"), F.col("upper")])
+    error = means.select("distribution", "upper", F.abs(noisy - F.col("truth")).alias("error"))
+    return rounded(error.groupBy("distribution", "upper").agg(F.avg("error").alias("mean_error"), F.percentile("error", F.lit(0.5)).alias("median_error")))
 
 
 @query("median_error_runs")

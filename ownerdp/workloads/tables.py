@@ -27,6 +27,8 @@ def plain(table: str, owner: str, columns: dict[str, str], where: str | None = N
 
 
 LINES_BY_SUPPLIER = plain("lineitem", "l_suppkey", {"l_returnflag": "l_returnflag", "l_linestatus": "l_linestatus", "price": "l_extendedprice"})
+#: One record of the first query, for which errors are published.
+ONE_RECORD = plain("lineitem", "l_suppkey", {"l_returnflag": "l_returnflag", "l_linestatus": "l_linestatus", "price": "l_extendedprice"}, "l_returnflag = 'A' AND l_linestatus = 'F'")
 ORDERS = plain("orders", "o_custkey", {"priority": "o_orderpriority", "status": "o_orderstatus", "price": "o_totalprice", "month": "substr(CAST(o_orderdate AS STRING), 1, 7)"})
 EVENTS = plain("events", "user_id", {"event_type": "event_type", "value": "value"})
 
@@ -71,7 +73,11 @@ SUPPLIED_PARTS: Source = (
 
 
 def _waiting(spark: SparkSession, folder: str) -> OwnedFrame:
-    """Late lines of finished orders on which no other supplier was late though others took part."""
+    """Late lines of finished orders on which no other supplier was late though others took part.
+
+    Whether a line counts depends on other suppliers, so by the ownership rules an analyst could not write this. As in the published experiment
+    it is a view of the data's keeper, kept for comparison: removing a supplier may make lines of others appear, which no limit bounds.
+    """
     orders = read_table(spark, folder, "orders").filter("o_orderstatus = 'F'").select("o_orderkey", "o_orderdate")
     lines = read_table(spark, folder, "lineitem").select("l_orderkey", "l_suppkey", "l_shipdate").join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
     late = F.col("l_shipdate") > F.col("o_orderdate") + F.expr("INTERVAL 90 DAYS")

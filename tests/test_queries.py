@@ -164,3 +164,26 @@ def test_only_mechanisms_with_defects_are_found(spark):
     found = {r["mechanism"]: (r["violated"], r["pairs"]) for r in QUERIES["tester_verdicts"](spark, SMALL).collect()}
     assert {n: v for n, (v, _) in found.items()} == {n: bad for n, (bad, *_) in TRIED.items()}
     assert all(pairs == 4 * TRIED[n][2] for n, (_, pairs) in found.items())
+
+
+def test_clamping_over_runs(spark):
+    """The simulated errors of uniform values are the closed forms', and the best upper limit lies inside the range."""
+    rows = {(r["distribution"], r["upper"]): (r["mean_error"], r["median_error"]) for r in QUERIES["clamp_sweep_distributions"](spark, SMALL).collect()}
+    for upper, mean in ((140.0, 34.1), (120.0, 32.1)):
+        assert rows["uniform", upper][0] == pytest.approx(mean, rel=0.12)
+    for distribution in ("uniform", "normal", "triangular", "bimodal"):
+        best = min((e[0], u) for (n, u), e in rows.items() if n == distribution)[1]
+        assert 60 < best < 160
+
+
+def test_shares_outside_limits(spark):
+    from ownerdp import measures
+
+    df = spark.createDataFrame([(x,) for x in (-1.0, 0.0, 5.0, 10.0, 11.0)], "x double")
+    assert measures.outside_fraction(df, "x", 0.0, 10.0).first()["outside"] == pytest.approx(0.4)
+
+
+def test_noisy_medians_are_near_the_exact_ones(spark):
+    exact = {(r["l_returnflag"], r["l_linestatus"]): r["value"] for r in QUERIES["median_bisect"](spark, MEDIUM).collect()}
+    noisy = {(r["l_returnflag"], r["l_linestatus"]): r["value"] for r in QUERIES["p_median"](spark, MEDIUM).collect()}
+    assert noisy.keys() == exact.keys() and all(noisy[k] == pytest.approx(exact[k], rel=0.15) for k in exact)
