@@ -22,12 +22,17 @@ def noise_runs(spark: SparkSession, exact: DataFrame, keys: Sequence[str], value
 MOST_EXACT_ROWS = 5000
 
 
+def _few(rows: DataFrame) -> list:
+    held = rows.limit(MOST_EXACT_ROWS + 1).collect()
+    if len(held) > MOST_EXACT_ROWS:
+        raise ValueError(f"this measure is for at most {MOST_EXACT_ROWS} groups")
+    return held
+
+
 def repeated(rows: DataFrame, n_runs: int) -> DataFrame:
     """Each of the few rows once for each number in ``run``. The rows are literals of the plan; the numbers are spread over the tasks."""
     spark = rows.sparkSession
-    held = rows.limit(MOST_EXACT_ROWS + 1).collect()
-    if len(held) > MOST_EXACT_ROWS:
-        raise ValueError(f"runs are made of at most {MOST_EXACT_ROWS} exact rows")
+    held = _few(rows)
     runs = spark.range(0, n_runs if held else 0, 1, max(8, spark.sparkContext.defaultParallelism)).select(F.col("id").alias("run"))
     blank = [dict.fromkeys(rows.columns)]
     each = [F.struct(*(F.lit(r[f.name]).cast(f.dataType).alias(f.name) for f in rows.schema)) for r in held or blank]
@@ -108,10 +113,10 @@ def outside_fraction(values: DataFrame, col: str, lo: float, hi: float) -> DataF
 
 def observed_sensitivity(df: DataFrame, owner: str, release: Callable[[DataFrame], DataFrame], keys: Sequence[str], values: Sequence[str], owners: Sequence) -> float:
     """The largest L1 change of a noise-free release when one of the named owners is removed; a run for each. For small tests."""
-    whole = {tuple(r[k] for k in keys): [r[v] for v in values] for r in release(df).collect()}
+    whole = {tuple(r[k] for k in keys): [r[v] for v in values] for r in _few(release(df))}
     worst = 0.0
     for o in owners:
-        part = {tuple(r[k] for k in keys): [r[v] for v in values] for r in release(df.filter(F.col(owner) != o)).collect()}
+        part = {tuple(r[k] for k in keys): [r[v] for v in values] for r in _few(release(df.filter(F.col(owner) != o)))}
         zero = [0.0] * len(values)
         worst = max(worst, sum(abs((x or 0) - (y or 0)) for k in whole.keys() | part.keys() for x, y in zip(whole.get(k, zero), part.get(k, zero), strict=True)))
     return worst

@@ -2,7 +2,8 @@
 
     SELECT key, ..., priv_sum(value, 0, 10) AS total FROM relation [WHERE ...] [GROUP BY key, ...] [WITH PRIVACY (eps 1, delta 1e-6, partitions 3)]
 
-The relation may be any SQL that keeps each row with one owner, subqueries in parentheses included; it is analysed by Spark
+A key is a column, or an expression with a name, by which, by whose text or by whose place it is grouped. The clause may also ask for
+``intervals 0.95``, ``leftovers`` and ``rounded``. The relation may be any SQL that keeps each row with one owner, subqueries in parentheses included; it is analysed by Spark
 and checked operator by operator.
 """
 
@@ -10,7 +11,7 @@ from __future__ import annotations
 
 import re
 
-from pyspark.sql import SparkSession
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 from ownerdp.functions import aggregates as A
@@ -22,6 +23,8 @@ from ownerdp.result import PrivateResult
 
 _CLAUSE = re.compile(r"\bWITH\s+PRIVACY\s*\(([^()]*)\)\s*;?\s*$", re.I)
 _CALL = re.compile(r"^\s*(priv_\w+)\s*\((.*)\)\s+AS\s+`?(\w+)`?\s*$", re.I | re.S)
+_OPTIONS = {"intervals": float, "leftovers": lambda _: True, "rounded": lambda _: True}
+_NAMED = re.compile(r"^(.*\S)\s+AS\s+`?(\w+)`?$", re.I | re.S)
 _SETTINGS = {"eps": "eps", "epsilon": "eps", "delta": "delta", "partitions": "c_u", "threshold": "tau"}
 
 
@@ -77,14 +80,24 @@ def _call(name: str, function: str, arguments: list[str]) -> A.Agg:
     raise OwnershipError(f"{function} is no private function")
 
 
-def parse_private(text: str) -> tuple[list[str], list[A.Agg], str, dict]:
+def _clause(text: str) -> dict:
+    settings = {}
+    for part in _split(text):
+        key, *value = part.replace("=", " ").lower().split()
+        if key in _OPTIONS and len(value) <= 1:
+            settings[key] = _OPTIONS[key](*(value or [None]))
+        elif key in _SETTINGS and len(value) == 1:
+            settings[_SETTINGS[key]] = int(value[0]) if key == "partitions" else float(value[0])
+        else:
+            raise OwnershipError(f"{part} is no setting of privacy")
+    return settings
+
+
+def parse_private(text: str) -> tuple[list[str | Column], list[A.Agg], str, dict]:
     """(keys, aggregates, SQL of the relation, settings)."""
     settings = {}
     if m := _CLAUSE.search(text):
-        for part in _split(m[1]):
-            key, value = part.replace("=", " ").split()
-            settings[_SETTINGS[key.lower()]] = int(value) if key.lower() == "partitions" else float(value)
-        text = text[: m.start()]
+        settings, text = _clause(m[1]), text[: m.start()]
     text = text.strip().rstrip(";")
     m = re.match(r"SELECT\s+", text, re.I)
     start, by = _outside(text, "FROM"), _outside(text, r"GROUP\s+BY")
@@ -95,14 +108,20 @@ def parse_private(text: str) -> tuple[list[str], list[A.Agg], str, dict]:
             raise OwnershipError("sort, filter and combine the result, not the private query")
     relation = text[start : by if by >= 0 else len(text)].strip()
     keys = _split(re.sub(r"^GROUP\s+BY\s+", "", text[by:], flags=re.I)) if by >= 0 else []
-    aggs, plain = [], []
-    for item in _split(text[m.end() : start]):
+    aggs, plain, grouped = [], [], set()
+    for place, item in enumerate(_split(text[m.end() : start]), 1):
         if call := _CALL.match(item):
             aggs.append(_call(call[3], call[1], _split(call[2])))
-        else:
-            plain.append(item.strip("`"))
-    if sorted(plain) != sorted(k.strip("`") for k in keys):
-        raise OwnershipError("each plain column must be grouped by, and each key selected")
+            continue
+        named = _NAMED.match(item)
+        names = {str(place), item.strip("`")} if named is None else {str(place), named[1], named[2]}
+        used = {k for k in keys if k.strip("`") in names}
+        if len(used) != 1:
+            raise OwnershipError(f"group by {item}, once")
+        grouped |= used
+        plain.append(item.strip("`") if named is None else F.expr(named[1]).alias(named[2]))
+    if grouped != set(keys):
+        raise OwnershipError("each key must be selected")
     return plain, aggs, f"SELECT * {relation}", settings
 
 
@@ -111,6 +130,7 @@ def private_sql(spark: SparkSession, text: str, params: PrivacyParams | None = N
     keys, aggs, relation, settings = parse_private(text)
     if params is None and "eps" not in settings:
         raise ValueError("no privacy parameters")
+    options = {k: settings.pop(k) for k in _OPTIONS if k in settings} | options
     params = params.with_(**settings) if params is not None else PrivacyParams(**settings)
     df = spark.sql(relation)
     validate_ownership(df)

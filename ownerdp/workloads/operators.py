@@ -275,6 +275,14 @@ def _(spark, d):
     return private_sql(spark, text, noise=NoNoise(unsafe_for_tests=True, seed=SEED)).df
 
 
+@query("sql_keys", "SELECT year(o_orderdate) AS y, o_orderpriority, count(DISTINCT o_custkey)::DOUBLE AS owners FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_acctbal > 0) GROUP BY ALL")
+def _(spark, d):
+    """Keys that are expressions, and a subquery that asks about rows of the same owner."""
+    OwnerCatalog.of_folder(spark, d, ["orders", "customer"]).create_views("dp_")
+    text = "SELECT year(o_orderdate) AS y, o_orderpriority, priv_count_owners() AS owners FROM dp_orders WHERE o_custkey IN (SELECT c_custkey FROM dp_customer WHERE c_acctbal > 0) GROUP BY 1, o_orderpriority WITH PRIVACY (eps 1, partitions 900, threshold -1e9)"
+    return private_sql(spark, text, noise=NoNoise(unsafe_for_tests=True, seed=SEED)).df
+
+
 # Streams -----------------------------------------------------------------------------------------------------------------------
 
 

@@ -188,6 +188,13 @@ def test_sql_text(spark, catalog):
     text = "SELECT segment, priv_sum(v, 0, 10) AS s FROM (SELECT c_custkey, c_mktsegment AS segment, 1 AS v FROM own_customer JOIN own_orders ON c_custkey = o_custkey) GROUP BY segment WITH PRIVACY (eps 1, threshold -1)"
     result = private_sql(spark, text, noise=NoNoise(unsafe_for_tests=True))
     assert result.df.count() == 5
+    by_expression = "SELECT year(o_orderdate) AS y, priv_count_owners() AS n FROM own_orders GROUP BY {} WITH PRIVACY (eps 1, partitions 9, threshold -1e9, intervals 0.9)"
+    for by in ("y", "1", "year(o_orderdate)"):
+        assert private_sql(spark, by_expression.format(by), noise=NoNoise(unsafe_for_tests=True)).df.columns == ["y", "n", "n_lo", "n_hi"]
+    assert "is_leftover" in private_sql(spark, "SELECT o_orderstatus, priv_count_owners() AS n FROM own_orders GROUP BY o_orderstatus WITH PRIVACY (eps 1, delta 1e-5, leftovers)", noise=TestNoise(1)).df.columns
+    for wrong in ("GROUP BY o_custkey WITH PRIVACY (eps 1)", "GROUP BY 2 WITH PRIVACY (eps 1)", "GROUP BY y WITH PRIVACY (eps 1, budget 3)", "GROUP BY y, o_orderstatus WITH PRIVACY (eps 1)"):
+        with pytest.raises(OwnershipError):
+            private_sql(spark, f"SELECT year(o_orderdate) AS y, priv_count_owners() AS n FROM own_orders {wrong}")
     for bad in ("SELECT a, priv_count_owners() AS n FROM own_orders", "SELECT priv_count_owners() AS n FROM own_orders LIMIT 3", "SELECT priv_nothing(x) AS n FROM own_orders"):
         with pytest.raises(OwnershipError):
             private_sql(spark, bad + (" WITH PRIVACY (eps 1)" if "LIMIT" not in bad else ""))
