@@ -18,7 +18,8 @@ WINDOW, STRIDE = 32, 24
 #: Symbols that are a class of their own, the most frequent ones, and clusters of the others.
 SINGLE, CLUSTERS = 64, 64
 CLASSES = SINGLE + CLUSTERS
-FAR = np.float32(-1e9)
+#: Logits are held within these limits, so that neither an exponential nor a sum of them overflows or vanishes.
+LOGIT = 60
 
 
 @dataclass
@@ -106,6 +107,17 @@ def initial(vocabulary: Vocabulary, seed: int = 11) -> dict[str, np.ndarray]:
 _BACK = np.arange(WINDOW)[:, None] - np.arange(WINDOW)[None, :]
 
 
+def _weights_by_distance(distance: np.ndarray, back: np.ndarray) -> np.ndarray:
+    """What a key's weight is multiplied by; nothing is left of keys behind the asking position."""
+    return np.where(back < 0, 0, np.exp(np.clip(distance, -LOGIT / 2, LOGIT / 2))[np.clip(back, 0, WINDOW - 1)]).astype(distance.dtype)
+
+
+def _exp(x: np.ndarray) -> np.ndarray:
+    """In place."""
+    np.clip(x, -LOGIT, LOGIT, out=x)
+    return np.exp(x, out=x)
+
+
 def _asked(asked: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Where tokens begin behind the positions of each window: (slots, windows, places). Only there does the layer predict, so only those positions
     ask: slots holds them for each window, as many as the fullest one has, and (windows, places) tell which slots are real."""
@@ -136,13 +148,6 @@ def training_windows(documents: list[np.ndarray], vocabulary: Vocabulary) -> tup
     return np.concatenate(inputs), np.concatenate(goals)
 
 
-def _softmax(x: np.ndarray) -> None:
-    """In place, over the last axis."""
-    x -= x.max(axis=-1, keepdims=True)
-    np.exp(x, out=x)
-    x /= x.sum(axis=-1, keepdims=True)
-
-
 def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
     """Mean loss in nats over the goals and its gradient. x: (windows, WINDOW, DIM) embeddings; goal: classes, -1 for none."""
     scale = x.dtype.type(1 / np.sqrt(DIM))
@@ -150,9 +155,9 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray)
     goal = goal[windows, slots[windows, places]]
     asking = x[np.arange(len(x))[:, None], slots]
     q, k, v = asking @ (w["query"] * scale), x @ w["key"], x @ w["value"]
-    p = q @ k.transpose(0, 2, 1)
-    p += np.where(_BACK < 0, FAR, w["distance"][np.maximum(_BACK, 0)]).astype(x.dtype)[slots]
-    _softmax(p)
+    p = _exp(q @ k.transpose(0, 2, 1))
+    p *= _weights_by_distance(w["distance"], _BACK)[slots]
+    p /= p.sum(axis=-1, keepdims=True)
     a = p @ v
     own, mixed = asking[windows, places], a[windows, places]
     m, rows = max(1, len(goal)), np.arange(len(goal))
@@ -160,7 +165,8 @@ def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray)
     h = np.maximum(u, 0)
     z = h @ w["out"]
     z += w["out_bias"]
-    _softmax(z)
+    _exp(z)
+    z /= z.sum(axis=-1, keepdims=True)
     loss = -float(np.log(z[rows, goal] + 1e-30).sum()) / m
     z[rows, goal] -= 1
     z /= m
@@ -221,7 +227,7 @@ class Scorer:
         self.own = e @ w["own"] + w["hidden_bias"]
         self.out, self.out_bias = w["out"], w["out_bias"]
         back = np.arange(STRIDE)[:, None] + (WINDOW - STRIDE) - np.arange(WINDOW)[None, :]
-        self.bias = np.where(back < 0, FAR, w["distance"][np.clip(back, 0, WINDOW - 1)]).astype(np.float32)
+        self.by_distance = _weights_by_distance(w["distance"], back)
 
     def log10(self, documents: list[np.ndarray], chunk: int = 256) -> np.ndarray:
         """Of each document (ids) the log10 probability of the symbols of its tokens and its end."""
@@ -245,22 +251,17 @@ class Scorer:
             here = at[:, WINDOW - STRIDE :]
             slots, window, place = _asked((here < limit[part, None]) & (its[np.minimum(here, len(its) - 1)] >= 0))
             own = np.take_along_axis(ids[:, WINDOW - STRIDE :], slots, axis=1)
-            weights = np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1))
-            weights += self.bias[slots]
-            outside = at[:, : WINDOW - STRIDE] < begin[owner[part], None]
-            if outside.any():
-                weights[:, :, : WINDOW - STRIDE] += np.where(outside, FAR, np.float32(0))[:, None, :]
-            weights -= weights.max(axis=-1, keepdims=True)
-            np.exp(weights, out=weights)
+            weights = _exp(np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1)))
+            weights *= self.by_distance[slots]
+            edge = np.flatnonzero(first[part] < begin[owner[part]])  # windows that reach ahead of their document
+            weights[edge, :, : WINDOW - STRIDE] *= (at[edge, : WINDOW - STRIDE] >= begin[owner[part][edge], None])[:, None, :]
             mixed = np.matmul(weights, self.value[ids])[window, place]
             target = its[here[window, slots[window, place]]]
             hidden = mixed[:, :-1] / mixed[:, -1:]
             hidden += self.own[own[window, place]]
             logits = np.maximum(hidden, 0, out=hidden) @ self.out
             logits += self.out_bias
-            logits -= logits.max(axis=1, keepdims=True)
-            picked = logits[np.arange(len(target)), self.vocabulary.of_class[target]]
-            np.exp(logits, out=logits)
-            log_p = (picked - np.log(logits.sum(axis=1))).astype(np.float64) + self.vocabulary.log_within[target]
+            _exp(logits)
+            log_p = np.log(logits[np.arange(len(target)), self.vocabulary.of_class[target]] / logits.sum(axis=1)).astype(np.float64) + self.vocabulary.log_within[target]
             total += np.bincount(owner[part][window], log_p, len(lengths))
         return total / np.log(10)

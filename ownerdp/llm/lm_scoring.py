@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 import zlib
+from array import array
 from collections.abc import Callable, Iterable, Iterator
 from itertools import chain, repeat
 
@@ -13,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ownerdp.llm import attention, spelling
-from ownerdp.llm.common import map_batches, materialise, per_worker, texts_of
+from ownerdp.llm.common import keep_freed_memory, map_batches, materialise, per_worker, texts_of
 from ownerdp.llm.packing import _fast_encoder
 
 #: Hash buckets of the neighbouring subword or symbol, for what one tends to follow and to precede.
@@ -50,18 +51,13 @@ class SubwordCodec:
 
     def forget(self) -> None:
         self.places, self.held = _Places(self._add), 0
-        self.begin, self.length, self.ids, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16), 0
+        self.begin, self.ids = array("q", [0]), array("H")
 
     def _add(self, word: bytes) -> int:
         ids, place = self.encode(" " + word.decode()), len(self.places)
         self.held += len(word)
-        if place == len(self.begin):
-            self.begin, self.length = (np.append(x, np.zeros_like(x)) for x in (self.begin, self.length))
-        if self.used + len(ids) > len(self.ids):
-            self.ids = np.append(self.ids, np.zeros(max(len(ids), len(self.ids)), np.uint16))
-        self.begin[place], self.length[place] = self.used, len(ids)
-        self.ids[self.used : self.used + len(ids)] = ids
-        self.used += len(ids)
+        self.ids.extend(ids)
+        self.begin.append(len(self.ids))
         return place
 
     @property
@@ -74,9 +70,10 @@ class SubwordCodec:
 
     def subwords(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The ids of the words laid end to end, and how many each has."""
-        length = self.length[places]
+        edge, ids = np.array(self.begin, np.int64), np.array(self.ids, np.uint16)
+        length = np.diff(edge)[places]
         ahead = np.cumsum(length) - length
-        return self.ids[np.repeat(self.begin[places] - ahead, length) + np.arange(int(length.sum()))], length
+        return ids[np.repeat(edge[places] - ahead, length) + np.arange(int(length.sum()))], length
 
 
 class _Places(dict):
@@ -117,6 +114,7 @@ def encode_documents(rows: DataFrame, sent) -> tuple[DataFrame, DataFrame]:
     names = ["doc_id", "text", "held_out", "ids", "key", "n"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        per_worker("lm-memory", "", keep_freed_memory)
         codec, counts, ends, id_type = _codec(sent), np.zeros(0, np.int64), 0, None
 
         def counted() -> Iterator[pa.RecordBatch]:
@@ -249,6 +247,7 @@ def train(encoded: DataFrame, vocabulary: attention.Vocabulary, windows: int) ->
         def learn(batches: Iterator[pa.RecordBatch], sent=sent, r=r, rate=rate, levels=levels) -> Iterator[pa.RecordBatch]:
             from pyspark import TaskContext
 
+            per_worker("lm-memory", "", keep_freed_memory)
             start, words = sent.value
             trainer, seen = attention.Trainer(start, words, rate), 0
             for batch in _slices(batches, TRAIN_SLICE):
@@ -316,6 +315,7 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
         return attention.Scorer(w, description), spelling.Spelling(*its), dict(zip(table["key"].to_pylist(), table["n"].to_pylist(), strict=True))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        per_worker("lm-memory", "", keep_freed_memory)
         scorer, speller, held = per_worker("lm-model", model.value[0], prepared)
         known_count = held.get
         for batch in _slices(batches):

@@ -1,5 +1,6 @@
 """What the operators share."""
 
+from ownerdp.llm import common
 from ownerdp.llm.common import per_worker
 
 
@@ -14,3 +15,9 @@ def test_a_worker_makes_each_kind_once_for_each_key():
     assert per_worker("test-kind", "other", make("second")) == "second"
     assert per_worker("test-other-kind", "", make("third")) == "third"
     assert made == ["first", "second", "third"]
+
+
+def test_keeping_freed_memory_fails_nowhere(monkeypatch):
+    common.keep_freed_memory()
+    monkeypatch.setattr(common.ctypes, "CDLL", lambda _: object())
+    common.keep_freed_memory()
