@@ -188,3 +188,15 @@ def test_noisy_medians_are_near_the_exact_ones(spark):
     exact = {(r["l_returnflag"], r["l_linestatus"]): r["value"] for r in QUERIES["median_bisect"](spark, MEDIUM).collect()}
     noisy = {(r["l_returnflag"], r["l_linestatus"]): r["value"] for r in QUERIES["p_median"](spark, MEDIUM).collect()}
     assert noisy.keys() == exact.keys() and all(noisy[k] == pytest.approx(exact[k], rel=0.15) for k in exact)
+
+
+def test_measures_over_runs_take_any_number_of_groups(spark):
+    """More groups than the driver holds as literals: every one is drawn in every run, with draws of its own."""
+    from ownerdp import measures
+    from ownerdp.functions.noise import RunNoise
+
+    groups = spark.range(measures.MOST_EXACT_ROWS + 1).select(F.col("id").alias("key"), F.lit(2).alias("exact"))
+    rows = measures.noise_runs(spark, groups, ["key"], "exact", 1.0, 3, RunNoise(1))
+    found = rows.agg(F.count(F.lit(1)).alias("rows"), F.countDistinct("run", "key").alias("pairs"), F.countDistinct("noisy").alias("draws"), F.max("run").alias("last")).first()
+    assert tuple(found) == (3 * groups.count(),) * 3 + (2,)
+    assert measures.repeated(groups, 0).count() == 0
