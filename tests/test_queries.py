@@ -49,7 +49,7 @@ def test_query(spark, duck, name):
 
 
 #: Queries that made their data up before: they need the given tables.
-MOVED = ["clamp_sweep", "clamp_sweep_distributions", "coverage_runs"]
+MOVED = ["clamp_sweep", "clamp_sweep_distributions", "coverage_runs", "halton_points"]
 
 
 @pytest.mark.parametrize("name", MOVED)
@@ -228,3 +228,9 @@ def test_clamping_over_runs_draws_from_the_tables(spark, tmp_path):
         read_table(spark, SMALL, table).write.parquet(str(tmp_path / f"{table}.parquet"))
     rows = {(r["distribution"], r["upper"]): r["mean_error"] for r in QUERIES["clamp_sweep_distributions"](spark, str(tmp_path)).collect()}
     assert len(rows) == 28 and rows["uniform", 100.0] == pytest.approx(25 + 30 * math.exp(-25 / 30), rel=0.12)
+
+
+def test_halton_points_lie_in_the_range_of_the_prices(spark, tmp_path):
+    spark.createDataFrame([(10.0,), (20.0,)], "l_extendedprice double").coalesce(1).write.parquet(str(tmp_path / "lineitem.parquet"))
+    points = {r["db_id"]: (r["x"], r["y"]) for r in QUERIES["halton_points"](spark, str(tmp_path)).collect()}
+    assert points[1] == pytest.approx((15.0, 13.3333)) and points[2] == pytest.approx((12.5, 16.6667)) and all(10 < v < 20 for p in points.values() for v in p)
