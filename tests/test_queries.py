@@ -49,7 +49,7 @@ def test_query(spark, duck, name):
 
 
 #: Queries that made their data up before: they need the given tables.
-MOVED = ["clamp_sweep", "clamp_sweep_distributions", "coverage_runs", "halton_points"]
+MOVED = ["clamp_sweep", "clamp_sweep_distributions", "coverage_runs", "halton_points", "limit_error_synthetic"]
 
 
 @pytest.mark.parametrize("name", MOVED)
@@ -234,3 +234,9 @@ def test_halton_points_lie_in_the_range_of_the_prices(spark, tmp_path):
     spark.createDataFrame([(10.0,), (20.0,)], "l_extendedprice double").coalesce(1).write.parquet(str(tmp_path / "lineitem.parquet"))
     points = {r["db_id"]: (r["x"], r["y"]) for r in QUERIES["halton_points"](spark, str(tmp_path)).collect()}
     assert points[1] == pytest.approx((15.0, 13.3333)) and points[2] == pytest.approx((12.5, 16.6667)) and all(10 < v < 20 for p in points.values() for v in p)
+
+
+def test_limits_lose_nothing_beyond_the_largest_owner(spark):
+    lost = {(r["distribution"], r["c_u"]): r["lost_share"] for r in QUERIES["limit_error_synthetic"](spark, MEDIUM).collect()}
+    assert lost["orders of customers", 1] == pytest.approx(0.900, abs=1e-3) and lost["orders of customers", 25] == 0.0
+    assert 0.9 < lost["weeks of suppliers", 25] < 1 and lost["months of suppliers", 75] < 0.2 and len(lost) == 48
