@@ -49,7 +49,7 @@ def test_query(spark, duck, name):
 
 
 #: Queries that made their data up before: they need the given tables.
-MOVED = ["clamp_sweep", "clamp_sweep_distributions", "coverage_runs", "halton_points", "limit_error_synthetic", "noise_formula"]
+MOVED = ["clamp_sweep", "clamp_sweep_distributions", "coverage_runs", "halton_points", "limit_error_synthetic", "noise_formula", "search_graph"]
 
 
 @pytest.mark.parametrize("name", MOVED)
@@ -240,3 +240,9 @@ def test_limits_lose_nothing_beyond_the_largest_owner(spark):
     lost = {(r["distribution"], r["c_u"]): r["lost_share"] for r in QUERIES["limit_error_synthetic"](spark, MEDIUM).collect()}
     assert lost["orders of customers", 1] == pytest.approx(0.900, abs=1e-3) and lost["orders of customers", 25] == 0.0
     assert 0.9 < lost["weeks of suppliers", 25] < 1 and lost["months of suppliers", 75] < 0.2 and len(lost) == 48
+
+
+def test_search_graph_has_every_order_of_three_lines(spark):
+    orders = read_table(spark, SMALL, "lineitem").groupBy("l_orderkey").count().filter("count = 3")
+    edges = QUERIES["search_graph"](spark, SMALL)
+    assert edges.count() == 12 * orders.count() > 0 and edges.select("db_id").distinct().exceptAll(orders.select("l_orderkey")).count() == 0
