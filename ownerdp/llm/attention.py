@@ -244,6 +244,9 @@ class Scorer:
         first = begin[owner] + number * STRIDE - (WINDOW - STRIDE)
         limit = begin[owner] + lengths[owner]
         total = np.zeros(len(lengths))
+        upto, scored = np.append(0, np.cumsum(its >= 0)), first + WINDOW - STRIDE
+        order = np.argsort(upto[np.minimum(scored + STRIDE, limit)] - upto[scored], kind="stable")  # windows that ask about as often share a chunk: few empty slots
+        first, limit, owner = first[order], limit[order], owner[order]
         for i in range(0, len(owner), chunk):
             part = slice(i, i + chunk)
             at = first[part, None] + np.arange(WINDOW)

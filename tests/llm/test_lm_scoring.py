@@ -254,3 +254,24 @@ def test_trained_scores_and_odd_tables(spark):
 def test_model_beats_the_base_on_held_out_documents(spark):
     rows = QUERIES["op1_lm_score"](spark, "/root/testdata/sf0.1").filter("held_out").agg(F.sum("score"), F.sum("base_score")).first()
     assert rows[0] > rows[1]
+
+
+def test_scorer_fills_its_slots(monkeypatch):
+    """Texts of long words beside texts of short ones: few slots of a chunk stay empty, and each text scores as it does alone."""
+    starts = np.arange(41) % 2 == 0  # even ids begin a token, the last one is the end
+    counts = np.ones(41)
+    around = np.ones((41, 16))
+    vocabulary = attention.describe(counts, around, starts, np.ones(82), np.ones((82, 16)))
+    scorer = attention.Scorer(attention.initial(vocabulary), vocabulary)
+    documents = [np.array(([0, 2, 4, 6] if i % 2 else [8, 1, 3, 5, 7, 9, 11, 13]) * (240 // (4 if i % 2 else 8))) for i in range(40)]
+    slots, plain = [], attention._asked
+
+    def asked(which):
+        found = plain(which)
+        slots.append((found[0].size, len(found[1])))
+        return found
+
+    monkeypatch.setattr(attention, "_asked", asked)
+    together = scorer.log10(documents, chunk=64)
+    assert sum(size for size, _ in slots) < 1.4 * sum(real for _, real in slots)
+    assert together == pytest.approx([scorer.log10([d])[0] for d in documents], rel=1e-5)
