@@ -20,6 +20,8 @@ SINGLE, CLUSTERS = 64, 64
 CLASSES = SINGLE + CLUSTERS
 #: Logits are held within these limits, so that neither an exponential nor a sum of them overflows or vanishes.
 LOGIT = 60
+#: Windows of a training step that go through the layer together.
+TOGETHER = 32
 
 
 @dataclass
@@ -121,7 +123,7 @@ def _exp(x: np.ndarray) -> np.ndarray:
 def _asked(asked: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Where tokens begin behind the positions of each window: (slots, windows, places). Only there does the layer predict, so only those positions
     ask: slots holds them for each window, as many as the fullest one has, and (windows, places) tell which slots are real."""
-    windows, at = np.nonzero(asked)
+    windows, at = np.divmod(np.flatnonzero(asked), asked.shape[1])
     count = np.bincount(windows, minlength=len(asked))
     places = np.arange(len(windows)) - np.repeat(np.cumsum(count) - count, count)
     slots = np.zeros((len(asked), max(1, int(count.max(initial=0)))), np.int64)
@@ -148,46 +150,92 @@ def training_windows(documents: list[np.ndarray], vocabulary: Vocabulary) -> tup
     return np.concatenate(inputs), np.concatenate(goals)
 
 
+def _one_behind(x: np.ndarray) -> np.ndarray:
+    """Embeddings with a one behind each: weights times them also add up the weights, and a bias is a row of a matrix."""
+    return np.concatenate([x, np.ones((*x.shape[:-1], 1), x.dtype)], axis=-1)
+
+
+def _matrices(w: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """For embeddings with a one behind them: what an asking one's product with a key's is the logit of; from the asking one and from the mean of the
+    keys to the hidden layer, which gets a one behind it too; from there to the classes. Keys and values are linear in the embeddings, so
+    neither is made for each position."""
+    kind = w["query"].dtype
+    asks, from_own, from_mean = np.zeros((DIM + 1, DIM + 1), kind), np.zeros((DIM + 1, HIDDEN + 1), kind), np.zeros((DIM + 1, HIDDEN + 1), kind)
+    asks[:DIM, :DIM] = w["query"] @ w["key"].T / np.sqrt(DIM)
+    from_own[:DIM, :HIDDEN], from_own[DIM, :HIDDEN], from_own[DIM, HIDDEN] = w["own"], w["hidden_bias"], 1
+    from_mean[:DIM, :HIDDEN] = w["value"] @ w["mixed"]
+    return asks, from_own, from_mean, np.concatenate([w["out"], w["out_bias"][None]])
+
+
+def _hidden(x: np.ndarray, own: np.ndarray, near: np.ndarray, matrices: tuple) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """x: (windows, keys, DIM + 1); own: the asking ones of each window; near: the keys' weights by distance for each. Returns the keys'
+    weights and, in rows, their sums, the means of the keys, and the hidden layer."""
+    asks, from_own, from_mean, _ = matrices
+    rows = own.reshape(-1, DIM + 1)
+    p = _exp((rows @ asks).reshape(own.shape) @ x.transpose(0, 2, 1))
+    p *= near
+    mean = (p @ x).reshape(-1, DIM + 1)
+    total = mean[:, DIM:].copy()
+    mean /= total
+    h = rows @ from_own
+    h += mean @ from_mean
+    return p, total, mean, np.maximum(h, 0, out=h)
+
+
+def _classes(h: np.ndarray, out: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of hidden layers exp(logits) of all classes, and their sums."""
+    z = _exp(h @ out)
+    return z, z @ np.ones(CLASSES, z.dtype)
+
+
+def _sums(matrices: tuple, by_distance: np.ndarray, x: np.ndarray, slots: np.ndarray, goals: np.ndarray) -> list:
+    """Over all goals of some windows (slots, and a class or -1 for each slot) the sum of the losses in nats, and of the gradients of the matrices and
+    of by_distance's logarithm. x: (windows, WINDOW, DIM + 1)."""
+    *_, from_mean, out = matrices
+    own = x.reshape(-1, DIM + 1).take(slots + WINDOW * np.arange(len(x))[:, None], axis=0)
+    p, total, mean, h = _hidden(x, own, by_distance.take(slots, axis=0), matrices)
+    goal, all_rows = goals.ravel(), np.arange(goals.size)
+    z, every = _classes(h, out)
+    its, real = z[all_rows, goal], goal >= 0
+    loss = -float(np.log(its[real] / every[real] + 1e-30).sum())
+    z[all_rows, goal] = its - every
+    share = np.where(real, 1 / every, 0).astype(z.dtype)[:, None]  # left out of z, which is the widest
+    du = z @ out.T  # also of the one behind the hidden layer, which nothing asks for
+    du *= np.sign(h)
+    du *= share
+    h *= share
+    blame = du @ from_mean.T
+    blame /= total
+    blame[:, DIM] = -np.einsum("rd,rd->r", blame, mean)  # the weighted mean of what each key is blamed for
+    ds = blame.reshape(own.shape) @ x.transpose(0, 2, 1)
+    ds *= p
+    rows, placed = own.reshape(-1, DIM + 1), np.eye(WINDOW, dtype=x.dtype).take(slots.ravel(), axis=0)
+    return [loss, rows.T @ (ds @ x).reshape(-1, DIM + 1), rows.T @ du, mean.T @ du, h.T @ z, placed.T @ ds.reshape(-1, WINDOW)]
+
+
+def _gradient(w: dict[str, np.ndarray], sums: list, m: int) -> dict[str, np.ndarray]:
+    """Of the weights, from the sums over m goals."""
+    of_asks, of_own, of_mean, of_out, by_pair = (x / x.dtype.type(m) for x in sums[1:])
+    of_asks, of_mean = of_asks[:DIM, :DIM] / of_asks.dtype.type(np.sqrt(DIM)), of_mean[:DIM, :HIDDEN]
+    return {
+        "query": of_asks @ w["key"], "key": of_asks.T @ w["query"], "value": of_mean @ w["mixed"].T, "distance": np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(by_pair.dtype),
+        "own": of_own[:DIM, :HIDDEN], "mixed": w["value"].T @ of_mean, "hidden_bias": of_own[DIM, :HIDDEN], "out": of_out[:HIDDEN], "out_bias": of_out[HIDDEN],
+    }
+
+
+def _slots_of(goal: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of windows of goals the slots, the goal of each (-1 for none), and how many each window has."""
+    slots, windows, places = _asked(goal >= 0)
+    goals = np.full(slots.shape, -1)
+    goals[windows, places] = goal[windows, slots[windows, places]]
+    return slots, goals, np.bincount(windows, minlength=len(goal))
+
+
 def loss_and_gradient(w: dict[str, np.ndarray], x: np.ndarray, goal: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
     """Mean loss in nats over the goals and its gradient. x: (windows, WINDOW, DIM) embeddings; goal: classes, -1 for none."""
-    scale = x.dtype.type(1 / np.sqrt(DIM))
-    slots, windows, places = _asked(goal >= 0)
-    goal = goal[windows, slots[windows, places]]
-    asking = x[np.arange(len(x))[:, None], slots]
-    q, k, v = asking @ (w["query"] * scale), x @ w["key"], x @ w["value"]
-    p = _exp(q @ k.transpose(0, 2, 1))
-    p *= _weights_by_distance(w["distance"], _BACK)[slots]
-    p /= p.sum(axis=-1, keepdims=True)
-    a = p @ v
-    own, mixed = asking[windows, places], a[windows, places]
-    m, rows = max(1, len(goal)), np.arange(len(goal))
-    u = own @ w["own"] + mixed @ w["mixed"] + w["hidden_bias"]
-    h = np.maximum(u, 0)
-    z = h @ w["out"]
-    z += w["out_bias"]
-    _exp(z)
-    z /= z.sum(axis=-1, keepdims=True)
-    loss = -float(np.log(z[rows, goal] + 1e-30).sum()) / m
-    z[rows, goal] -= 1
-    z /= m
-    g = {"out": h.T @ z, "out_bias": z.sum(0)}
-    du = (z @ w["out"].T) * (u > 0)
-    g |= {"own": own.T @ du, "mixed": mixed.T @ du, "hidden_bias": du.sum(0)}
-    da = np.zeros_like(a)
-    da[windows, places] = du @ w["mixed"].T
-    dv = p.transpose(0, 2, 1) @ da
-    ds = da @ v.transpose(0, 2, 1)
-    ds -= np.einsum("wqd,wqd->wq", da, a)[..., None]  # the weighted mean of what each key is blamed for
-    ds *= p
-    flat = lambda t: t.reshape(-1, t.shape[-1])
-    placed = np.zeros((slots.size, WINDOW), x.dtype)
-    placed[np.arange(slots.size), slots.ravel()] = 1
-    by_pair = placed.T @ flat(ds)
-    g["distance"] = np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(x.dtype)
-    g["query"] = flat(asking).T @ flat(ds @ k) * scale
-    g["key"] = flat(x).T @ flat(ds.transpose(0, 2, 1) @ q)
-    g["value"] = flat(x).T @ flat(dv)
-    return loss, g
+    slots, goals, counts = _slots_of(goal)
+    sums, m = _sums(_matrices(w), _weights_by_distance(w["distance"], _BACK), _one_behind(x), slots, goals), max(1, int(counts.sum()))
+    return sums[0] / m, _gradient(w, sums, m)
 
 
 class Trainer:
@@ -199,14 +247,24 @@ class Trainer:
         self.w = {k: self.flat[a:b].reshape(v.shape) for (k, v), a, b in zip(w.items(), edges[:-1], edges[1:], strict=True)}
         self.vocabulary, self.rate, self.batch, self.steps, self.losses = vocabulary, rate, batch, 0, []
         self.first, self.second = np.zeros_like(self.flat), np.zeros_like(self.flat)
+        self.embedding = _one_behind(vocabulary.embedding)
 
     def run(self, inputs: np.ndarray, goals: np.ndarray, seed: int = 0) -> None:
-        """One pass over the windows in a random order."""
+        """One pass over the windows in a random order. Windows of a step that ask about as often go through the layer together: few empty slots."""
         order = np.random.default_rng(seed).permutation(len(inputs))
+        slots, goals, counts = _slots_of(goals)
         for i in range(0, len(order), self.batch):
             rows = order[i : i + self.batch]
-            loss, g = loss_and_gradient(self.w, self.vocabulary.embedding[inputs[rows]], goals[rows])
-            self.losses.append(loss)
+            rows = rows[np.argsort(counts[rows], kind="stable")]
+            matrices, by_distance, sums = _matrices(self.w), _weights_by_distance(self.w["distance"], _BACK), None
+            for j in range(0, len(rows), TOGETHER):
+                some = rows[j : j + TOGETHER]
+                width = max(1, int(counts[some[-1]]))
+                more = _sums(matrices, by_distance, self.embedding.take(inputs[some], axis=0), slots[some, :width], goals[some, :width])
+                sums = more if sums is None else [a + b for a, b in zip(sums, more, strict=True)]
+            m = max(1, int(counts[rows].sum()))
+            self.losses.append(sums[0] / m)
+            g = _gradient(self.w, sums, m)
             self.steps += 1
             d = np.concatenate([g[k].ravel() for k in self.w])
             self.first += np.float32(0.1) * (d - self.first)
@@ -217,54 +275,54 @@ class Trainer:
 
 
 class Scorer:
-    """Scores whole documents: what depends on one subword alone is tabled for every id, the rest is batched over windows."""
+    """Scores whole documents: windows that ask about as often go through the layer together."""
 
     def __init__(self, w: dict[str, np.ndarray], vocabulary: Vocabulary):
-        e = vocabulary.embedding
         self.vocabulary = vocabulary
-        self.query, self.key = e @ w["query"] * np.float32(1 / np.sqrt(DIM)), e @ w["key"]
-        self.value = np.concatenate([e @ w["value"] @ w["mixed"], np.ones((len(e), 1), np.float32)], axis=1)  # the last column sums the weights
-        self.own = e @ w["own"] + w["hidden_bias"]
-        self.out, self.out_bias = w["out"], w["out_bias"]
+        x = _one_behind(vocabulary.embedding)
+        self.embedding = np.concatenate([x, np.zeros((1, DIM + 1), x.dtype)])  # the last row is no key: whatever its weight, it adds nothing
+        self.matrices = _matrices(w)
         back = np.arange(STRIDE)[:, None] + (WINDOW - STRIDE) - np.arange(WINDOW)[None, :]
         self.by_distance = _weights_by_distance(w["distance"], back)
 
-    def log10(self, documents: list[np.ndarray], chunk: int = 256) -> np.ndarray:
+    def log10(self, documents: list[np.ndarray], chunk: int = 128) -> np.ndarray:
         """Of each document (ids) the log10 probability of the symbols of its tokens and its end."""
-        end = len(self.own) - 1
+        none, ahead = len(self.embedding) - 1, WINDOW - STRIDE
+        end = np.array([none - 1], np.int64)
         lengths = np.array([len(d) + 1 for d in documents], np.int64)  # the end stands ahead of each document
         if not len(lengths):
             return np.zeros(0)
-        flat = np.concatenate([x for d in documents for x in ([end], d)] + [[end]]).astype(np.int64)
+        flat = np.concatenate([x for d in documents for x in (end, d)] + [end])
         its = symbols(flat, self.vocabulary.starts)[1:]  # what begins behind each place
+        begins = its >= 0
+        document = np.repeat(np.arange(len(lengths)), lengths)
+        total = np.bincount(document[begins], self.vocabulary.log_within[its[begins]], len(lengths))
+        classes = np.append(np.where(begins, self.vocabulary.of_class[its], -1), np.full(WINDOW, -1))
+        flat = np.concatenate([np.full(ahead, end[0]), flat, np.full(WINDOW, end[0])])  # a place p is at p + ahead
         begin = np.cumsum(lengths) - lengths
         windows = -(-lengths // STRIDE)
         owner = np.repeat(np.arange(len(lengths)), windows)
-        number = np.arange(len(owner)) - np.repeat(np.cumsum(windows) - windows, windows)
-        first = begin[owner] + number * STRIDE - (WINDOW - STRIDE)
+        scored = begin[owner] + (np.arange(len(owner)) - np.repeat(np.cumsum(windows) - windows, windows)) * STRIDE
         limit = begin[owner] + lengths[owner]
-        total = np.zeros(len(lengths))
-        upto, scored = np.append(0, np.cumsum(its >= 0)), first + WINDOW - STRIDE
-        order = np.argsort(upto[np.minimum(scored + STRIDE, limit)] - upto[scored], kind="stable")  # windows that ask about as often share a chunk: few empty slots
-        first, limit, owner = first[order], limit[order], owner[order]
+        upto = np.append(0, np.cumsum(begins))
+        order = np.argsort(upto[np.minimum(scored + STRIDE, limit)] - upto[scored], kind="stable")
+        scored, limit, owner = scored[order], limit[order], owner[order]
+        of_window = np.zeros(len(owner))
         for i in range(0, len(owner), chunk):
             part = slice(i, i + chunk)
-            at = first[part, None] + np.arange(WINDOW)
-            ids = flat[np.clip(at, 0, len(flat) - 1)]
-            here = at[:, WINDOW - STRIDE :]
-            slots, window, place = _asked((here < limit[part, None]) & (its[np.minimum(here, len(its) - 1)] >= 0))
-            own = np.take_along_axis(ids[:, WINDOW - STRIDE :], slots, axis=1)
-            weights = _exp(np.matmul(self.query[own], self.key[ids].transpose(0, 2, 1)))
-            weights *= self.by_distance[slots]
-            edge = np.flatnonzero(first[part] < begin[owner[part]])  # windows that reach ahead of their document
-            weights[edge, :, : WINDOW - STRIDE] *= (at[edge, : WINDOW - STRIDE] >= begin[owner[part][edge], None])[:, None, :]
-            mixed = np.matmul(weights, self.value[ids])[window, place]
-            target = its[here[window, slots[window, place]]]
-            hidden = mixed[:, :-1] / mixed[:, -1:]
-            hidden += self.own[own[window, place]]
-            logits = np.maximum(hidden, 0, out=hidden) @ self.out
-            logits += self.out_bias
-            _exp(logits)
-            log_p = np.log(logits[np.arange(len(target)), self.vocabulary.of_class[target]] / logits.sum(axis=1)).astype(np.float64) + self.vocabulary.log_within[target]
-            total += np.bincount(owner[part][window], log_p, len(lengths))
-        return total / np.log(10)
+            ids = flat.take(scored[part, None] + np.arange(WINDOW))
+            outside = np.flatnonzero(scored[part] - ahead < begin[owner[part]])  # windows that reach ahead of their document
+            ids[outside, :ahead] = np.where(scored[part][outside, None] - ahead + np.arange(ahead) < begin[owner[part][outside], None], none, ids[outside, :ahead])
+            here = scored[part, None] + np.arange(STRIDE)
+            goal = classes.take(here)
+            goal[here >= limit[part, None]] = -1
+            slots, window, place = _asked(goal >= 0)
+            x = self.embedding.take(ids, axis=0)
+            at = np.arange(len(x))[:, None]
+            own = x.reshape(-1, DIM + 1).take(slots + (WINDOW * at + ahead), axis=0)
+            *_, h = _hidden(x, own, self.by_distance.take(slots, axis=0), self.matrices)
+            real = window * slots.shape[1] + place
+            z, every = _classes(h, self.matrices[-1])
+            log_p = np.log(z[real, goal[window, slots[window, place]]] / every[real])
+            of_window[part] = np.bincount(window, log_p, len(x))
+        return (total + np.bincount(owner, of_window, len(lengths))) / np.log(10)

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
 from array import array
-from collections.abc import Callable, Iterable, Iterator
-from itertools import chain, repeat
+from collections import defaultdict
+from collections.abc import Iterable, Iterator
+from itertools import chain, count, islice, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -21,6 +23,10 @@ from ownerdp.llm.packing import _fast_encoder
 BUCKETS = 8
 #: Distinct words, and their bytes, that a worker keeps, encoded and counted, before it hands their counts on and forgets them.
 WORDS_KEPT, BYTES_KEPT = 400_000, 32 << 20
+#: Words that are encoded in one text.
+WORDS_A_TEXT = 10_000
+#: Blanks that a word may hold, as it ends at the space and TAB, LF, VT, FF, CR alone.
+_OTHER_BLANK = re.compile(r"[^\S ]")
 #: Counts of the most frequent words, at most so many, are sent to the executors; those of the others are looked up by a join.
 MOST_HEAD_WORDS = 1 << 19
 #: Learning rates of the two rounds: the first is over the documents of one hash in WARM_UP, the second over all others.
@@ -42,23 +48,32 @@ def held_out(doc_id) -> bool:
 class SubwordCodec:
     """The subwords of words by their bytes, each word encoded behind a blank: by the public library, what was encoded is kept up to a bound.
 
-    ``places`` numbers the words that are kept in the order in which they came.
+    ``places`` numbers the words that are kept in the order in which they came. Words that come together are encoded in one text, where each
+    begins with its blank; those that hold blanks of other kinds, by which the pattern also splits, are encoded alone.
     """
 
     def __init__(self, vocabulary: list[bytes], pattern: str):
         self.encode = _fast_encoder(vocabulary, pattern).encode_ordinary
+        self.starts = np.array([t.startswith(b" ") for t in vocabulary], bool)
         self.forget()
 
     def forget(self) -> None:
-        self.places, self.held = _Places(self._add), 0
+        self.places, self.held = defaultdict(count().__next__), 0
         self.begin, self.ids = array("q", [0]), array("H")
 
-    def _add(self, word: bytes) -> int:
-        ids, place = self.encode(" " + word.decode()), len(self.places)
-        self.held += len(word)
-        self.ids.extend(ids)
-        self.begin.append(len(self.ids))
-        return place
+    def _add(self, words: list[bytes]) -> None:
+        for i in range(0, len(words), WORDS_A_TEXT):
+            some = words[i : i + WORDS_A_TEXT]
+            self.held += sum(map(len, some))
+            text = " " + b" ".join(some).decode()
+            if all(some) and not _OTHER_BLANK.search(text):
+                ids = np.array(self.encode(text), np.uint16)
+                ends = np.append(np.flatnonzero(self.starts[ids])[1:], len(ids))
+            else:
+                each = [self.encode(" " + word.decode()) for word in some]
+                ids, ends = np.fromiter(chain.from_iterable(each), np.uint16), np.cumsum([len(x) for x in each])
+            self.begin.frombytes((ends.astype(np.int64) + len(self.ids)).tobytes())
+            self.ids.frombytes(ids.tobytes())
 
     @property
     def full(self) -> bool:
@@ -66,7 +81,10 @@ class SubwordCodec:
 
     def find(self, words: Iterable[bytes], n: int) -> np.ndarray:
         """The places of n words."""
-        return np.fromiter(map(self.places.__getitem__, words), np.int64, n)
+        out = np.fromiter(map(self.places.__getitem__, words), np.int64, n)
+        fresh = list(islice(reversed(self.places), len(self.places) - len(self.begin) + 1))
+        self._add(fresh[::-1])
+        return out
 
     def subwords(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The ids of the words laid end to end, and how many each has."""
@@ -76,18 +94,6 @@ class SubwordCodec:
         return ids[np.repeat(edge[places] - ahead, length) + np.arange(int(length.sum()))], length
 
 
-class _Places(dict):
-    """Numbers words as they come."""
-
-    def __init__(self, add: Callable[[bytes], int]):
-        super().__init__()
-        self.add = add
-
-    def __missing__(self, word: bytes) -> int:
-        self[word] = place = self.add(word)
-        return place
-
-
 def _codec(sent) -> SubwordCodec:
     vocabulary, pattern = sent.value
     return per_worker("subwords", f"{len(vocabulary)}:{hash(vocabulary[-1])}", lambda: SubwordCodec(vocabulary, pattern))

@@ -275,3 +275,31 @@ def test_scorer_fills_its_slots(monkeypatch):
     together = scorer.log10(documents, chunk=64)
     assert sum(size for size, _ in slots) < 1.4 * sum(real for _, real in slots)
     assert together == pytest.approx([scorer.log10([d])[0] for d in documents], rel=1e-5)
+
+
+def test_words_that_come_together_are_encoded_together():
+    """Few calls for many words, and each word's subwords are those it has alone, also where words hold blanks of other kinds."""
+    codec, alone = lm_scoring.SubwordCodec(byte_vocabulary(), split_pattern()), _fast_encoder(byte_vocabulary(), split_pattern()).encode_ordinary
+    plain, calls = codec.encode, []
+    codec.encode = lambda text: calls.append(1) or plain(text)
+    rng = random.Random(3)
+    for words in ([f"w{rng.randint(0, 4000)}it's" for _ in range(20_000)], [" ", "a ", " b", "naïve", "\x1c\x1cx", "'s", "日本", "!?", "w1it's"], []):
+        listed = [x.encode() for x in words]
+        ids, lengths = codec.subwords(codec.find(listed, len(listed)))
+        each = [alone(" " + x) for x in words]
+        assert lengths.tolist() == [len(x) for x in each] and ids.tolist() == [i for x in each for i in x]
+    assert len(calls) < 20
+
+
+def test_training_fills_its_slots(monkeypatch):
+    """Windows of long words beside windows of short ones in one step: few slots stay empty, and the gradient is that of the whole step."""
+    rng, n = np.random.default_rng(7), 300
+    v = some_vocabulary(n, rng)
+    inputs = rng.integers(0, n, (128, attention.WINDOW))
+    goals = np.where(rng.random((128, attention.WINDOW)) < np.where(np.arange(128) % 2, 0.1, 0.9)[:, None], rng.integers(0, attention.CLASSES, (128, attention.WINDOW)), -1)
+    loss, g = attention.loss_and_gradient(attention.initial(v), v.embedding[inputs], goals)
+    trainer, sizes, plain = attention.Trainer(attention.initial(v), v, 0.01), [], attention._sums
+    monkeypatch.setattr(attention, "_sums", lambda *a: sizes.append(a[-1].size) or plain(*a))
+    trainer.run(inputs, goals)
+    assert sum(sizes) < 1.4 * (goals >= 0).sum() and trainer.losses == pytest.approx([loss], rel=1e-5)
+    assert trainer.first / np.float32(0.1) == pytest.approx(np.concatenate([g[k].ravel() for k in trainer.w]), rel=1e-3, abs=1e-6)
