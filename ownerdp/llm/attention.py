@@ -107,16 +107,17 @@ def initial(vocabulary: Vocabulary, seed: int = 11) -> dict[str, np.ndarray]:
 
 
 _BACK = np.arange(WINDOW)[:, None] - np.arange(WINDOW)[None, :]
+_BEHIND = np.where(_BACK < 0, WINDOW, _BACK).ravel()
 
 
 def _weights_by_distance(distance: np.ndarray, back: np.ndarray) -> np.ndarray:
     """What a key's weight is multiplied by; nothing is left of keys behind the asking position."""
-    return np.where(back < 0, 0, np.exp(np.clip(distance, -LOGIT / 2, LOGIT / 2))[np.clip(back, 0, WINDOW - 1)]).astype(distance.dtype)
+    return np.append(np.exp(np.clip(distance, -LOGIT / 2, LOGIT / 2)), distance.dtype.type(0)).take(np.where(back < 0, WINDOW, back))
 
 
 def _exp(x: np.ndarray) -> np.ndarray:
     """In place."""
-    np.clip(x, -LOGIT, LOGIT, out=x)
+    x.clip(-LOGIT, LOGIT, out=x)
     return np.exp(x, out=x)
 
 
@@ -198,12 +199,10 @@ def _sums(matrices: tuple, by_distance: np.ndarray, x: np.ndarray, slots: np.nda
     z, every = _classes(h, out)
     its, real = z[all_rows, goal], goal >= 0
     loss = -float(np.log(its[real] / every[real] + 1e-30).sum())
-    z[all_rows, goal] = its - every
-    share = np.where(real, 1 / every, 0).astype(z.dtype)[:, None]  # left out of z, which is the widest
+    z *= np.where(real, 1 / every, 0).astype(z.dtype)[:, None]
+    z[all_rows, goal] -= real
     du = z @ out.T  # also of the one behind the hidden layer, which nothing asks for
     du *= np.sign(h)
-    du *= share
-    h *= share
     blame = du @ from_mean.T
     blame /= total
     blame[:, DIM] = -np.einsum("rd,rd->r", blame, mean)  # the weighted mean of what each key is blamed for
@@ -218,7 +217,7 @@ def _gradient(w: dict[str, np.ndarray], sums: list, m: int) -> dict[str, np.ndar
     of_asks, of_own, of_mean, of_out, by_pair = (x / x.dtype.type(m) for x in sums[1:])
     of_asks, of_mean = of_asks[:DIM, :DIM] / of_asks.dtype.type(np.sqrt(DIM)), of_mean[:DIM, :HIDDEN]
     return {
-        "query": of_asks @ w["key"], "key": of_asks.T @ w["query"], "value": of_mean @ w["mixed"].T, "distance": np.bincount(_BACK[_BACK >= 0], by_pair[_BACK >= 0], WINDOW).astype(by_pair.dtype),
+        "query": of_asks @ w["key"], "key": of_asks.T @ w["query"], "value": of_mean @ w["mixed"].T, "distance": np.bincount(_BEHIND, by_pair.ravel())[:WINDOW].astype(by_pair.dtype),
         "own": of_own[:DIM, :HIDDEN], "mixed": w["value"].T @ of_mean, "hidden_bias": of_own[DIM, :HIDDEN], "out": of_out[:HIDDEN], "out_bias": of_out[HIDDEN],
     }
 

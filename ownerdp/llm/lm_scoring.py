@@ -221,7 +221,7 @@ def spelling_tables(words: DataFrame, sent, of_id: np.ndarray, of_symbol: np.nda
                 codec.forget()
             ids, lengths = codec.subwords(codec.find(batch.column(0).to_pylist(), batch.num_rows))
             if len(lengths):
-                total += np.bincount(spelling.cells(ids.astype(np.int64), lengths, group), minlength=len(total)).astype(np.int32)
+                np.add.at(total, spelling.cells(ids.astype(np.int64), lengths, group), np.int32(1))  # touches no more of the table than there are words
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at].astype(np.int64))], names=["at", "n"])
 
@@ -326,7 +326,9 @@ def score_documents(docs: DataFrame, vocabulary: list[bytes], pattern: str, text
         known_count = held.get
         for batch in _slices(batches):
             ids = _ids(batch, 3)
-            documents = [[*words_of(t), b""] for t in texts_of(batch)]
+            documents = [words_of(t) for t in texts_of(batch)]
+            for words_in_a_row in documents:
+                words_in_a_row.append(b"")
             sizes = np.fromiter(map(len, documents), np.int64, len(documents))
             of = np.repeat(np.arange(len(documents)), sizes)
             tokens_in_a_row = list(chain.from_iterable(documents))
